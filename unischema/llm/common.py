@@ -56,9 +56,13 @@ def held_out(doc_id: Column) -> Column:
     return F.coalesce(F.crc32(F.coalesce(doc_id.cast("string"), F.lit("")).cast("binary")) % 3 == HELD_OUT, F.lit(False))
 
 
-def same_key(left: DataFrame, right: DataFrame, *names: str) -> Column:
-    """Null-safe equality on columns of both sides."""
-    condition = F.lit(True)
-    for name in names:
-        condition = condition & left[name].eqNullSafe(right[name])
-    return condition
+#: Ids up to which a list of dropped documents is broadcast; a longer one is joined by a shuffle.
+DROPPED_ROWS = 500_000
+
+
+def drop_rows(docs: DataFrame, dropped: DataFrame) -> DataFrame:
+    """``docs`` without the rows whose ``doc_id`` is in ``dropped`` (null-safe)."""
+    gone = cut(dropped.select(F.col("doc_id").alias("gone_id")).distinct())
+    if gone.count() <= DROPPED_ROWS:
+        gone = F.broadcast(gone)
+    return docs.join(gone, docs["doc_id"].eqNullSafe(gone["gone_id"]), "left_anti")

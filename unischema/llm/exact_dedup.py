@@ -15,7 +15,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from unischema.llm.common import cut, read_table, same_key
+from unischema.llm.common import cut, drop_rows, read_table
 
 BLANKS = r"[\x20\x09-\x0D]+"
 #: A group counts as hot beyond one in so many rows; so there are fewer hot groups than this.
@@ -87,8 +87,8 @@ def op1_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pipeline stage: only the row that stays of each group goes on."""
-    kept = exact_dedup(docs).where("kept").select("doc_id").distinct()
-    return docs.join(kept, same_key(docs, kept, "doc_id"), "left_semi")
+    found = exact_dedup(docs)
+    return drop_rows(docs, found.where(~F.col("kept")).select("doc_id"))
 
 
 ORACLE = r"""

@@ -2,8 +2,16 @@
 
 from __future__ import annotations
 
-from unischema.llm import exact_dedup, sharding
+from unischema.llm import decontamination, exact_dedup, packing, sharding
 
-QUERIES = {f.__name__: f for f in (exact_dedup.op1_exact_dedup, sharding.op8_rendezvous_sharding)}
+QUERIES = {
+    f.__name__: f
+    for f in (
+        exact_dedup.op1_exact_dedup,
+        decontamination.op2_decontamination,
+        sharding.op8_rendezvous_sharding,
+        packing.op10_best_fit_packing,
+    )
+}
 
-ORACLES = {"op1_exact_dedup": exact_dedup.ORACLE}
+ORACLES = {"op1_exact_dedup": exact_dedup.ORACLE, "op2_decontamination": decontamination.ORACLE}
