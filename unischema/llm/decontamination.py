@@ -93,9 +93,13 @@ def _entries(tokens: Column, doc_id: Column, short: list[int], width: int, gram:
         )
 
     parts = [marker, F.transform(winnow(tokens, width, gram), about).cast(kind)]
+
+    def runs(size: int) -> Column:
+        every = F.sequence(F.lit(0), F.size(tokens) - size)
+        return F.transform(every, lambda i: entry(F.lit(size), _run_hash(tokens, i, size), i, F.slice(tokens, i + 1, size)))
+
     for size in short:
-        runs = F.transform(F.sequence(F.lit(0), F.size(tokens) - size), lambda i, size=size: entry(F.lit(size), _run_hash(tokens, i, size), i, F.slice(tokens, i + 1, size)))
-        parts.append(F.when(F.size(tokens) >= size, runs.cast(kind)).otherwise(F.array().cast(kind)))
+        parts.append(F.when(F.size(tokens) >= size, runs(size).cast(kind)).otherwise(F.array().cast(kind)))
     return F.concat(*parts)
 
 

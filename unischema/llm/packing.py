@@ -2,9 +2,10 @@
 
 Documents are tokenised once, where they lie; only lengths move afterwards. Pieces are dealt into
 partitions of bounded size, each packed by best-fit decreasing. A lower bound from dual feasible
-functions certifies each partition: where bins and bound agree the packing is optimal and final.
-Partitions with a gap give up their loosest bins; the documents of several such partitions meet in
-one group, best-fit decreasing runs again, and the new bins replace the old ones if they are fewer.
+functions certifies each partition: where bins and bound agree its packing is optimal. Partitions
+with a gap give up their loosest bins, certified ones only bins with a quarter or more of their room
+left; the documents of several partitions meet in one group, best-fit decreasing runs again, and the
+new bins replace the old ones if they are fewer.
 
 Defined results: a null text is empty and gives the one token 0; a null id is carried along; rows
 that repeat are packed each; columns beyond ``doc_id`` and ``text`` are ignored; an empty table
@@ -165,10 +166,12 @@ def _pack(capacity: int, level: int, quota: int):
             left = capacity - np.bincount(used, weights=lengths, minlength=len(seen)).astype(np.int64)
         order = np.argsort(-left, kind="stable")
         order = order[left[order] > 0]
+        gap = len(left) - bound
+        order = order[(gap > 0) | (left[order] >= capacity // 4)]
         held = np.bincount(used, minlength=len(left))[order].cumsum()
         loose = np.zeros(len(left), bool)
         loose[order[held <= quota]] = True
-        return rows.assign(part=int(key[0]), gap=min(len(left), before) - bound, loose=loose[used])
+        return rows.assign(part=int(key[0]), gap=gap, loose=loose[used])
 
     return run
 
@@ -193,7 +196,7 @@ def pack_pieces(pieces: DataFrame, capacity: int = CAPACITY, group_pieces: int =
         if parts == 1:
             break
         packed = cut(packed)
-        moves = (F.col("gap") > 0) & F.col("loose")
+        moves = F.col("loose")
         parts = -(-parts // FAN)
         group = F.pmod(F.col("part"), F.lit(parts))
         again = packed.where(moves).withColumn("part", group).groupBy("part").applyInPandas(_pack(capacity, level, quota), PACKED)

@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from unischema.llm import decontamination, exact_dedup, packing, sharding
+from unischema.llm import decontamination, exact_dedup, language_id, packing, sharding
 
 QUERIES = {
     f.__name__: f
     for f in (
         exact_dedup.op1_exact_dedup,
         decontamination.op2_decontamination,
+        language_id.op7_language_id,
         sharding.op8_rendezvous_sharding,
         packing.op10_best_fit_packing,
     )
