@@ -2,17 +2,18 @@
 
 from __future__ import annotations
 
-from unischema.llm import decontamination, exact_dedup, language_id, packing, sharding
+from unischema.llm import decontamination, exact_dedup, language_id, near_dedup, packing, sharding
 
 QUERIES = {
     f.__name__: f
     for f in (
         exact_dedup.op1_exact_dedup,
         decontamination.op2_decontamination,
+        near_dedup.op5_minhash_near_dedup,
         language_id.op7_language_id,
         sharding.op8_rendezvous_sharding,
         packing.op10_best_fit_packing,
     )
 }
 
-ORACLES = {"op1_exact_dedup": exact_dedup.ORACLE, "op2_decontamination": decontamination.ORACLE}
+ORACLES = {"op1_exact_dedup": exact_dedup.ORACLE, "op2_decontamination": decontamination.ORACLE, "op5_minhash_near_dedup": near_dedup.ORACLE}
