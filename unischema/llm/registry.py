@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from unischema.llm import decontamination, exact_dedup, language_id, near_dedup, packing, sharding
+from unischema.llm import decontamination, exact_dedup, language_id, line_dedup, near_dedup, packing, sharding
 
 QUERIES = {
     f.__name__: f
@@ -12,8 +12,9 @@ QUERIES = {
         near_dedup.op5_minhash_near_dedup,
         language_id.op7_language_id,
         sharding.op8_rendezvous_sharding,
+        line_dedup.op9_line_dedup,
         packing.op10_best_fit_packing,
     )
 }
 
-ORACLES = {"op1_exact_dedup": exact_dedup.ORACLE, "op2_decontamination": decontamination.ORACLE, "op5_minhash_near_dedup": near_dedup.ORACLE}
+ORACLES = {"op1_exact_dedup": exact_dedup.ORACLE, "op2_decontamination": decontamination.ORACLE, "op5_minhash_near_dedup": near_dedup.ORACLE, "op9_line_dedup": line_dedup.ORACLE}
