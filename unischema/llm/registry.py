@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from unischema.llm import decontamination, exact_dedup, language_id, line_dedup, near_dedup, packing, sharding
+from unischema.llm import chat_format, decontamination, exact_dedup, language_id, line_dedup, near_dedup, packing, sharding
 
 QUERIES = {
     f.__name__: f
     for f in (
         exact_dedup.op1_exact_dedup,
         decontamination.op2_decontamination,
+        chat_format.op3_chat_formatting,
         near_dedup.op5_minhash_near_dedup,
         language_id.op7_language_id,
         sharding.op8_rendezvous_sharding,
@@ -17,4 +18,4 @@ QUERIES = {
     )
 }
 
-ORACLES = {"op1_exact_dedup": exact_dedup.ORACLE, "op2_decontamination": decontamination.ORACLE, "op5_minhash_near_dedup": near_dedup.ORACLE, "op9_line_dedup": line_dedup.ORACLE}
+ORACLES = {"op1_exact_dedup": exact_dedup.ORACLE, "op2_decontamination": decontamination.ORACLE, "op5_minhash_near_dedup": near_dedup.ORACLE, "op3_chat_formatting": chat_format.ORACLE, "op9_line_dedup": line_dedup.ORACLE}
