@@ -8,9 +8,13 @@ extended: every window of ``width`` words about it is compared as text with the
 Items of fewer than ``width`` words are one window each. For every such length present (at most
 ``width - 1``) a document's hash of each run of that many words is looked up instead.
 
-The fingerprints and windows of the items are broadcast only up to a checked number of rows; beyond
-it the same joins shuffle. The documents' texts never move: only hits and one small row per document
-do, and each is keyed by document, so a passage that many documents share meets in no single task.
+Winnowing all documents would be wasted on most of them. So a first pass looks up every gram of a
+document among the items' fingerprints and drops documents without any: a shared span holds a kept
+gram of the item, so no document is lost. Winnowing and extension run on those that remain.
+
+The fingerprints and windows of the items, and the ids of the remaining documents, are broadcast only
+up to a checked number of rows; beyond it the same joins shuffle. Hits are keyed by document, so a
+passage that many documents share meets in no single task.
 
 Defined results: null texts have no words; an item without words has no window; item ids are
 compared as text and a null id counts as the empty one; rows that repeat are each returned;
@@ -35,7 +39,7 @@ MARKERS = 1024
 
 
 def _run_hash(tokens: Column, at: Column, length: int) -> Column:
-    return F.xxhash64(*[F.get(tokens, at + j) for j in range(length)])
+    return F.xxhash64(F.slice(tokens, at + 1, length))
 
 
 def winnow(tokens: Column, width: int = WIDTH, gram: int = GRAM) -> Column:
@@ -71,7 +75,7 @@ def _item_tables(items: DataFrame, width: int, gram: int) -> tuple[DataFrame, Da
     )
     long = tokens.where(n >= width).select(F.lit(width).alias("kind"), F.explode(winnow(w, width, gram)).alias("p")).select("kind", _hash_of(F.col("p")).alias("fp"))
     short = [
-        tokens.where(n == size).select(F.lit(size).alias("kind"), _run_hash(w, F.lit(0), size).alias("fp")) for size in range(1, width)
+        tokens.where(n == size).select(F.lit(size).alias("kind"), _hash_of(_run_hash(w, F.lit(0), size)).alias("fp")) for size in range(1, width)
     ]
     prints = long
     for part in short:
@@ -79,12 +83,11 @@ def _item_tables(items: DataFrame, width: int, gram: int) -> tuple[DataFrame, Da
     return cut(prints.distinct()), cut(windows)
 
 
-def _entries(tokens: Column, doc_id: Column, short: list[int], width: int, gram: int) -> Column:
-    """A marker for the document, then its fingerprints with the words about them."""
+def _entries(tokens: Column, short: list[int], width: int, gram: int) -> Column:
+    """A document's fingerprints with the words about them."""
     back = width - gram
     kind = "array<struct<kind:int,fp:bigint,at:int,ctx:array<string>>>"
     entry = lambda k, fp, at, ctx: F.struct(k.alias("kind"), fp.alias("fp"), at.alias("at"), ctx.alias("ctx"))
-    marker = F.array(entry(F.lit(0), F.pmod(F.xxhash64(doc_id), F.lit(MARKERS)).cast("long"), F.size(tokens), F.array().cast("array<string>"))).cast(kind)
 
     def about(packed: Column) -> Column:
         return let(
@@ -92,66 +95,89 @@ def _entries(tokens: Column, doc_id: Column, short: list[int], width: int, gram:
             lambda start: entry(F.lit(width), _hash_of(packed), start, F.slice(tokens, start + 1, width + back)),
         )
 
-    parts = [marker, F.transform(winnow(tokens, width, gram), about).cast(kind)]
-
     def runs(size: int) -> Column:
         every = F.sequence(F.lit(0), F.size(tokens) - size)
-        return F.transform(every, lambda i: entry(F.lit(size), _run_hash(tokens, i, size), i, F.slice(tokens, i + 1, size)))
+        return F.transform(every, lambda i: entry(F.lit(size), _hash_of(_run_hash(tokens, i, size)), i, F.slice(tokens, i + 1, size)))
 
+    parts = [F.transform(winnow(tokens, width, gram), about).cast(kind)]
     for size in short:
         parts.append(F.when(F.size(tokens) >= size, runs(size).cast(kind)).otherwise(F.array().cast(kind)))
     return F.concat(*parts)
 
 
+def _all_hashes(tokens: Column, size: int) -> Column:
+    return F.transform(F.sequence(F.lit(0), F.size(tokens) - size), lambda i: _hash_of(_run_hash(tokens, i, size)))
+
+
+def _sift(docs: DataFrame, prints: DataFrame, short: list[int], small: bool, gram: int) -> DataFrame:
+    """``doc_id, mark, n_words, copies, met`` for each distinct row: whether some gram is an item's.
+
+    Each row also sends one marker through the join, spread over ``MARKERS`` keys, so that rows
+    without any gram in common come out too.
+    """
+    spark = docs.sparkSession
+    keys = prints.select("fp").distinct()
+    keys = keys.unionByName(spark.range(MARKERS).select((-F.col("id") - (1 << 40)).alias("fp")))
+
+    def grams(tokens: Column) -> Column:
+        marker = F.array((-F.pmod(F.xxhash64("doc_id", "mark"), F.lit(MARKERS)) - (1 << 40)).cast("long"))
+        parts = [marker]
+        for size in sorted({gram, *short}):
+            parts.append(F.when(F.size(tokens) >= size, _all_hashes(tokens, size)).otherwise(F.array().cast("array<bigint>")))
+        return F.struct(F.size(tokens).alias("n"), F.concat(*parts).alias("fps"))
+
+    rows = docs.select("doc_id", F.xxhash64("text").alias("mark"), "text")
+    rows = rows.select("doc_id", "mark", let(words(F.col("text")), grams).alias("g")).select("doc_id", "mark", F.col("g.n").alias("n"), F.explode("g.fps").alias("fp"))
+    met = rows.join(F.broadcast(keys) if small else keys, "fp")
+    marker = F.col("fp").between(-(1 << 40) - MARKERS, -(1 << 40))
+    return cut(met.groupBy("doc_id", "mark").agg(F.max("n").cast("long").alias("n_words"), F.count_if(marker).alias("copies"), F.bool_or(~marker).alias("met")))
+
+
 def decontaminate(docs: DataFrame, items: DataFrame, width: int = WIDTH, gram: int = GRAM, broadcast_rows: int = BROADCAST_ROWS) -> DataFrame:
     """``doc_id, n_words, n_hit, n_items, items_sha256, contaminated, item_ids`` for each row."""
-    spark = docs.sparkSession
     prints, windows = _item_tables(items, width, gram)
     short = sorted(r["kind"] for r in prints.where(F.col("kind") < width).select("kind").distinct().collect())
     small = prints.count() <= broadcast_rows and windows.count() <= broadcast_rows
-    markers = spark.range(MARKERS).select(F.lit(0).alias("kind"), F.col("id").alias("fp"))
-    keys = prints.unionByName(markers)
+    sifted = _sift(docs, prints, short, small, gram)
 
-    rows = docs.select("doc_id", F.xxhash64("text").alias("mark"), let(words(F.col("text")), lambda w: _entries(w, F.col("doc_id"), short, width, gram)).alias("entries"))
-    rows = rows.select("doc_id", "mark", F.explode("entries").alias("e")).select("doc_id", "mark", "e.*")
-    met = rows.join(F.broadcast(keys) if small else keys, ["kind", "fp"])
+    chosen = sifted.where("met").select(F.col("doc_id").alias("k0"), F.col("mark").alias("k1"))
+    if chosen.count() <= broadcast_rows:
+        chosen = F.broadcast(chosen)
+    rows = docs.select("doc_id", F.xxhash64("text").alias("mark"), "text")
+    rows = rows.join(chosen, rows["doc_id"].eqNullSafe(chosen["k0"]) & (rows["mark"] == chosen["k1"]), "left_semi")
+    rows = rows.select("doc_id", "mark", F.explode(let(words(F.col("text")), lambda w: _entries(w, short, width, gram))).alias("e")).select("doc_id", "mark", "e.*")
+    met = rows.join(F.broadcast(prints) if small else prints, ["kind", "fp"])
 
     length = F.col("kind")
     tried = F.transform(
         F.sequence(F.lit(0), F.size("ctx") - length),
         lambda j: F.struct((F.col("at") + j).alias("start"), F.concat_ws(" ", F.slice("ctx", j + 1, length)).alias("win")),
     )
-    spans = met.select(
-        "doc_id",
-        "mark",
-        F.when(F.col("kind") == 0, F.col("at")).cast("long").alias("n_words"),
-        F.explode_outer(F.when(F.col("kind") > 0, tried)).alias("s"),
-    ).select("doc_id", "mark", "n_words", "s.start", F.coalesce(F.col("s.win"), F.concat(F.lit("~"), F.coalesce(F.col("doc_id").cast("string"), F.lit("")))).alias("win"))
-    hits = spans.join(F.broadcast(windows) if small else windows, "win", "left")
-
+    spans = met.select("doc_id", "mark", F.explode(tried).alias("s")).select("doc_id", "mark", "s.*")
+    hits = spans.join(F.broadcast(windows) if small else windows, "win")
     found = hits.groupBy("doc_id", "mark").agg(
-        F.max("n_words").alias("n_words"),
-        F.count("n_words").alias("copies"),
-        F.collect_set(F.when(F.col("len").isNotNull(), F.struct("start", "len"))).alias("spans"),
-        F.array_distinct(F.flatten(F.collect_set("items"))).alias("found"),
+        F.collect_set(F.struct("start", "len")).alias("spans"), F.array_distinct(F.flatten(F.collect_set("items"))).alias("found")
     )
     step = lambda acc, x: F.struct(
         F.greatest(acc["end"], x["start"] + x["len"]).alias("end"),
         (acc["covered"] + F.greatest(F.lit(0), x["start"] + x["len"] - F.greatest(acc["end"], x["start"]))).cast("long").alias("covered"),
     )
     covered = F.aggregate(F.sort_array("spans"), F.struct(F.lit(0).alias("end"), F.lit(0).cast("long").alias("covered")), step)["covered"]
-    ids = F.sort_array("found")
-    result = found.select(
+    found = found.select(F.col("doc_id").alias("k0"), F.col("mark").alias("k1"), covered.alias("n_hit"), F.sort_array("found").alias("found"))
+
+    both = sifted.join(found, sifted["doc_id"].eqNullSafe(found["k0"]) & (sifted["mark"] == found["k1"]), "left")
+    ids = F.coalesce("found", F.array().cast("array<string>"))
+    n_hit = F.coalesce("n_hit", F.lit(0).cast("long"))
+    return both.select(
         "doc_id",
         "n_words",
-        covered.alias("n_hit"),
-        F.size("found").cast("long").alias("n_items"),
+        n_hit.alias("n_hit"),
+        F.size(ids).cast("long").alias("n_items"),
         F.sha2(F.concat_ws(",", ids), 256).alias("items_sha256"),
+        ((n_hit > 0) & (n_hit * 20 >= F.col("n_words"))).alias("contaminated"),
         ids.alias("item_ids"),
         F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies"))).alias("copy"),
-    )
-    bad = (F.col("n_hit") > 0) & (F.col("n_hit") * 20 >= F.col("n_words"))
-    return result.withColumn("contaminated", bad).select("doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated", "item_ids")
+    ).drop("copy")
 
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
