@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from unischema.llm import chat_format, decontamination, exact_dedup, language_id, line_dedup, near_dedup, packing, sharding
+from unischema.llm import chat_format, decontamination, exact_dedup, language_id, license_scan, line_dedup, near_dedup, packing, quality, sharding
 
 QUERIES = {
     f.__name__: f
@@ -10,7 +10,9 @@ QUERIES = {
         exact_dedup.op1_exact_dedup,
         decontamination.op2_decontamination,
         chat_format.op3_chat_formatting,
+        quality.op4_quality_classifier,
         near_dedup.op5_minhash_near_dedup,
+        license_scan.op6_license_scan,
         language_id.op7_language_id,
         sharding.op8_rendezvous_sharding,
         line_dedup.op9_line_dedup,
