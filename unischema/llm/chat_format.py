@@ -67,13 +67,16 @@ def _ancestors(messages: DataFrame) -> DataFrame:
     )
     state = cut(state)
     bound = state.count()
+    finished, active = state.where("up IS NULL"), state.where("up IS NOT NULL")
     reach = 1
-    while reach <= bound and not state.where("up IS NOT NULL").isEmpty():
-        above = state.select(F.col("tree_id").alias("t"), F.col("id").alias("p"), F.col("up").alias("up2"), F.col("depth").alias("d2"), F.col("total").alias("s2"))
-        met = state.join(above, state["tree_id"].eqNullSafe(above["t"]) & (state["up"] == above["p"]), "left")
-        state = cut(met.select("tree_id", "id", F.col("up2").alias("up"), (F.col("depth") + F.coalesce("d2", F.lit(0))).alias("depth"), (F.col("total") + F.coalesce("s2", F.lit(0.0))).alias("total")))
+    while reach <= bound and not active.isEmpty():
+        known = finished.unionByName(active)
+        above = known.select(F.col("tree_id").alias("t"), F.col("id").alias("p"), F.col("up").alias("up2"), F.col("depth").alias("d2"), F.col("total").alias("s2"))
+        met = active.join(above, active["tree_id"].eqNullSafe(above["t"]) & (active["up"] == above["p"]))
+        state = cut(met.select("tree_id", "id", F.col("up2").alias("up"), (F.col("depth") + F.col("d2")).alias("depth"), (F.col("total") + F.col("s2")).alias("total")))
+        finished, active = finished.unionByName(state.where("up IS NULL")), state.where("up IS NOT NULL")
         reach *= 2
-    return state.where("up IS NULL").drop("up")
+    return finished.drop("up")
 
 
 def best_leaves(messages: DataFrame, branches: int = 1) -> DataFrame:
