@@ -39,16 +39,26 @@ def lines_of(text: Column) -> Column:
     return F.split(F.coalesce(text, F.lit("")), "\n", -1)
 
 
+def full(line: Column) -> Column:
+    """Whether a line has anything but blanks."""
+    return F.length(F.btrim(line, F.lit(" \t\x0b\x0c\r"))) > 0
+
+
 def word_count(line: Column) -> Column:
-    """Words of a line, divided by blanks."""
-    body = F.trim(F.regexp_replace(line, BLANK, " "))
-    return F.when(body == "", 0).otherwise(F.length(body) - F.length(F.replace(body, F.lit(" "), F.lit(""))) + 1)
+    """Words of a line that isn't blank. Lines with single spaces alone are counted by their spaces."""
+
+    def count(body: Column) -> Column:
+        return F.length(body) - F.length(F.replace(body, F.lit(" "), F.lit(""))) + 1
+
+    plain = F.trim(line)
+    odd = plain.rlike(r"[\x09\x0B-\x0D]|  ")
+    return F.when(odd, count(F.trim(F.regexp_replace(plain, BLANK, " ")))).otherwise(count(plain))
 
 
 def _line_table(docs: DataFrame) -> DataFrame:
     """``doc_id, mark, at, a, b, words`` for each non-blank line; ``at`` counts non-blank lines."""
-    full = F.filter(F.transform(lines_of(F.col("text")), lambda x: F.struct(F.xxhash64(x).alias("a"), F.xxhash64(F.lit(11), x).alias("b"), word_count(x).alias("words"))), lambda x: x["words"] > 0)
-    return docs.select("doc_id", F.xxhash64("text").alias("mark"), F.posexplode(full).alias("at", "l")).select(*POSITION, "l.*")
+    cells = F.transform(F.filter(lines_of(F.col("text")), full), lambda x: F.struct(F.xxhash64(x).alias("a"), F.xxhash64(F.lit(11), x).alias("b"), word_count(x).alias("words")))
+    return docs.select("doc_id", F.xxhash64("text").alias("mark"), F.posexplode(cells).alias("at", "l")).select(*POSITION, "l.*")
 
 
 def _ordered(distinct: DataFrame, *names: str) -> DataFrame:
@@ -58,7 +68,7 @@ def _ordered(distinct: DataFrame, *names: str) -> DataFrame:
 
 def _suffix_ranks(docs: DataFrame, min_words: int) -> tuple[DataFrame, int]:
     """Lines of repeated segments with ranks ``r0..rK`` of their suffixes; and K."""
-    lines = _line_table(docs)
+    lines = cut(_line_table(docs))
     repeated = lines.groupBy("a", "b").agg(F.count(F.lit(1)).alias("many")).where("many > 1").select("a", "b")
     suffixes = lines.join(_ordered(repeated, "a", "b"), ["a", "b"]).select(*POSITION, "words", F.col("rank").alias("r0"))
     by_doc = Window.partitionBy("doc_id", "mark").orderBy("at")
@@ -128,11 +138,11 @@ def line_dedup(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
         start = F.struct(F.array().cast("array<string>").alias("kept"), F.lit(0).alias("at"), F.lit(0).alias("next"))
 
         def step(acc: Column, line: Column) -> Column:
-            full = word_count(line) > 0
-            dropped = full & F.coalesce(F.get(drop, acc["next"]) == acc["at"], F.lit(False))
+            counts = full(line)
+            dropped = counts & F.coalesce(F.get(drop, acc["next"]) == acc["at"], F.lit(False))
             return F.struct(
                 F.when(dropped, acc["kept"]).otherwise(F.concat(acc["kept"], F.array(line))).alias("kept"),
-                (acc["at"] + full.cast("int")).alias("at"),
+                (acc["at"] + counts.cast("int")).alias("at"),
                 (acc["next"] + dropped.cast("int")).alias("next"),
             )
 
