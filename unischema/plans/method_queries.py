@@ -718,11 +718,11 @@ def cooccurrence_distance(spark, sf_dir):
 
 @register("""SELECT x.vec_id AS a, y.vec_id AS b, round(list_dot_product(x.v, y.v) / sqrt(list_dot_product(x.v, x.v) * list_dot_product(y.v, y.v)), 4) AS cosine
   FROM (SELECT vec_id, embedding::DOUBLE[] AS v FROM embeddings) x JOIN (SELECT vec_id, embedding::DOUBLE[] AS v FROM embeddings) y ON x.vec_id < y.vec_id
-  WHERE list_dot_product(x.v, y.v) / sqrt(list_dot_product(x.v, x.v) * list_dot_product(y.v, y.v)) >= 0.5""")
+  WHERE list_dot_product(x.v, y.v) / sqrt(list_dot_product(x.v, x.v) * list_dot_product(y.v, y.v)) >= 0.3""")
 def vector_edges(spark, sf_dir):
-    return distance.edges_from_vectors(tables.table(spark, sf_dir, "embeddings"), 0.5).withColumn("cosine", F.round("cosine", 4))
+    return distance.edges_from_vectors(tables.table(spark, sf_dir, "embeddings"), 0.3).withColumn("cosine", F.round("cosine", 4))
 
 
 @register()
 def vector_edges_lsh(spark, sf_dir):
-    return distance.edges_from_vectors(tables.table(spark, sf_dir, "embeddings"), 0.5, lsh_bucket=1.0).withColumn("cosine", F.round("cosine", 4))
+    return distance.edges_from_vectors(tables.table(spark, sf_dir, "embeddings"), 0.3, lsh_bucket=1.0).withColumn("cosine", F.round("cosine", 4))
