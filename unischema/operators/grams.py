@@ -41,7 +41,8 @@ def gram_candidates(x: DataFrame, y: DataFrame, q: int, eps: int, bound: str = "
     """``a, b, shared`` of pairs that pass the count filter, from two posting tables.
 
     ``ordered`` keeps a < b for self joins. ``position`` adds the (unsound on numbered grams, hence
-    optional) filter on gram places.
+    optional) filter on gram places. With ``bound='self'`` a self join links a pair if either word's own
+    bound is met, as each word is looked up in turn.
     """
     met = x.alias("x").join(y.alias("y"), (F.col("x.gram") == F.col("y.gram")) & (F.col("x.occ") == F.col("y.occ")))
     if ordered:
@@ -49,7 +50,9 @@ def gram_candidates(x: DataFrame, y: DataFrame, q: int, eps: int, bound: str = "
     if position:
         met = met.where(F.abs(F.col("x.pos") - F.col("y.pos")) <= eps)
     counted = met.groupBy(F.col("x.attr").alias("a"), F.col("y.attr").alias("b"), F.col("x.len").alias("la"), F.col("y.len").alias("lb")).agg(F.count(F.lit(1)).alias("shared"))
-    return counted.where(F.col("shared") >= F.greatest(_bound(F.col("la"), F.col("lb"), q, eps, bound), F.lit(1)))
+    current = F.least("la", "lb") if ordered else F.col("la")
+    least = _bound(F.col("la"), F.col("lb"), q, eps, bound) if bound == "max" else _bound(current, current, q, eps, bound)
+    return counted.where(F.col("shared") >= F.greatest(least, F.lit(1)))
 
 
 def prefix_postings(postings: DataFrame, frequency: DataFrame, q: int, eps: int) -> DataFrame:

@@ -36,7 +36,7 @@ class State:
         return State(*(spark.createDataFrame([], s) for s in (MEMBER, HALO, MAPPING)))
 
     def cut(self) -> State:
-        return State(cut(self.member), cut(self.halo), cut(self.mapping))
+        return State(cut(self.member), cut(self.halo), cut(self.mapping.distinct()))
 
 
 def halo_hits(names: DataFrame, state: State, cfg: Config = DEFAULT) -> DataFrame:
@@ -77,8 +77,10 @@ def integrate_one(state: State, schema: DataFrame, h1: DataFrame | None = None,
         hits = hits.join(verdicts.select(F.col("a").alias("attr"), F.col("b").alias("cluster_id")), ["attr", "cluster_id"], "left_anti")
     hits = cut(hits)
     fresh = cut(names.join(hits.select("attr").distinct(), "attr", "left_anti"))
-    member, halo = open_clusters(fresh, h1, cfg)
-    member, halo = _join_fresh(fresh, member, halo, cfg)
+    if fresh.isEmpty():
+        member, halo = (schema.sparkSession.createDataFrame([], s) for s in (MEMBER, HALO))
+    else:
+        member, halo = _join_fresh(fresh, *open_clusters(fresh, h1, cfg), cfg)
     best = hits.groupBy("attr", "cluster_id").agg(F.min_by("how", F.when(F.col("how") == "same", 0).when(F.col("how") == "literal", 1).otherwise(2)).alias("how"))
     grown = state.member.unionByName(member)
     if cfg.absorb:

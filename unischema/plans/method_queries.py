@@ -303,7 +303,7 @@ def gram_df(spark, sf_dir):
 
 
 def _candidates_sql(bound: str, q: int = 3, eps: int = 1) -> str:
-    limit = f"greatest(x.size, y.size) - {q} + 1 - {q} * {eps}" if bound == "max" else f"x.size - {q} + 1 - {q} * {eps}"
+    limit = f"greatest(x.size, y.size) - {q} + 1 - {q} * {eps}" if bound == "max" else f"least(x.size, y.size) - {q} + 1 - {q} * {eps}"
     return f"""WITH p AS MATERIALIZED ({postings_sql(tables.TOKEN_SAMPLE_SQL, q)})
       SELECT a, b, shared FROM (SELECT x.attr AS a, y.attr AS b, count(*) AS shared, any_value({limit}) AS least
         FROM p x JOIN p y ON x.gram = y.gram AND x.occ = y.occ AND x.attr < y.attr GROUP BY ALL) WHERE shared >= greatest(least, 1)"""
