@@ -313,10 +313,10 @@ def incremental_nine(spark, sf_dir):
 
 @register("SELECT 0::BIGINT AS n_new")
 def incremental_replay(spark, sf_dir):
-    """The same nine again: none is inserted."""
-    h1, arrivals = _h1(spark, sf_dir), _arrivals(spark, sf_dir)
-    once = incremental.integrate_many(incremental.State.empty(spark), arrivals, h1, _STEPS)
-    again = incremental.integrate_many(incremental.State(once.member, once.halo, once.mapping.limit(0)), arrivals, h1, _STEPS)
+    """The same nine again, as one arrival: none is inserted."""
+    h1 = _h1(spark, sf_dir)
+    once = incremental.integrate_many(incremental.State.empty(spark), _arrivals(spark, sf_dir), h1, _STEPS)
+    again = incremental.integrate_one(incremental.State(once.member, once.halo, once.mapping.limit(0)), _nine_schema(spark, sf_dir), h1, _STEPS)
     return again.mapping.where("how = 'new'").agg(F.count(F.lit(1)).alias("n_new"))
 
 
