@@ -110,18 +110,18 @@ query("percentile", lambda t, s: t("orders").agg(F.round(F.expr("percentile(o_to
 query("filter_agg", lambda t, s: t("labels").agg(F.count_if(F.col("toxic") == 1).alias("n_toxic"), F.count(F.lit(1)).alias("n")), "SELECT count(*) FILTER (WHERE toxic = 1) AS n_toxic, count(*) AS n FROM labels")
 
 # windows
-_by_nation = Window.partitionBy("s_nationkey").orderBy(F.col("s_acctbal").desc())
-query("rank", lambda t, s: t("supplier").select("s_suppkey", F.rank().over(_by_nation).cast("long").alias("k")), "SELECT s_suppkey, rank() OVER (PARTITION BY s_nationkey ORDER BY s_acctbal DESC) AS k FROM supplier")
+_by_nation = lambda: Window.partitionBy("s_nationkey").orderBy(F.col("s_acctbal").desc())
+query("rank", lambda t, s: t("supplier").select("s_suppkey", F.rank().over(_by_nation()).cast("long").alias("k")), "SELECT s_suppkey, rank() OVER (PARTITION BY s_nationkey ORDER BY s_acctbal DESC) AS k FROM supplier")
 query("dense_rank", lambda t, s: t("part").select("p_partkey", F.dense_rank().over(Window.partitionBy("p_brand").orderBy("p_size")).cast("long").alias("k")), "SELECT p_partkey, dense_rank() OVER (PARTITION BY p_brand ORDER BY p_size) AS k FROM part")
 query("ntile", lambda t, s: t("part").select("p_partkey", F.ntile(3).over(Window.partitionBy("p_brand").orderBy("p_partkey")).cast("long").alias("k")), "SELECT p_partkey, ntile(3) OVER (PARTITION BY p_brand ORDER BY p_partkey) AS k FROM part")
-_by_user = Window.partitionBy("user_id").orderBy("ts", "event_id")
-query("lag_lead", lambda t, s: t("events").select("event_id", (micros("ts") - micros(F.lag("ts").over(_by_user))).alias("gap"), F.lead("event_id").over(_by_user).alias("following")),
+_by_user = lambda: Window.partitionBy("user_id").orderBy("ts", "event_id")
+query("lag_lead", lambda t, s: t("events").select("event_id", (micros("ts") - micros(F.lag("ts").over(_by_user()))).alias("gap"), F.lead("event_id").over(_by_user()).alias("following")),
       "SELECT event_id, epoch_us(ts) - epoch_us(lag(ts) OVER w) AS gap, lead(event_id) OVER w AS following FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)")
-query("running_sum_rows", lambda t, s: t("events").select("event_id", F.count("value").over(_by_user.rowsBetween(Window.unboundedPreceding, 0)).alias("n"), dec(F.max("value").over(_by_user.rowsBetween(Window.unboundedPreceding, 0))).alias("most")),
+query("running_sum_rows", lambda t, s: t("events").select("event_id", F.count("value").over(_by_user().rowsBetween(Window.unboundedPreceding, 0)).alias("n"), dec(F.max("value").over(_by_user().rowsBetween(Window.unboundedPreceding, 0))).alias("most")),
       "SELECT event_id, count(value) OVER w AS n, round(max(value) OVER w, 4) AS most FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING)")
 query("moving_avg_range", lambda t, s: t("events").withColumn("us", micros("ts")).select("event_id", F.round(F.avg("value").over(Window.partitionBy("user_id").orderBy("us").rangeBetween(-3_600_000_000, 0)), 6).alias("hour_avg")),
       "SELECT event_id, round(avg(value) OVER (PARTITION BY user_id ORDER BY epoch_us(ts) RANGE BETWEEN 3600000000 PRECEDING AND CURRENT ROW), 6) AS hour_avg FROM events")
-query("first_last", lambda t, s: t("events").select("user_id", F.first("event_type").over(_by_user.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias("first_type"), F.last("event_type").over(_by_user.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias("last_type")).distinct(),
+query("first_last", lambda t, s: t("events").select("user_id", F.first("event_type").over(_by_user().rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias("first_type"), F.last("event_type").over(_by_user().rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias("last_type")).distinct(),
       "SELECT DISTINCT user_id, first_value(event_type) OVER w AS first_type, last_value(event_type) OVER w AS last_type FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)")
 query("topk_global", lambda t, s: t("orders").orderBy(F.col("o_totalprice").desc(), "o_orderkey").limit(10).select("o_orderkey", "o_totalprice"), "SELECT o_orderkey, o_totalprice FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 10")
 query("topk_group", lambda t, s: t("supplier").withColumn("k", F.row_number().over(Window.partitionBy("s_nationkey").orderBy(F.col("s_acctbal").desc(), "s_suppkey"))).where("k <= 3").select("s_suppkey"), "SELECT s_suppkey FROM supplier QUALIFY row_number() OVER (PARTITION BY s_nationkey ORDER BY s_acctbal DESC, s_suppkey) <= 3")
