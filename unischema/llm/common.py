@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import string
 import tempfile
+import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -33,6 +34,30 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint()
 
 
+class Workspace:
+    """Intermediate tables of one operator run, written as Parquet in the shared checkpoint folder.
+
+    Compressed and pruned by column, unlike checkpoints, and deleted by ``clear`` when the run is over.
+    """
+
+    def __init__(self, spark: SparkSession) -> None:
+        self.spark = spark
+        sc = spark.sparkContext
+        if sc._jsc.sc().getCheckpointDir().isEmpty():
+            sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="unischema-checkpoint-"))
+        self.path = f"{sc._jsc.sc().getCheckpointDir().get()}/unischema-{uuid.uuid4().hex}"
+        self.count = 0
+
+    def cut(self, df: DataFrame) -> DataFrame:
+        self.count += 1
+        df.write.parquet(f"{self.path}/{self.count}")
+        return self.spark.read.schema(df.schema).parquet(f"{self.path}/{self.count}")
+
+    def clear(self) -> None:
+        path = self.spark._jvm.org.apache.hadoop.fs.Path(self.path)
+        path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
+
+
 def let(value: Column, body) -> Column:
     """``body(value)`` with ``value`` evaluated once per row, also inside lambdas."""
     return F.get(F.transform(F.array(value), body), F.lit(0))
