@@ -19,8 +19,9 @@ No bucket is ever expanded into all its pairs:
 Beside the indexed symbols each set has a sketch of ``SKETCH`` symbols of b = 4 bits from more hash
 functions. Pairs at the similarity of 0.75 differ in 126.6 of them in the mean with a deviation of 9.8;
 pairs that differ in more than ``SKETCH_DISTANCE`` are passed over. Stars and small buckets use the
-first ``PART`` symbols only (31.6, 4.9 and ``PART_DISTANCE``). In larger buckets a pair is taken only in
-the first bucket that it shares.
+first ``PART`` symbols only (31.6, 4.9 and ``PART_DISTANCE``), small buckets the first ``FIRST`` inside the
+join (10.5, 2.8 and ``FIRST_DISTANCE``). In larger buckets a pair is taken only in the first bucket that
+it shares.
 
 Every link is confirmed on the full sets; the result is exactly the components of the link graph,
 up to the chance above. Sets are shuffled only for documents that have candidates: a fixed-size
@@ -53,7 +54,8 @@ DISTANCE = 2 * CHUNKS - 1
 #: Symbols of the whole sketch and of its first part, with the distances allowed.
 SKETCH, SKETCH_DISTANCE = 540, 171
 PART, PART_DISTANCE = 135, 58
-#: Buckets up to this size are compared by the first part of the sketch alone.
+FIRST, FIRST_DISTANCE = 45, 25
+#: Buckets up to this size are compared by the first symbols of the sketch alone.
 SMALL_BUCKET = 32
 #: Bits of the filter on ids with candidates; fixed, whatever the input.
 FILTER_BITS = 1 << 23
@@ -127,6 +129,7 @@ def signature(shingles: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 _SIG_COLUMNS = [f"s{i}" for i in range(SYMBOLS)]
 _SKETCH_COLUMNS = [f"k{i}" for i in range(SKETCH // 15)]
 _PART_COLUMNS = _SKETCH_COLUMNS[: PART // 15]
+_FIRST_COLUMNS = _SKETCH_COLUMNS[: FIRST // 15]
 
 
 def signatures(docs: DataFrame) -> DataFrame:
@@ -256,16 +259,23 @@ class _Verifier:
     def __init__(self, docs: DataFrame, cut) -> None:
         self.docs, self.cut = docs, cut
 
-    def links(self, pairs: DataFrame) -> DataFrame:
+    def links(self, pairs: DataFrame, folded: bool = False) -> DataFrame:
+        """Pairs at the similarity or above. ``folded`` first tries sets of 31-bit hashes at two per cent
+        below it, which spares the exchange of whole sets where few pairs are links."""
         pairs = self.cut(pairs)
         ids = self.cut(pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct())
         sets = self.cut(shingle_sets(self.docs, ids).join(ids, "id", "left_semi").dropDuplicates(["id"]))
+        if folded:
+            short = sets.select("id", F.transform("shingles", lambda x: x.bitwiseAND(F.lit(0x7FFFFFFF)).cast("int")).alias("shingles"))
+            pairs = self.cut(self._alike(pairs, short, PERCENT - 2))
+        return self.cut(self._alike(pairs, sets, PERCENT))
+
+    def _alike(self, pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
         left = sets.select(F.col("id").alias("a"), F.col("shingles").alias("x"))
         right = sets.select(F.col("id").alias("b"), F.col("shingles").alias("y"))
-        both = pairs.join(left, "a").join(right, "b")
         shared = F.size(F.array_intersect("x", "y"))
-        linked = shared * 100 >= (F.size("x") + F.size("y") - shared) * PERCENT
-        return self.cut(both.where(linked).select("a", "b"))
+        linked = shared * 100 >= (F.size("x") + F.size("y") - shared) * percent
+        return pairs.join(left, "a").join(right, "b").where(linked).select("a", "b")
 
 
 def near_duplicates(docs: DataFrame) -> DataFrame:
@@ -283,7 +293,7 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     verifier = _Verifier(docs, work.cut)
     links = verifier.links(_star_pairs(keyed, reps))
     labels = components(links, work.cut)
-    found = verifier.links(_cross_pairs(work.cut(_open_buckets(keyed, labels)), indexed))
+    found = verifier.links(_cross_pairs(work.cut(_open_buckets(keyed, labels)), indexed), folded=True)
     if not found.isEmpty():
         labels = components(links.unionByName(found), work.cut)
     named = classes.join(labels, classes["id"] == labels["node"], "left").select("d0", "d1", "n", "size", F.coalesce("label", "id").alias("component"))
@@ -300,9 +310,15 @@ def _open_buckets(keyed: DataFrame, labels: DataFrame) -> DataFrame:
 
 
 def _star_pairs(keyed: DataFrame, reps: DataFrame) -> DataFrame:
-    """Each member with two centres of each of its buckets: the least id, and one by a hash that differs by bucket."""
-    met = keyed.select("id", F.explode(F.array_distinct(F.array("c0", "c1"))).alias("c"))
+    """Each member with its buckets' least ids, and in one bucket of each chunk with a centre by a hash that differs by bucket."""
+    own = F.when(F.col("slot") % CHUNK == 0, F.array("c0", "c1")).otherwise(F.array("c0"))
+    met = keyed.select("id", F.explode(F.array_distinct(own)).alias("c"))
     pairs = met.where("id <> c").select(F.least("id", "c").alias("a"), F.greatest("id", "c").alias("b")).distinct()
+    return _sifted(pairs, reps)
+
+
+def _sifted(pairs: DataFrame, reps: DataFrame) -> DataFrame:
+    """The pairs whose sizes and first sketch parts allow the similarity."""
     joined = pairs.join(reps.alias("l"), F.col("a") == F.col("l.id")).join(reps.alias("r"), F.col("b") == F.col("r.id"))
     return joined.where(_near("l", "r", _PART_COLUMNS, PART_DISTANCE)).select("a", "b")
 
@@ -315,9 +331,10 @@ def _cross_pairs(buckets: DataFrame, indexed: DataFrame) -> DataFrame:
     """
     low, high = F.least("l.id", "r.id").alias("a"), F.greatest("l.id", "r.id").alias("b")
     apart = (F.col("l.key") == F.col("r.key")) & (F.col("l.label") < F.col("r.label"))
-    small = buckets.where(F.col("many") <= SMALL_BUCKET).join(indexed.select("id", "n", *_PART_COLUMNS), "id")
-    near = small.alias("l").join(small.alias("r"), apart & _near("l", "r", _PART_COLUMNS, PART_DISTANCE)).select(low, high)
-    large = buckets.where(F.col("many") > SMALL_BUCKET).join(indexed.select("id", "n", *_SKETCH_COLUMNS, *_SIG_COLUMNS), "id")
+    small = buckets.where(F.col("many") <= SMALL_BUCKET).select("key", "id", "label").join(indexed.select("id", "n", *_FIRST_COLUMNS), "id")
+    met = small.alias("l").join(small.alias("r"), apart & _near("l", "r", _FIRST_COLUMNS, FIRST_DISTANCE)).select(low, high)
+    near = _sifted(met.distinct(), indexed.select("id", "n", *_PART_COLUMNS))
+    large = buckets.where(F.col("many") > SMALL_BUCKET).select("key", "slot", "id", "label").join(indexed.select("id", "n", *_SKETCH_COLUMNS, *_SIG_COLUMNS), "id")
     alike = _near("l", "r", _SKETCH_COLUMNS, SKETCH_DISTANCE) & (_first_shared("l", "r") == F.col("l.slot"))
     more = large.alias("l").join(large.alias("r"), apart & alike).select(low, high)
     return near.unionByName(more).distinct()
