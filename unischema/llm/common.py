@@ -34,6 +34,17 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint()
 
 
+#: Rows of one Arrow batch; whole texts are long, and the default of ten thousand fills much memory.
+ARROW_ROWS = 1000
+
+
+def arrow_ready(spark: SparkSession) -> None:
+    """Ask for smaller Arrow batches in this session, unless they are small already."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(key)) <= ARROW_ROWS:
+        spark.conf.set(key, str(ARROW_ROWS))
+
+
 class Workspace:
     """Intermediate tables of one operator run, written as Parquet in the shared checkpoint folder.
 

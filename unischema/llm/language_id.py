@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from unischema.llm.common import cut, drop_rows, held_out, read_table
+from unischema.llm.common import arrow_ready, cut, drop_rows, held_out, read_table
 
 #: Expected number of labelled documents that the fit reads; rows beyond are left out by a hash.
 SAMPLE_DOCS = 20_000
@@ -149,6 +149,7 @@ def fit(docs: DataFrame, sample_docs: int = SAMPLE_DOCS) -> Model:
 
 def identify(docs: DataFrame, model: Model) -> DataFrame:
     """``doc_id, held_out, lang_pred, score`` for each row."""
+    arrow_ready(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -43,7 +43,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from unischema.llm.common import Workspace, cut, drop_rows, read_table
+from unischema.llm.common import Workspace, arrow_ready, cut, drop_rows, read_table
 
 SHINGLE = 5
 #: Link at 100 * intersection >= PERCENT * union.
@@ -59,6 +59,8 @@ FIRST, FIRST_DISTANCE = 45, 25
 SMALL_BUCKET = 32
 #: Bits of the filter on ids with candidates; fixed, whatever the input.
 FILTER_BITS = 1 << 23
+#: Edges for each task of the small steps of the components.
+EDGES_A_TASK = 50_000
 #: A class counts as hot beyond one in so many rows.
 HOT_SHARE = 1000
 
@@ -208,13 +210,14 @@ def components(links: DataFrame, cut=cut) -> DataFrame:
     if edges.isEmpty():
         return edges.select(F.col("u").alias("node"), F.col("v").alias("label"))
     mark = None
+    tasks = 16 + edges.count() // EDGES_A_TASK
     while True:
         both = edges.select("u", "v").union(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
-        large = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
+        large = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").coalesce(tasks).distinct().coalesce(tasks)
         floor = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = large.join(floor, "u").select(F.greatest("v", "m").alias("x"), F.col("m").alias("v"), "u")
-        edges = cut(small.select(F.col("x").alias("u"), "v").where("u <> v").union(floor.select("u", F.col("m").alias("v"))).distinct())
+        small = large.join(floor, "u").select(F.explode(F.array(F.struct(F.greatest("v", "m").alias("u"), F.col("m").alias("v")), F.struct("u", F.col("m").alias("v")))).alias("e")).select("e.*")
+        edges = cut(small.where("u <> v").coalesce(tasks).distinct().coalesce(tasks))
         now = edges.agg(F.count(F.lit(1)), F.sum(F.pmod(F.xxhash64("u", "v"), F.lit(1 << 40)))).first()
         if now == mark:
             break
@@ -280,6 +283,7 @@ class _Verifier:
 
 def near_duplicates(docs: DataFrame) -> DataFrame:
     """``doc_id, n_shingles, component_id, kept`` for each row of ``docs``."""
+    arrow_ready(docs.sparkSession)
     work = Workspace(docs.sparkSession)
     signed = work.cut(signatures(docs))
     classes = signed.where("n > 0").groupBy("d0", "d1", "n").agg(F.min("doc_id").alias("id"), F.count(F.lit(1)).alias("size"), *[F.min(s).alias(s) for s in (*_SIG_COLUMNS, *_SKETCH_COLUMNS)])

@@ -15,6 +15,7 @@ gives an empty result. Texts of any length are tokenised whole.
 from __future__ import annotations
 
 import base64
+import json
 import zlib
 from collections.abc import Iterator
 from functools import lru_cache
@@ -25,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from unischema.llm.common import cut, read_table
+from unischema.llm.common import arrow_ready, cut, read_table
 
 CAPACITY = 2048
 END_ID = 0
@@ -37,6 +38,15 @@ FAN, ROUNDS = 8, 2
 LONG_RUN = 2000
 
 
+@lru_cache(maxsize=2)
+def _whole(name: str):
+    """The JSON tokenizer, loaded only where a text needs it."""
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    return Tokenizer.from_file(public_tokenizers.path(f"{name}.json"))
+
+
 @lru_cache(maxsize=2)
 def _encoder(name: str):
     """``encode(text)`` for a byte-level BPE named without its suffix.
@@ -46,17 +56,16 @@ def _encoder(name: str):
     """
     import public_tokenizers
     import tiktoken
-    from tokenizers import Tokenizer
 
-    whole = Tokenizer.from_file(public_tokenizers.path(f"{name}.json"))
-    special = [t.content for t in whole.get_added_tokens_decoder().values()]
+    with open(public_tokenizers.path(f"{name}.json"), encoding="utf-8") as file:
+        special = [t["content"] for t in json.load(file)["added_tokens"]]
     with open(public_tokenizers.path(f"{name}.tiktoken"), "rb") as lines:
         ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, lines)}
     fast = tiktoken.Encoding(name, pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
 
     def encode(text: str) -> list[int]:
         odd = any(s in text for s in special) or (len(text) > LONG_RUN and max(map(len, text.split()), default=0) > LONG_RUN)
-        return whole.encode(text, add_special_tokens=False).ids if odd else fast.encode_ordinary(text)
+        return _whole(name).encode(text, add_special_tokens=False).ids if odd else fast.encode_ordinary(text)
 
     return encode
 
@@ -77,6 +86,7 @@ PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
 def tokenise(docs: DataFrame, tokenizer: str = "byte_bpe_50k", capacity: int = CAPACITY) -> DataFrame:
     """One row per piece of each document."""
+    arrow_ready(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:

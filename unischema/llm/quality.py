@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from unischema.llm.common import held_out, read_table
+from unischema.llm.common import arrow_ready, held_out, read_table
 
 SAMPLE_DOCS = 6_000
 BUCKETS = 1 << 12
@@ -168,6 +168,7 @@ def fit(docs: DataFrame, labels: DataFrame, sample_docs: int = SAMPLE_DOCS) -> F
 
 def score_quality(docs: DataFrame, machine: FactorisationMachine) -> DataFrame:
     """``doc_id, held_out, score, predicted`` for each row."""
+    arrow_ready(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(machine)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
