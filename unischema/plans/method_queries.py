@@ -442,7 +442,6 @@ def locate_members(spark, sf_dir):
     return clusters.locate(family["member"], _catalog_attrs(spark, sf_dir).select("attr").where("attr LIKE '%name'").distinct()).select("attr", "cluster_id")
 
 
-_MERGE_NOUNS = ("anvil", "bolt")
 
 
 @register(f"""WITH h AS (SELECT noun, neighbour FROM (SELECT DISTINCT string_split(p_name, ' ')[-1] AS noun FROM part) JOIN ({H1_SQL}) ON noun = concept),
@@ -705,7 +704,6 @@ def synonym_distances(spark, sf_dir):
     return found.select(F.col("end").alias("end_concept"), F.col("len").alias("cost"))
 
 
-_COOC_WORDS = "SELECT DISTINCT p_brand AS doc_id, unnest(string_split(p_name, ' ')) AS word FROM part"
 
 
 @register(f"""WITH r AS (SELECT DISTINCT p_partkey % 97 AS doc_id, unnest(string_split(p_name, ' ')) AS word FROM part), f AS (SELECT word, count(*) AS f FROM r GROUP BY word),
