@@ -9,7 +9,7 @@ from unischema.config import DEFAULT
 from unischema.functions.lineage import cut
 from unischema.operators import clusters, concept, distance, knowledge, layout, literal, metrics, resolve, verify
 from unischema.plans import batch, flagship, incremental, workloads
-from unischema.plans.method_queries import CATALOG_SQL, NINE_SQL, _catalog_attrs, _components_sql, _concepts, _h1, _nine, pairs_sql, reach_sql, register
+from unischema.plans.method_queries import CATALOG_SQL, NINE_SQL, _catalog_attrs, _components_sql, _concepts, _h1, _nine, _part_names, pairs_sql, reach_sql, register, seeded
 from unischema.sources import fixtures, tables
 from unischema.sources.fixtures import frame, sql_values
 from unischema.sources.taxonomy import H1_SQL
@@ -248,6 +248,20 @@ def _nine_schema(spark, sf_dir):
 _NINE_PAIRS = f"WITH RECURSIVE {reach_sql(NINE_SQL, 2)} SELECT start_concept AS a, end_concept AS b FROM reach WHERE start_concept < end_concept AND end_concept IN (SELECT concept FROM seeds)"
 
 
+def _all_schema(spark, sf_dir):
+    """Every part name, each in the schema of its first letters."""
+    return cut(_part_names(spark, sf_dir).select(F.concat(F.lit("s"), F.substring("concept", 1, 4)).alias("schema_id"), F.col("concept").alias("attr")))
+
+
+_ALL_PAIRS = f"WITH RECURSIVE {reach_sql('SELECT DISTINCT p_name AS concept FROM part', 2)} SELECT start_concept AS a, end_concept AS b FROM reach WHERE start_concept < end_concept AND end_concept IN (SELECT concept FROM seeds)"
+
+
+@register(_components_sql(_ALL_PAIRS, "SELECT DISTINCT p_name AS attr FROM part"))
+def batch_taxonomy_all(spark, sf_dir):
+    """Semantic integration of all part names at threshold 2: clusters."""
+    return batch.integrate_batch(_all_schema(spark, sf_dir), _h1(spark, sf_dir), DEFAULT.but(gamma=2, literal=False, resolve="none")).members
+
+
 @register(_components_sql(_NINE_PAIRS, f"SELECT concept AS attr FROM ({NINE_SQL})"))
 def batch_taxonomy(spark, sf_dir):
     """Semantic integration of nine names at threshold 2: clusters."""
@@ -268,6 +282,10 @@ def batch_literal_only(spark, sf_dir):
 
 for _strategy in ("overlap", "cover", "dense", "none"):
 
+    @register(name=f"batch_all_{_strategy}")
+    def _resolved_all(spark, sf_dir, strategy=_strategy):
+        return batch.integrate_batch(_all_schema(spark, sf_dir), _h1(spark, sf_dir), DEFAULT.but(gamma=2, literal=False, resolve=strategy)).parts
+
     @register(name=f"batch_nine_{_strategy}")
     def _resolved(spark, sf_dir, strategy=_strategy):
         return batch.integrate_batch(_nine_schema(spark, sf_dir), _h1(spark, sf_dir), DEFAULT.but(gamma=2, literal=False, resolve=strategy)).parts
@@ -278,6 +296,11 @@ def batch_closure_beta_one(spark, sf_dir):
     return batch.integrate_batch(_nine_schema(spark, sf_dir), _h1(spark, sf_dir), DEFAULT.but(gamma=2, literal=False, beta=1.0)).parts
 
 
+@register()
+def batch_closure_beta_one_all(spark, sf_dir):
+    return batch.integrate_batch(_all_schema(spark, sf_dir), _h1(spark, sf_dir), DEFAULT.but(gamma=2, literal=False, beta=1.0)).parts
+
+
 @register()
 def rule_disagreements(spark, sf_dir):
     """Pairs joined by the pipeline at (1, 2) that the two-case rule does not call related."""
@@ -287,10 +310,10 @@ def rule_disagreements(spark, sf_dir):
     return batch.rule_disagreements(batch.integrate_batch(names, h1, cfg).pairs, _concepts(h1), h1, cfg)
 
 
-@register(f"""WITH RECURSIVE {reach_sql(NINE_SQL, 4)}, s AS (SELECT start_concept, g, count(*) AS n FROM reach, range(0, 5) t(g) WHERE hops <= g GROUP BY ALL)
+@seeded(lambda seeds: f"""WITH RECURSIVE {reach_sql(seeds, 4)}, s AS (SELECT start_concept, g, count(*) AS n FROM reach, range(0, 5) t(g) WHERE hops <= g GROUP BY ALL)
   SELECT start_concept AS concept, max(g)::BIGINT AS gamma, max(n)::BIGINT AS n FROM s WHERE n <= 500 GROUP BY start_concept""")
-def advise_gamma(spark, sf_dir):
-    return long(batch.advise_gamma(_nine(spark, sf_dir), _h1(spark, sf_dir), 500), "gamma", "n")
+def advise_gamma(spark, sf_dir, seeds):
+    return long(batch.advise_gamma(seeds, _h1(spark, sf_dir), 500), "gamma", "n")
 
 
 # ---------------------------------------------------------------- incremental
@@ -304,6 +327,14 @@ def _arrivals(spark, sf_dir):
     return [frame(spark, [(f"arrival{i}", name)], "schema_id string, attr string") for i, name in enumerate(names)]
 
 
+def _all_arrivals(spark, sf_dir):
+    """Every part name, one arrival for each schema of ``_all_schema``."""
+    arrivals: dict[str, list[tuple[str, str]]] = {}
+    for r in sorted(_all_schema(spark, sf_dir).collect()):
+        arrivals.setdefault(r["schema_id"], []).append(tuple(r))
+    return [frame(spark, rows, "schema_id string, attr string") for rows in arrivals.values()]
+
+
 @register()
 def incremental_nine(spark, sf_dir):
     """Nine names one by one: which are inserted, which hit a member or a halo."""
@@ -331,21 +362,30 @@ def halo_hits(spark, sf_dir):
     return incremental.halo_hits(names, state, _STEPS.but(eps_t=0)).select("attr").distinct()
 
 
-@register(f"""SELECT cluster_id, concept FROM (SELECT n.concept AS cluster_id, h.neighbour AS concept, row_number() OVER (PARTITION BY n.concept ORDER BY d.degree DESC, h.neighbour) AS k
-  FROM ({NINE_SQL}) n JOIN ({H1_SQL}) h ON n.concept = h.concept JOIN (SELECT concept, count(*) AS degree FROM ({H1_SQL}) GROUP BY concept) d ON h.neighbour = d.concept) WHERE k <= 4""")
-def halo_top_degree(spark, sf_dir):
-    members = _nine(spark, sf_dir).select(F.col("concept").alias("cluster_id"), F.col("concept").alias("attr"))
+@seeded(lambda seeds: f"""SELECT cluster_id, concept FROM (SELECT n.concept AS cluster_id, h.neighbour AS concept, row_number() OVER (PARTITION BY n.concept ORDER BY d.degree DESC, h.neighbour) AS k
+  FROM ({seeds}) n JOIN ({H1_SQL}) h ON n.concept = h.concept JOIN (SELECT concept, count(*) AS degree FROM ({H1_SQL}) GROUP BY concept) d ON h.neighbour = d.concept) WHERE k <= 4""")
+def halo_top_degree(spark, sf_dir, seeds):
+    members = seeds.select(F.col("concept").alias("cluster_id"), F.col("concept").alias("attr"))
     return concept.ball_halo(members, _h1(spark, sf_dir), 2, "top_degree", 4).select("cluster_id", "concept")
 
 
+def _policy_counts(spark, sf_dir, arrivals, policy):
+    done = incremental.integrate_many(incremental.State.empty(spark), arrivals, _h1(spark, sf_dir), _STEPS.but(halo_policy=policy))
+    counts = done.mapping.groupBy("how").agg(F.count(F.lit(1)).alias("n"))
+    return counts.crossJoin(done.halo.agg(F.count(F.lit(1)).alias("halo_rows")))
+
+
 for _policy in ("ball", "top_degree", "none"):
 
     @register(name=f"incremental_policy_{_policy}")
     def _policies(spark, sf_dir, policy=_policy):
         """How many of nine arrivals are new, and how large the halo grows, by halo policy."""
-        done = incremental.integrate_many(incremental.State.empty(spark), _arrivals(spark, sf_dir)[:5], _h1(spark, sf_dir), _STEPS.but(halo_policy=policy))
-        counts = done.mapping.groupBy("how").agg(F.count(F.lit(1)).alias("n"))
-        return counts.crossJoin(done.halo.agg(F.count(F.lit(1)).alias("halo_rows")))
+        return _policy_counts(spark, sf_dir, _arrivals(spark, sf_dir), policy)
+
+    @register(name=f"incremental_policy_{_policy}_all")
+    def _policies_all(spark, sf_dir, policy=_policy):
+        """The same for all part names."""
+        return _policy_counts(spark, sf_dir, _all_arrivals(spark, sf_dir), policy)
 
 
 # ---------------------------------------------------------------- measures
@@ -389,9 +429,9 @@ def gold_labels(spark, sf_dir):
     return rows.groupBy(F.col("label").cast("long").alias("target")).agg(F.count(F.lit(1)).alias("gold"))
 
 
-@register(f"""WITH RECURSIVE {reach_sql(NINE_SQL, 3)} SELECT hops, count(*) AS n_paths, count(DISTINCT end_concept) AS n_ends FROM reach GROUP BY hops""")
-def frontier_stats(spark, sf_dir):
-    stats = metrics.frontier_stats(knowledge.k_hop(_nine(spark, sf_dir), _h1(spark, sf_dir), 3))
+@seeded(lambda seeds: f"""WITH RECURSIVE {reach_sql(seeds, 3)} SELECT hops, count(*) AS n_paths, count(DISTINCT end_concept) AS n_ends FROM reach GROUP BY hops""")
+def frontier_stats(spark, sf_dir, seeds):
+    stats = metrics.frontier_stats(knowledge.k_hop(seeds, _h1(spark, sf_dir), 3))
     return stats.select(F.col("len").cast("long").alias("hops"), "n_paths", "n_ends")
 
 

@@ -34,6 +34,7 @@ def register(sql: str | None = None, name: str | None = None):
 # ---------------------------------------------------------------- inputs and knowledge base
 
 NINE_SQL = "SELECT DISTINCT p_name AS concept FROM part ORDER BY p_name LIMIT 9"
+EVERY_SQL = f"SELECT DISTINCT concept FROM ({H1_SQL})"
 CATALOG_SQL = "SELECT DISTINCT attr FROM " + tables.catalog_values()
 
 
@@ -46,6 +47,26 @@ def _nine(spark: SparkSession, sf_dir: str) -> DataFrame:
     return names.orderBy("concept").limit(9)
 
 
+def _every(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All concepts of the knowledge base."""
+    return _concepts(_h1(spark, sf_dir))
+
+
+def seeded(sql: Callable[[str], str], name: str | None = None):
+    """Registers ``function(spark, sf_dir, seeds)`` for the nine names and, as ``<name>_all``, for every concept.
+
+    The SQL form is a function of the seeds' SQL.
+    """
+
+    def wrap(function):
+        own = name or function.__name__
+        for end, seeds, seeds_sql in (("", _nine, NINE_SQL), ("_all", _every, EVERY_SQL)):
+            register(sql(seeds_sql), name=own + end)(lambda spark, sf_dir, seeds=seeds: function(spark, sf_dir, seeds(spark, sf_dir)))
+        return function
+
+    return wrap
+
+
 def _catalog_attrs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tables.catalog(spark, sf_dir).select("schema_id", "attr")
 
@@ -144,10 +165,10 @@ def restricted_by_type(spark, sf_dir):
     return knowledge.restrict(taxonomy.trade_relations(spark, sf_dir), types=["nation", "region", "customer"]).select("sub_name", "super_name")
 
 
-@register(f"""WITH RECURSIVE {reach_sql(NINE_SQL, 2)}, ball AS (SELECT DISTINCT end_concept AS c FROM reach)
+@seeded(lambda seeds: f"""WITH RECURSIVE {reach_sql(seeds, 2)}, ball AS (SELECT DISTINCT end_concept AS c FROM reach)
   SELECT sub_name, super_name FROM ({RELATIONS_SQL}) WHERE sub_name IN (SELECT c FROM ball) AND super_name IN (SELECT c FROM ball)""")
-def restricted_by_ball(spark, sf_dir):
-    return knowledge.restrict(taxonomy.trade_relations(spark, sf_dir), seeds=_nine(spark, sf_dir), radius=2).select("sub_name", "super_name")
+def restricted_by_ball(spark, sf_dir, seeds):
+    return knowledge.restrict(taxonomy.trade_relations(spark, sf_dir), seeds=seeds, radius=2).select("sub_name", "super_name")
 
 
 @register(EDGES_SQL)
@@ -476,9 +497,9 @@ def hop2(spark, sf_dir):
     return knowledge.hop_table(_h1(spark, sf_dir), 2)
 
 
-@register(f"WITH RECURSIVE {reach_sql(NINE_SQL, 3)} SELECT start_concept AS concept, end_concept AS neighbour FROM reach WHERE hops = 3")
-def hop3(spark, sf_dir):
-    return knowledge.k_hop(_nine(spark, sf_dir), _h1(spark, sf_dir), 3).where("len = 3").select(F.col("start").alias("concept"), F.col("end").alias("neighbour"))
+@seeded(lambda seeds: f"WITH RECURSIVE {reach_sql(seeds, 3)} SELECT start_concept AS concept, end_concept AS neighbour FROM reach WHERE hops = 3")
+def hop3(spark, sf_dir, seeds):
+    return knowledge.k_hop(seeds, _h1(spark, sf_dir), 3).where("len = 3").select(F.col("start").alias("concept"), F.col("end").alias("neighbour"))
 
 
 @register(f"WITH RECURSIVE {reach_sql('SELECT concept FROM h1', 2)} SELECT start_concept AS a, end_concept AS b, hops FROM reach")
@@ -498,19 +519,19 @@ def hop_plan(spark, sf_dir):
 
 for _plan in ("binary", "meet", "frontier"):
 
-    @register(f"WITH RECURSIVE {reach_sql(NINE_SQL, 3)} SELECT * FROM reach", name=f"expand_{_plan}_g3")
-    def _expand(spark, sf_dir, plan=_plan):
-        return _paths(concept.related_concepts(_nine(spark, sf_dir), _h1(spark, sf_dir), 3, plan))
+    @seeded(lambda seeds: f"WITH RECURSIVE {reach_sql(seeds, 3)} SELECT * FROM reach", name=f"expand_{_plan}_g3")
+    def _expand(spark, sf_dir, seeds, plan=_plan):
+        return _paths(concept.related_concepts(seeds, _h1(spark, sf_dir), 3, plan))
 
 
-@register(f"WITH RECURSIVE {reach_sql(NINE_SQL, 3)} SELECT * FROM reach")
-def expand_single_hops_g3(spark, sf_dir):
-    return _paths(baselines.expand_by_single_hops(_nine(spark, sf_dir), _h1(spark, sf_dir), 3))
+@seeded(lambda seeds: f"WITH RECURSIVE {reach_sql(seeds, 3)} SELECT * FROM reach")
+def expand_single_hops_g3(spark, sf_dir, seeds):
+    return _paths(baselines.expand_by_single_hops(seeds, _h1(spark, sf_dir), 3))
 
 
-@register(f"WITH RECURSIVE {reach_sql(NINE_SQL, 2)} SELECT end_concept, string_agg(start_concept || ':' || hops, ',' ORDER BY start_concept, hops) AS paths FROM reach GROUP BY end_concept")
-def path_sets(spark, sf_dir):
-    sets = knowledge.path_sets(knowledge.k_hop(_nine(spark, sf_dir), _h1(spark, sf_dir), 2))
+@seeded(lambda seeds: f"WITH RECURSIVE {reach_sql(seeds, 2)} SELECT end_concept, string_agg(start_concept || ':' || hops, ',' ORDER BY start_concept, hops) AS paths FROM reach GROUP BY end_concept")
+def path_sets(spark, sf_dir, seeds):
+    sets = knowledge.path_sets(knowledge.k_hop(seeds, _h1(spark, sf_dir), 2))
     return sets.select(F.col("end").alias("end_concept"), F.array_join(F.transform("paths", lambda p: F.concat_ws(":", p["start"], p["len"])), ",").alias("paths"))
 
 
@@ -557,20 +578,21 @@ def concept_pairs_meet_g3(spark, sf_dir):
     return concept.concept_pairs(_part_names(spark, sf_dir), _h1(spark, sf_dir), 3, "meet").where("d <= 3").withColumn("d", F.col("d").cast("long"))
 
 
-_FAMILY_SQL = f"WITH RECURSIVE {reach_sql(NINE_SQL, 1)}, halo AS (SELECT start_concept AS cid, end_concept AS concept, hops AS d_sem FROM reach)"
+def _family_sql(seeds: str) -> str:
+    return f"WITH RECURSIVE {reach_sql(seeds, 1)}, halo AS (SELECT start_concept AS cid, end_concept AS concept, hops AS d_sem FROM reach)"
 
 
-def _nine_family(spark, sf_dir, h1):
-    member = cut(_nine(spark, sf_dir).select(F.col("concept").alias("cluster_id"), F.col("concept").alias("attr")))
+def _seed_family(seeds, h1):
+    member = cut(seeds.select(F.col("concept").alias("cluster_id"), F.col("concept").alias("attr")))
     return {"member": member, "halo": cut(concept.ball_halo(member, h1, 1))}
 
 
-@register(f"""{_FAMILY_SQL} SELECT DISTINCT least(r.start_concept, h.cid) AS a, greatest(r.start_concept, h.cid) AS b FROM reach r JOIN halo h ON r.end_concept = h.concept
+@seeded(lambda seeds: f"""{_family_sql(seeds)} SELECT DISTINCT least(r.start_concept, h.cid) AS a, greatest(r.start_concept, h.cid) AS b FROM reach r JOIN halo h ON r.end_concept = h.concept
   WHERE r.start_concept <> h.cid AND r.hops + h.d_sem <= 2 AND r.hops <= 1""")
-def concept_halo_lanes(spark, sf_dir):
+def concept_halo_lanes(spark, sf_dir, seeds):
     """Members within one hop of a halo concept, the whole within two: paths of length 1 against halos."""
     h1 = _h1(spark, sf_dir)
-    family = _nine_family(spark, sf_dir, h1)
+    family = _seed_family(seeds, h1)
     near = concept.concept_matches({"member": family["member"], "halo": family["halo"].withColumn("d_sem", F.col("d_sem") - 1)}, h1, 1, ("mh", "hm"))
     return near.select("a", "b").distinct()
 
@@ -583,20 +605,20 @@ def concept_clusters(spark, sf_dir):
 
 for _gamma in (2, 3):
 
-    @register(f"WITH RECURSIVE {reach_sql(NINE_SQL, _gamma)} SELECT * FROM reach", name=f"related_concepts_g{_gamma}")
-    def _related(spark, sf_dir, gamma=_gamma):
-        return _paths(concept.related_concepts(_nine(spark, sf_dir), _h1(spark, sf_dir), gamma))
+    @seeded(lambda seeds, gamma=_gamma: f"WITH RECURSIVE {reach_sql(seeds, gamma)} SELECT * FROM reach", name=f"related_concepts_g{_gamma}")
+    def _related(spark, sf_dir, seeds, gamma=_gamma):
+        return _paths(concept.related_concepts(seeds, _h1(spark, sf_dir), gamma))
 
 
-@register(f"WITH RECURSIVE {reach_sql(NINE_SQL, 2)} SELECT * FROM reach")
-def concept_join_recursive(spark, sf_dir):
-    return _paths(concept.concept_join_recursive(spark, _nine(spark, sf_dir), _h1(spark, sf_dir), 2))
+@seeded(lambda seeds: f"WITH RECURSIVE {reach_sql(seeds, 2)} SELECT * FROM reach")
+def concept_join_recursive(spark, sf_dir, seeds):
+    return _paths(concept.concept_join_recursive(spark, seeds, _h1(spark, sf_dir), 2))
 
 
-@register(f"WITH RECURSIVE {reach_sql(NINE_SQL, 3)} SELECT * FROM reach")
-def scan_semantic(spark, sf_dir):
+@seeded(lambda seeds: f"WITH RECURSIVE {reach_sql(seeds, 3)} SELECT * FROM reach")
+def scan_semantic(spark, sf_dir, seeds):
     edges = cut(knowledge.edges(taxonomy.trade_relations(spark, sf_dir)))
-    return _paths(baselines.scan_semantic(_nine(spark, sf_dir), edges, 3))
+    return _paths(baselines.scan_semantic(seeds, edges, 3))
 
 
 @register(f"WITH RECURSIVE {reach_sql('SELECT concept FROM h1', 2)} SELECT start_concept AS a, end_concept AS b, hops FROM reach WHERE start_concept < end_concept AND start_concept IN (SELECT p_name FROM part) AND end_concept IN (SELECT p_name FROM part)")
@@ -607,10 +629,10 @@ def bruteforce_semantic(spark, sf_dir):
     return own.select("a", "b", F.col("len").cast("long").alias("hops"))
 
 
-@register(f"""WITH RECURSIVE g AS (SELECT concept, neighbour FROM ({H1_SQL}) WHERE concept NOT IN (SELECT concept FROM ({H1_SQL}) GROUP BY concept HAVING count(*) > 100)),
-  {reach_sql(NINE_SQL, 3, 'SELECT concept, neighbour FROM g')} SELECT * FROM reach""")
-def hub_guard(spark, sf_dir):
-    return _paths(concept.related_concepts(_nine(spark, sf_dir), _h1(spark, sf_dir), 3, max_degree=100))
+@seeded(lambda seeds: f"""WITH RECURSIVE g AS (SELECT concept, neighbour FROM ({H1_SQL}) WHERE concept NOT IN (SELECT concept FROM ({H1_SQL}) GROUP BY concept HAVING count(*) > 100)),
+  {reach_sql(seeds, 3, 'SELECT concept, neighbour FROM g')} SELECT * FROM reach""")
+def hub_guard(spark, sf_dir, seeds):
+    return _paths(concept.related_concepts(seeds, _h1(spark, sf_dir), 3, max_degree=100))
 
 
 @register(f"""WITH RECURSIVE h AS (SELECT a AS concept, b AS neighbour, length(b) % 3 + 1 AS w FROM {sql_values(fixtures.PIE_EDGES, 'a', 'b')}),
@@ -653,13 +675,23 @@ def anchors_any(spark, sf_dir):
 _PAIR_INPUT_SQL = f"SELECT x.attr AS a, y.concept AS b FROM (SELECT attr FROM ({MISSPELT_SQL}) ORDER BY attr LIMIT 12) x, ({NINE_SQL}) y UNION SELECT 'zzz', 'zzy' UNION SELECT 'zzz', 'blue anvil'"
 
 
+_ALL_PAIR_INPUT_SQL = f"SELECT x.attr AS a, y.p_name AS b FROM ({MISSPELT_SQL}) x, (SELECT DISTINCT p_name FROM part) y UNION SELECT 'zzz', 'zzy' UNION SELECT 'zzz', 'blue anvil'"
+
+
+def _all_pair_input(spark, sf_dir):
+    more = frame(spark, [("zzz", "zzy"), ("zzz", "blue anvil")], "a string, b string")
+    names = _misspelt(spark, sf_dir).select(F.col("attr").alias("a"))
+    return cut(names.crossJoin(_part_names(spark, sf_dir).withColumnRenamed("concept", "b")).unionByName(more).distinct())
+
+
 def _pair_input(spark, sf_dir):
     names = _misspelt(spark, sf_dir).select(F.col("attr").alias("a")).orderBy("a").limit(12)
     more = frame(spark, [("zzz", "zzy"), ("zzz", "blue anvil")], "a string, b string")
     return cut(names.crossJoin(_nine(spark, sf_dir).select(F.col("concept").alias("b"))).unionByName(more).distinct())
 
 
-_COMBINED_SQL = f"""WITH RECURSIVE concepts AS (SELECT DISTINCT concept FROM ({H1_SQL})), prs AS ({_PAIR_INPUT_SQL}),
+def _combined_sql(pairs: str) -> str:
+    return f"""WITH RECURSIVE concepts AS (SELECT DISTINCT concept FROM ({H1_SQL})), prs AS ({pairs}),
   names AS (SELECT a AS attr FROM prs UNION SELECT b FROM prs),
   anchors AS (SELECT attr, concept, levenshtein(attr, concept) AS d_lit FROM names, concepts WHERE levenshtein(attr, concept) <= 1 QUALIFY rank() OVER (PARTITION BY attr ORDER BY d_lit) = 1),
   {reach_sql('SELECT DISTINCT concept FROM anchors', 3)},
@@ -669,17 +701,18 @@ _COMBINED_SQL = f"""WITH RECURSIVE concepts AS (SELECT DISTINCT concept FROM ({H
     FROM met LEFT JOIN reach ON ca = start_concept AND cb = end_concept GROUP BY a, b)"""
 
 
-@register(f"{_COMBINED_SQL} SELECT a, b, d::BIGINT AS d, rule_case::BIGINT AS rule_case FROM combined")
-def combined_distance(spark, sf_dir):
-    h1 = _h1(spark, sf_dir)
-    found = distance.combined_distance(_pair_input(spark, sf_dir), _concepts(h1), h1)
-    return found.select("a", "b", F.col("d").cast("long").alias("d"), F.col("case").cast("long").alias("rule_case"))
+for _end, _pairs, _pairs_sql in (("", _pair_input, _PAIR_INPUT_SQL), ("_all", _all_pair_input, _ALL_PAIR_INPUT_SQL)):
 
+    @register(f"{_combined_sql(_pairs_sql)} SELECT a, b, d::BIGINT AS d, rule_case::BIGINT AS rule_case FROM combined", name=f"combined_distance{_end}")
+    def _combined_distance(spark, sf_dir, pairs=_pairs):
+        h1 = _h1(spark, sf_dir)
+        found = distance.combined_distance(pairs(spark, sf_dir), _concepts(h1), h1)
+        return found.select("a", "b", F.col("d").cast("long").alias("d"), F.col("case").cast("long").alias("rule_case"))
 
-@register(f"{_COMBINED_SQL} SELECT a, b, coalesce(d <= CASE rule_case WHEN 1 THEN 3 ELSE 1 END, false) AS related FROM combined")
-def combined_predicate(spark, sf_dir):
-    h1 = _h1(spark, sf_dir)
-    return distance.related(_pair_input(spark, sf_dir), _concepts(h1), h1)
+    @register(f"{_combined_sql(_pairs_sql)} SELECT a, b, coalesce(d <= CASE rule_case WHEN 1 THEN 3 ELSE 1 END, false) AS related FROM combined", name=f"combined_predicate{_end}")
+    def _combined_predicate(spark, sf_dir, pairs=_pairs):
+        h1 = _h1(spark, sf_dir)
+        return distance.related(pairs(spark, sf_dir), _concepts(h1), h1)
 
 
 @register(f"""WITH RECURSIVE {reach_sql(NINE_SQL, 3)}, p AS (SELECT x.concept AS a, y.concept AS b FROM seeds x, ({NINE_SQL} OFFSET 3) y)
@@ -690,6 +723,14 @@ def semantic_distance(spark, sf_dir):
     return distance.semantic_distance(cut(nine.select(F.col("concept").alias("a")).crossJoin(other)), _h1(spark, sf_dir), 3).withColumn("d", F.col("d").cast("long"))
 
 
+@register(f"""WITH RECURSIVE {reach_sql('SELECT DISTINCT p_name AS concept FROM part', 3)}, p AS (SELECT x.concept AS a, y.concept AS b FROM seeds x, seeds y)
+  SELECT a, b, CASE WHEN a = b THEN 0 ELSE hops END AS d FROM p LEFT JOIN reach ON a = start_concept AND b = end_concept""")
+def semantic_distance_all(spark, sf_dir):
+    names = cut(_part_names(spark, sf_dir))
+    pairs = names.select(F.col("concept").alias("a")).crossJoin(names.select(F.col("concept").alias("b")))
+    return distance.semantic_distance(cut(pairs), _h1(spark, sf_dir), 3).withColumn("d", F.col("d").cast("long"))
+
+
 @register("SELECT k::BIGINT AS k, (k * k + 4)::BIGINT AS energy FROM range(1, 6) t(k)")
 def path_energies(spark, sf_dir):
     rows = spark.range(1, 6).select(F.col("id").alias("k"), F.array(F.col("id"), F.lit(2).cast("long")).alias("ls"))
