@@ -2,8 +2,10 @@
 
 import pytest
 
+from unischema.operators import baselines
 from unischema.plans import integration_queries, registry
 from unischema.plans.method_queries import _concepts, _h1, _part_names
+from unischema.sources import tables
 
 SF = "/root/testdata/sf0.001"
 
@@ -28,3 +30,33 @@ def test_policies_take_all_arrivals(spark, monkeypatch, query):
     monkeypatch.setattr(integration_queries.incremental, "integrate_many", lambda state, arrivals, *_: seen.extend(r["attr"] for a in arrivals for r in a.collect()) or state)
     registry.QUERIES[query](spark, SF)
     assert len(set(seen)) == (_part_names(spark, SF).count() if query.endswith("all") else 9)
+
+
+@pytest.fixture(scope="module")
+def texts(spark, tmp_path_factory):
+    """Rare and short words in several languages."""
+    rows = [(1, "the speed of an ox, teh sped of a fox", "en"), (2, "fährt für Fahrt fürs", "de"), (3, "niño nino año", "es"), (4, "speedy été ete", "fr"), (5, None, "en")]
+    folder = str(tmp_path_factory.mktemp("texts"))
+    spark.createDataFrame(rows, "doc_id long, text string, lang string").write.parquet(f"{folder}/documents.parquet")
+    return folder
+
+
+@pytest.mark.parametrize("eps", [0, 1, 2, 3])
+def test_token_pairs_take_every_word(spark, texts, eps):
+    words = tables.all_tokens(spark, texts)
+    want = {tuple(r) for r in baselines.bruteforce_literal(words, eps).collect()}
+    assert {tuple(r) for r in registry.QUERIES[f"literal_pairs_tokens_e{eps}_all"](spark, texts).collect()} == want
+    assert eps != 1 or {frozenset(p) for p in (("niño", "nino"), ("sped", "speed"), ("ox", "fox"))} <= {frozenset(p[:2]) for p in want}
+
+
+def test_short_lane_sees_short_words(spark, texts):
+    words = tables.all_tokens(spark, texts).where("length(attr) <= 8")
+    assert {tuple(r) for r in registry.QUERIES["short_lane_all"](spark, texts).collect()} == {tuple(r) for r in baselines.bruteforce_literal(words, 2).collect()}
+
+
+def test_token_clusters_take_every_word(spark, texts):
+    words = values(tables.all_tokens(spark, texts), "attr")
+    assert values(registry.QUERIES["resolve_cover_tokens"](spark, texts), "attr") == words
+    assert values(registry.QUERIES["pool_token_schemas_all"](spark, texts), "attr") == words
+    assert {"fährt", "fahrt"} <= values(registry.QUERIES["token_components"](spark, texts), "attr")
+    assert tuple(registry.QUERIES["resolve_cover_violations"](spark, texts).first()) == (0, 0)

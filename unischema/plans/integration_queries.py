@@ -171,7 +171,7 @@ def resolve_dense_home(spark, sf_dir):
 @register()
 def resolve_cover_tokens(spark, sf_dir):
     """Ball cover of the giant chains of similar tokens: radius 1 for a tolerance of 2."""
-    tokens = cut(tables.token_sample(spark, sf_dir))
+    tokens = cut(tables.all_tokens(spark, sf_dir))
     pairs = cut(literal.literal_pairs(tokens, 1))
     members = cut(clusters_of(tokens, pairs))
     return resolve.resolve_cover(members, pairs.select("a", "b"))
@@ -180,7 +180,7 @@ def resolve_cover_tokens(spark, sf_dir):
 @register("SELECT 0::BIGINT AS n_far_pairs, 0::BIGINT AS n_uncovered")
 def resolve_cover_violations(spark, sf_dir):
     """Of the ball cover: pairs in a part beyond the tolerance, and members in no part; both none."""
-    tokens = cut(tables.token_sample(spark, sf_dir))
+    tokens = cut(tables.all_tokens(spark, sf_dir))
     pairs = cut(literal.literal_pairs(tokens, 1))
     members = cut(clusters_of(tokens, pairs))
     parts = cut(resolve.resolve_cover(members, pairs.select("a", "b")))

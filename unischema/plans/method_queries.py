@@ -115,6 +115,11 @@ def pool_token_schemas(spark, sf_dir):
     return tables.pool_attributes(tables.token_schemas(spark, sf_dir))
 
 
+@register(r"SELECT attr, count(*) AS n_schemas FROM (SELECT DISTINCT doc_id, unnest(regexp_extract_all(lower(text), '\p{L}+')) AS attr FROM documents) GROUP BY attr")
+def pool_token_schemas_all(spark, sf_dir):
+    return tables.pool_attributes(tables.word_schemas(spark, sf_dir))
+
+
 @register("SELECT p_name AS attr, count(DISTINCT p_brand) AS n_schemas FROM part GROUP BY p_name")
 def pool_part_schemas(spark, sf_dir):
     return tables.pool_attributes(tables.part_schemas(spark, sf_dir))
@@ -319,8 +324,13 @@ def gram_index(spark, sf_dir):
 
 
 @register(f"SELECT gram, occ, count(*) AS df FROM ({postings_sql(tables.TOKEN_SAMPLE_SQL, 2)}) GROUP BY ALL")
-def gram_df(spark, sf_dir):
-    return grams.gram_frequency(grams.gram_index(tables.token_sample(spark, sf_dir), 2)).withColumn("occ", F.col("occ").cast("long"))
+def gram_df(spark, sf_dir, attrs=tables.token_sample):
+    return grams.gram_frequency(grams.gram_index(attrs(spark, sf_dir), 2)).withColumn("occ", F.col("occ").cast("long"))
+
+
+@register(f"SELECT gram, occ, count(*) AS df FROM ({postings_sql(tables.ALL_TOKENS_SQL, 2)}) GROUP BY ALL")
+def gram_df_all(spark, sf_dir):
+    return gram_df(spark, sf_dir, tables.all_tokens)
 
 
 def _candidates_sql(bound: str, q: int = 3, eps: int = 1) -> str:
@@ -331,31 +341,46 @@ def _candidates_sql(bound: str, q: int = 3, eps: int = 1) -> str:
 
 
 @register(_candidates_sql("max"))
-def gram_candidates_max(spark, sf_dir):
-    p = grams.gram_index(tables.token_sample(spark, sf_dir), 3)
+def gram_candidates_max(spark, sf_dir, attrs=tables.token_sample):
+    p = grams.gram_index(attrs(spark, sf_dir), 3)
     return grams.gram_candidates(p, p, 3, 1, "max").select("a", "b", "shared")
 
 
+@register()
+def gram_candidates_max_all(spark, sf_dir):
+    return gram_candidates_max(spark, sf_dir, tables.all_tokens)
+
+
 @register(_candidates_sql("self"))
-def gram_candidates_self(spark, sf_dir):
-    p = grams.gram_index(tables.token_sample(spark, sf_dir), 3)
+def gram_candidates_self(spark, sf_dir, attrs=tables.token_sample):
+    p = grams.gram_index(attrs(spark, sf_dir), 3)
     return grams.gram_candidates(p, p, 3, 1, "self").select("a", "b", "shared")
 
 
+@register()
+def gram_candidates_self_all(spark, sf_dir):
+    return gram_candidates_self(spark, sf_dir, tables.all_tokens)
+
+
 @register(f"""WITH t AS ({tables.TOKEN_SAMPLE_SQL}) SELECT x.attr AS a, y.attr AS b, levenshtein(x.attr, y.attr) AS d FROM t x JOIN t y ON x.attr < y.attr
   WHERE length(x.attr) <= 8 AND length(y.attr) <= 8 AND levenshtein(x.attr, y.attr) <= 2""")
-def short_lane(spark, sf_dir):
-    t = tables.token_sample(spark, sf_dir)
+def short_lane(spark, sf_dir, attrs=tables.token_sample):
+    t = attrs(spark, sf_dir)
     pairs = grams.deletion_candidates(t, t, 3, 2)
     return literal._verified(pairs, 2).withColumn("d", F.col("d").cast("long"))
 
 
+@register()
+def short_lane_all(spark, sf_dir):
+    return short_lane(spark, sf_dir, tables.all_tokens)
+
+
 def pairs_sql(attrs: str, eps: int) -> str:
     return f"WITH t AS MATERIALIZED ({attrs}) SELECT x.attr AS a, y.attr AS b, levenshtein(x.attr, y.attr) AS d FROM t x JOIN t y ON x.attr < y.attr AND abs(length(x.attr) - length(y.attr)) <= {eps} WHERE levenshtein(x.attr, y.attr) <= {eps}"
 
 
-def _literal_query(name: str, attrs, sql: str, eps: int, **options) -> None:
-    @register(pairs_sql(sql, eps), name=name)
+def _literal_query(name: str, attrs, sql: str | None, eps: int, **options) -> None:
+    @register(sql and pairs_sql(sql, eps), name=name)
     def query(spark, sf_dir):
         return literal.literal_pairs(attrs(spark, sf_dir), eps, **options).withColumn("d", F.col("d").cast("long"))
 
@@ -367,6 +392,12 @@ for _eps in (0, 1, 2):
 for _q in (3, 4):
     _literal_query(f"literal_pairs_tokens_e1_q{_q}", tables.token_sample, tables.TOKEN_SAMPLE_SQL, 1, q=_q)
 _literal_query("literal_pairs_tokens_count_join", tables.token_sample, tables.TOKEN_SAMPLE_SQL, 1, q=3, prefix=False)
+# over all tokens the nested loop of a SQL form does not end in reasonable time
+for _eps in (0, 1, 2, 3):
+    _literal_query(f"literal_pairs_tokens_e{_eps}_all", tables.all_tokens, None, _eps)
+for _q in (3, 4):
+    _literal_query(f"literal_pairs_tokens_e1_q{_q}_all", tables.all_tokens, None, 1, q=_q)
+_literal_query("literal_pairs_tokens_count_join_all", tables.all_tokens, None, 1, q=3, prefix=False)
 _literal_query("literal_pairs_catalog", _catalog_attrs, CATALOG_SQL, 1)
 _literal_query("literal_pairs_catalog_e2", _catalog_attrs, CATALOG_SQL, 2)
 _literal_query("literal_pairs_names", _customer_names, _CUSTOMER_SQL, 1)
@@ -374,8 +405,13 @@ _literal_query("literal_pairs_names", _customer_names, _CUSTOMER_SQL, 1)
 
 @register(f"""WITH p AS MATERIALIZED ({postings_sql(tables.TOKEN_SAMPLE_SQL, 3)}) SELECT a, b FROM (SELECT x.attr AS a, y.attr AS b, count(*) AS shared, greatest(any_value(x.size), any_value(y.size)) - 3 + 1 - 3 AS least
     FROM p x JOIN p y ON x.gram = y.gram AND x.occ = y.occ AND x.attr < y.attr GROUP BY ALL) WHERE shared >= greatest(least, 1)""")
-def literal_pairs_count_only(spark, sf_dir):
-    return literal.literal_pairs(tables.token_sample(spark, sf_dir), 1, 3, verify="count").select("a", "b")
+def literal_pairs_count_only(spark, sf_dir, attrs=tables.token_sample):
+    return literal.literal_pairs(attrs(spark, sf_dir), 1, 3, verify="count").select("a", "b")
+
+
+@register()
+def literal_pairs_count_only_all(spark, sf_dir):
+    return literal_pairs_count_only(spark, sf_dir, tables.all_tokens)
 
 
 @register(f"SELECT m.attr AS a, t.p_name AS b, levenshtein(m.attr, t.p_name) AS d FROM (SELECT DISTINCT attr FROM ({MISSPELT_SQL})) m, (SELECT DISTINCT p_name FROM part) t WHERE levenshtein(m.attr, t.p_name) <= 1")
@@ -447,7 +483,7 @@ def six_words_count(spark, sf_dir):
 
 @register()
 def token_components(spark, sf_dir):
-    pairs = literal.literal_pairs(tables.token_sample(spark, sf_dir), 1)
+    pairs = literal.literal_pairs(tables.all_tokens(spark, sf_dir), 1)
     return components(pairs).select(F.col("node").alias("attr"), F.col("label").alias("cluster_id"))
 
 

@@ -48,6 +48,20 @@ TOKEN_SAMPLE_SQL = """
 """
 
 
+def word_schemas(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Each document of any language is a schema, all its distinct words its attributes."""
+    words = F.regexp_extract_all(F.lower("text"), F.lit(r"(\p{L}+)"), F.lit(1))
+    return table(spark, sf_dir, "documents").select(F.col("doc_id").alias("schema_id"), F.explode(F.array_distinct(words)).alias("attr"))
+
+
+def all_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All distinct words of all documents, whatever their language, length and number."""
+    return word_schemas(spark, sf_dir).select("attr").distinct()
+
+
+ALL_TOKENS_SQL = r"SELECT DISTINCT unnest(regexp_extract_all(lower(text), '\p{L}+')) AS attr FROM documents"
+
+
 def part_schemas(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Each brand is a schema, the names of its parts its attributes."""
     return table(spark, sf_dir, "part").select(F.col("p_brand").alias("schema_id"), F.col("p_name").alias("attr")).distinct()
