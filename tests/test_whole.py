@@ -1,8 +1,10 @@
 """Queries take their whole input, not a part of it."""
 
+import math
+
 import pytest
 
-from unischema.operators import baselines
+from unischema.operators import baselines, distance
 from unischema.plans import integration_queries, registry
 from unischema.plans.method_queries import _concepts, _h1, _part_names
 from unischema.sources import tables
@@ -60,3 +62,21 @@ def test_token_clusters_take_every_word(spark, texts):
     assert values(registry.QUERIES["pool_token_schemas_all"](spark, texts), "attr") == words
     assert {"fährt", "fahrt"} <= values(registry.QUERIES["token_components"](spark, texts), "attr")
     assert tuple(registry.QUERIES["resolve_cover_violations"](spark, texts).first()) == (0, 0)
+
+
+def test_cooccurrence_of_words_in_every_document(spark):
+    rows = [(i, w) for i in range(3) for w in ("ox", "yak")] + [(0, "ant"), (0, "bee"), (1, "bee")]
+    got = {(r["a"], r["b"]): r["d"] for r in distance.cooccurrence_distance(spark.createDataFrame(rows, "doc_id long, word string")).collect()}
+    assert got["ox", "yak"] == 0 and abs(got["ant", "bee"] - math.log(2) / math.log(3)) < 1e-9 and got["ant", "ox"] == 1
+
+
+def test_cooccurrence_pairs_do_not_depend_on_blocks(spark, monkeypatch):
+    words = spark.range(60).selectExpr("id % 4 AS doc_id", "concat('w', id % 23) AS word")
+    whole = sorted(map(tuple, distance.cooccurrence_distance(words).collect()))
+    monkeypatch.setattr(distance, "BLOCK", 3)
+    assert sorted(map(tuple, distance.cooccurrence_distance(words).collect())) == whole
+
+
+def test_cooccurrence_is_over_documents(spark, texts):
+    met = {tuple(r)[:2] for r in registry.QUERIES["cooccurrence_distance_all"](spark, texts).collect()}
+    assert {("nino", "niño"), ("an", "teh"), ("ete", "été")} <= met and ("fox", "nino") not in met

@@ -5,10 +5,14 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from unischema.functions.lineage import cut
 from unischema.functions.text import cosine
 from unischema.operators.knowledge import k_hop
 from unischema.operators.literal import literal_pairs_between
 
+#: Words of a document that one task pairs with all others of it.
+BLOCK = 256
+
 
 def anchor(attrs: DataFrame, concepts: DataFrame, eps_t: int = 1, mode: str = "nearest", q: int = 2) -> DataFrame:
     """``attr, concept, d_lit``: concepts within ``eps_t`` of each name.
@@ -71,17 +75,22 @@ def distance_from_pairs(synonyms: DataFrame) -> DataFrame:
 def cooccurrence_distance(words: DataFrame) -> DataFrame:
     """``a, b, d`` from ``words(doc_id, word)``: a published distance over document frequencies.
 
-    ``d = (max(log fa, log fb) - log fab) / (log N - min(log fa, log fb))``.
+    ``d = (max(log fa, log fb) - log fab) / (log N - min(log fa, log fb))``; 0 for two words that are
+    both in every document. Pairs of a long document are made by blocks of its words, in many tasks.
     """
-    rows = words.select("doc_id", "word").distinct()
+    rows = cut(words.select("doc_id", "word").distinct())
     total = rows.agg(F.count_distinct("doc_id").alias("n"))
     single = rows.groupBy("word").agg(F.count(F.lit(1)).alias("f"))
-    met = rows.alias("x").join(rows.alias("y"), F.col("x.doc_id") == F.col("y.doc_id")).where("x.word < y.word")
+    blocks = rows.groupBy("doc_id").agg(F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("n_blocks"))
+    dealt = rows.join(blocks, "doc_id")
+    left = dealt.select("doc_id", "word", F.pmod(F.hash("word"), F.col("n_blocks")).alias("block"))
+    right = dealt.select("doc_id", "word", F.explode(F.sequence(F.lit(0), F.col("n_blocks") - 1)).alias("block"))
+    met = left.alias("x").join(right.alias("y"), (F.col("x.doc_id") == F.col("y.doc_id")) & (F.col("x.block") == F.col("y.block"))).where("x.word < y.word")
     pairs = met.groupBy(F.col("x.word").alias("a"), F.col("y.word").alias("b")).agg(F.count(F.lit(1)).alias("fab"))
     named = pairs.join(single.select(F.col("word").alias("a"), F.col("f").alias("fa")), "a").join(single.select(F.col("word").alias("b"), F.col("f").alias("fb")), "b")
     la, lb = F.ln(F.col("fa").cast("double")), F.ln(F.col("fb").cast("double"))
-    d = (F.greatest(la, lb) - F.ln(F.col("fab").cast("double"))) / (F.ln(F.col("n").cast("double")) - F.least(la, lb))
-    return named.join(F.broadcast(total)).select("a", "b", d.alias("d"))
+    d = F.try_divide(F.greatest(la, lb) - F.ln(F.col("fab").cast("double")), F.ln(F.col("n").cast("double")) - F.least(la, lb))
+    return named.join(F.broadcast(total)).select("a", "b", F.coalesce(d, F.lit(0.0)).alias("d"))
 
 
 def edges_from_vectors(vectors: DataFrame, tau: float, lsh_bucket: float | None = None) -> DataFrame:

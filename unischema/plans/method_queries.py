@@ -791,6 +791,12 @@ def cooccurrence_distance(spark, sf_dir):
     return distance.cooccurrence_distance(words).withColumn("d", F.round("d", 6))
 
 
+@register()
+def cooccurrence_distance_all(spark, sf_dir):
+    words = tables.word_schemas(spark, sf_dir).select(F.col("schema_id").alias("doc_id"), F.col("attr").alias("word"))
+    return distance.cooccurrence_distance(words).withColumn("d", F.round("d", 6))
+
+
 @register("""SELECT x.vec_id AS a, y.vec_id AS b, round(list_dot_product(x.v, y.v) / sqrt(list_dot_product(x.v, x.v) * list_dot_product(y.v, y.v)), 4) AS cosine
   FROM (SELECT vec_id, embedding::DOUBLE[] AS v FROM embeddings) x JOIN (SELECT vec_id, embedding::DOUBLE[] AS v FROM embeddings) y ON x.vec_id < y.vec_id
   WHERE list_dot_product(x.v, y.v) / sqrt(list_dot_product(x.v, x.v) * list_dot_product(y.v, y.v)) >= 0.3""")
