@@ -1,6 +1,8 @@
 """Queries take their whole input, not a part of it."""
 
 import math
+import re
+from re import _parser
 
 import pytest
 
@@ -80,3 +82,40 @@ def test_cooccurrence_pairs_do_not_depend_on_blocks(spark, monkeypatch):
 def test_cooccurrence_is_over_documents(spark, texts):
     met = {tuple(r)[:2] for r in registry.QUERIES["cooccurrence_distance_all"](spark, texts).collect()}
     assert {("nino", "niño"), ("an", "teh"), ("ete", "été")} <= met and ("fox", "nino") not in met
+
+
+def samples(parsed):
+    """Matches of a parsed pattern: each branch, and repeats at their least and once more."""
+    out = [""]
+    for op, arg in parsed:
+        kind = str(op)
+        if kind == "LITERAL":
+            more = [chr(arg)]
+        elif kind == "SUBPATTERN":
+            more = samples(arg[3])
+        elif kind == "BRANCH":
+            more = [x for branch in arg[1] for x in samples(branch)]
+        elif kind == "IN":
+            more = [chr(v) if str(o) == "LITERAL" else chr(v[0]) if str(o) == "RANGE" else "1" for o, v in arg]
+        else:
+            low, high, inner = arg
+            more = [x * n for n in {low, min(high, low + 1)} for x in samples(inner)]
+        out = [x + y for x in out for y in more]
+    return out
+
+
+def test_license_keywords_are_in_every_match():
+    from unischema.llm.license_rules import all_rules
+
+    for rule in all_rules():
+        for text in samples(_parser.parse(rule.pattern)):
+            assert re.fullmatch(rule.pattern, text) and rule.keyword in text, (rule, text)
+
+
+def test_license_forms_behind_the_keywords(spark):
+    from unischema.llm.license_scan import scan_licenses
+
+    texts = ["See the LICENSE file for details.", "an End User Licence Agreement", "the PostgreSQL Licence", "redistribute it and/or modify it under the terms of the GNU General Public License"]
+    got = {r["doc_id"]: r for r in scan_licenses(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    assert [got[i]["labels"] for i in range(4)] == ["unknown-license", "proprietary", "postgresql", "gpl"]
+    assert [(d["begin"], d["end"]) for d in got[3]["detections"]][0][0] == 0

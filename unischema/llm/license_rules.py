@@ -73,7 +73,7 @@ _NAMES = [
     ("python", "python software foundation license", r"python software foundation license(?: version 2)?"),
     ("php", "php license", rf"php license(?:{_VERSION} 3 01?)?"),
     ("ruby", "ruby license", r"ruby license"),
-    ("postgresql", "postgresql license", r"postgresql licen[cs]e"),
+    ("postgresql", "postgresql", r"postgresql licen[cs]e"),
     ("openssl", "openssl license", r"openssl license"),
     ("ofl", "open font license", rf"(?:sil )?open font license(?:{_VERSION} 1 1)?"),
     ("odbl", "database license", r"open (?:data commons open )?database license"),
@@ -115,7 +115,7 @@ _GRANTS = [
     ("bsd", "redistribution and use", r"redistribution and use in source and binary forms with or without modification are permitted", 2),
     ("bsd-3-clause", "neither the name", r"neither the name of \w+(?: \w+){0,8} nor the names of its contributors", 2),
     ("bsd-4-clause", "advertising materials", r"all advertising materials mentioning features or use of this software", 2),
-    ("gpl", "free software foundation", r"redistribute it and or modify it under the terms of the gnu general public license", 2),
+    ("gpl", "terms of the gnu", r"redistribute it and or modify it under the terms of the gnu general public license", 2),
     ("lgpl", "terms of the gnu", r"under the terms of the gnu (?:lesser|library) general public license", 2),
     ("agpl", "terms of the gnu", r"under the terms of the gnu affero general public license", 2),
     ("gfdl", "permission is granted", r"permission is granted to copy distribute and or modify this document", 2),
@@ -129,12 +129,12 @@ _GRANTS = [
     ("proprietary", "all rights reserved", r"all rights reserved", 1),
     ("proprietary", "proprietary and confidential", r"proprietary and confidential", 1),
     ("proprietary", "unauthorized copying", r"unauthorized copying of this (?:file|software)", 1),
-    ("proprietary", "license agreement", r"end user licen[cs]e agreement", 1),
+    ("proprietary", "end user", r"end user licen[cs]e agreement", 1),
     ("gpl", "gplv", r"gplv[123]", 1),
     ("lgpl", "lgplv", r"lgplv[23]", 1),
     ("agpl", "agplv3", r"agplv3", 1),
     ("copyleft", "copyleft", r"copyleft", 1),
-    ("unknown-license", "see license", r"see (?:the )?license(?: file)? for (?:details|more information)", 1),
+    ("unknown-license", "license", r"see (?:the )?license(?: file)? for (?:details|more information)", 1),
     ("unknown-license", "license file", r"found in the license file", 1),
     ("unknown-license", "under the terms", r"under the terms of (?:this|the) license", 1),
 ]
