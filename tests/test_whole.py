@@ -6,10 +6,11 @@ from re import _parser
 
 import pytest
 
-from unischema.operators import baselines, distance
+from unischema.operators import baselines, distance, resolve
 from unischema.plans import integration_queries, registry
 from unischema.plans.method_queries import _concepts, _h1, _part_names
-from unischema.sources import tables
+from unischema.sources import fixtures, tables
+from unischema.sources.fixtures import frame
 
 SF = "/root/testdata/sf0.001"
 
@@ -119,3 +120,13 @@ def test_license_forms_behind_the_keywords(spark):
     got = {r["doc_id"]: r for r in scan_licenses(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
     assert [got[i]["labels"] for i in range(4)] == ["unknown-license", "proprietary", "postgresql", "gpl"]
     assert [(d["begin"], d["end"]) for d in got[3]["detections"]][0][0] == 0
+
+
+@pytest.mark.parametrize("half", [None, [("xi", "xj")]])
+def test_no_conflict_shares_a_part_after_the_switch(spark, half):
+    near = frame(spark, [*fixtures.CHAIN, ("xa", "xj"), ("xi", "xb")], "a string, b string")
+    member = spark.createDataFrame([("c", x) for x in ("xa", "xb", "xi", "xj")], "cluster_id string, attr string")
+    parts = resolve.resolve_overlap(member, near, 1, half and frame(spark, half, "a string, b string"))
+    assert values(parts, "attr") == {"xa", "xb", "xi", "xj"}
+    own = parts.select(parts["part_id"].alias("cluster_id"), "attr")
+    assert resolve.conflicts(own, near).isEmpty()

@@ -33,11 +33,13 @@ def _numbered(parts: DataFrame) -> DataFrame:
     return kept.select("cluster_id", F.array_join("part", "|").alias("part_id"), F.explode("part").alias("attr"))
 
 
-def resolve_overlap(members: DataFrame, near: DataFrame, max_parts: int = 1000) -> DataFrame:
+def resolve_overlap(members: DataFrame, near: DataFrame, max_parts: int = 1000, near_half: DataFrame | None = None) -> DataFrame:
     """The two ends of a conflict part; everything else goes to both sides.
 
     Fixpoint over parts: each part with a conflict gives two, one without each end of its first
-    conflicting pair. Clusters that grow beyond ``max_parts`` parts are covered by balls instead.
+    conflicting pair. Clusters that grow beyond ``max_parts`` parts are covered by balls instead, of
+    ``near_half``: pairs within half the tolerance. Without it every member is its own ball there, as
+    pairs of ``near`` could bring a conflict into one part.
     """
     clash = cut(conflicts(members, near))
     calm = members.join(clash.select("cluster_id").distinct(), "cluster_id", "left_anti")
@@ -57,7 +59,8 @@ def resolve_overlap(members: DataFrame, near: DataFrame, max_parts: int = 1000)
     if over is None:
         return _numbered(out)
     over = over.distinct()
-    covered = resolve_cover(members.join(over, "cluster_id", "left_semi"), near)
+    half = near.limit(0) if near_half is None else near_half
+    covered = resolve_cover(members.join(over, "cluster_id", "left_semi"), half)
     return _numbered(out.join(over, "cluster_id", "left_anti")).unionByName(covered)
 
 

@@ -65,7 +65,9 @@ def resolve_members(members: DataFrame, pooled: DataFrame, h1: DataFrame | None,
     if cfg.resolve == "cover":
         return resolve.resolve_cover(members, cut(_tolerance(pooled, h1, cfg, half=True)))
     near = cut(_tolerance(pooled, h1, cfg))
-    return resolve.resolve_dense(members, near) if cfg.resolve == "dense" else resolve.resolve_overlap(members, near, cfg.max_parts)
+    if cfg.resolve == "dense":
+        return resolve.resolve_dense(members, near)
+    return resolve.resolve_overlap(members, near, cfg.max_parts, _tolerance(pooled, h1, cfg, half=True))
 
 
 def integrate_batch(schemas: DataFrame, h1: DataFrame | None = None, cfg: Config = DEFAULT, profile: DataFrame | None = None) -> Integration:
