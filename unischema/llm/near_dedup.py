@@ -1,36 +1,47 @@
 """Near-duplicate components: MinHash signatures met by a multi-index Hamming join, then exact links.
 
-Each set of shingles gets a signature of ``SYMBOLS`` symbols of b = 32 bits. Pairs within a Hamming
-distance of ``DISTANCE`` symbols are all found: the signature is split into ``CHUNKS`` chunks, and by
-the pigeonhole principle two such signatures differ in at most one symbol of some chunk, as
+Each set of shingles gets a signature of ``SYMBOLS`` symbols of b = 32 bits. All pairs within a Hamming
+distance of ``DISTANCE`` symbols meet: the signature is split into ``CHUNKS`` chunks, and by the
+pigeonhole principle two such signatures differ in at most one symbol of some chunk, as
 ``DISTANCE < 2 * CHUNKS``. Each chunk is indexed once for each symbol left out (its allowed error), so
-equal keys are exactly the chunks within one error. A pair at the similarity of 0.75 differs in 8.25
-of 33 symbols in the mean; that it differs in over 21 has a probability below one in a million.
+equal keys are exactly the chunks within one error. The distance is then tested on whole signatures,
+of whose symbols ``SHORT`` bits each are carried along (equal symbols stay equal, so none is lost).
+A pair at the similarity of 0.75 differs in 8.25 of 33 symbols in the mean; that it differs in over 21
+has a probability of 5.5e-7.
+
+Two sketches pass over pairs that cannot be links before any set is fetched:
+
+* a *parity bitmap* of ``PARITY`` bits, in which each shingle flips the bit of its hash. The bitmaps of
+  two sets differ in at most as many bits as the sets do in shingles, and 100 * i >= 75 * u allows a
+  difference of a seventh of the two sizes: for short texts this test is nearly exact and drops no link.
+  Bits of long texts collide, so there ``PARITY_SLACK`` above the expected number is allowed
+  (probability of a miss below 7e-10 by Hoeffding's bound), wherever that is less;
+* ``SKETCH`` more symbols of b = 4 bits, which hold for texts of any length. At the similarity of 0.75
+  pairs differ in 45 of them in the mean with a deviation of 5.9, and in more than ``SKETCH_DISTANCE``
+  with a probability below 3e-9.
 
 No bucket is ever expanded into all its pairs:
 
 1. documents with the same set of shingles are one class, and only its representative is indexed;
-2. *stars*: in every bucket each member is compared with two centres; verified links are closed into
-   components, and buckets whose members are all in one component are finished;
-3. what is left, members of *different* components in one bucket, is compared pair by pair inside the
-   join (size and sketch tests are part of the join condition, so hardly any pair leaves it that is not
-   a link), in as many tasks as AQE's skew splitting makes of a hot bucket.
-
-Beside the indexed symbols each set has a sketch of ``SKETCH`` symbols of b = 4 bits from more hash
-functions. Pairs at the similarity of 0.75 differ in 126.6 of them in the mean with a deviation of 9.8;
-pairs that differ in more than ``SKETCH_DISTANCE`` are passed over. Stars and small buckets use the
-first ``PART`` symbols only (31.6, 4.9 and ``PART_DISTANCE``), small buckets the first ``FIRST`` inside the
-join (10.5, 2.8 and ``FIRST_DISTANCE``). In larger buckets a pair is taken only in the first bucket that
-it shares.
+2. *stars*: in every bucket each member is compared with two centres, and verified links are closed
+   into components;
+3. members of a bucket that are not in the component of its centre are compared with the members of
+   other components inside the join (size, sketch and signature tests are part of the join condition,
+   so hardly any pair leaves it that is not a link), in as many tasks as AQE's skew splitting makes of
+   a hot bucket.
 
 Every link is confirmed on the full sets; the result is exactly the components of the link graph,
-up to the chance above. Sets are shuffled only for documents that have candidates: a fixed-size
-bitmap of their ids (``FILTER_BITS``) removes nearly all others before the shuffle.
+up to the chances above. Sets are shuffled only for documents that have candidates: a fixed-size
+bitmap of their ids (``FILTER_BITS``) removes nearly all others before their texts reach Python.
+
+Components of up to ``LOCAL_LINKS`` links are closed in one executor task; more of them by alternating
+star steps, in which a hub is only joined by equality and reduced by a minimum. Both are exact.
 
 Defined results: documents without words (null, empty, blank) have no shingles, are linked with
 nothing and stay. A null id is kept if it is its own component's id (null counts as larger than
-any id). Rows that repeat an id and text get the same answer. Columns beyond ``doc_id`` and ``text``
-are ignored; an empty table gives an empty result. Texts are read whole.
+any id). Rows that repeat an id and text get the same answer; ties between equal ids do not matter.
+Columns beyond ``doc_id`` and ``text`` are ignored; an empty table gives an empty result. Texts are
+read whole, also very long ones: a text's shingles are hashed in blocks of bounded size.
 """
 
 from __future__ import annotations
@@ -51,24 +62,26 @@ PERCENT = 75
 CHUNKS, CHUNK = 11, 3
 SYMBOLS = CHUNKS * CHUNK
 DISTANCE = 2 * CHUNKS - 1
-#: Symbols of the whole sketch and of its first part, with the distances allowed.
-SKETCH, SKETCH_DISTANCE = 540, 171
-PART, PART_DISTANCE = 135, 58
-FIRST, FIRST_DISTANCE = 45, 25
-#: Buckets up to this size are compared by the first symbols of the sketch alone.
-SMALL_BUCKET = 32
+#: Symbols of the sketch and the distance allowed; four bits each, in longs of so many.
+SKETCH, SKETCH_DISTANCE, CELLS = 192, 81, 16
+#: Bits of the parity bitmap, and how far above the expected number of unequal ones a pair may be.
+PARITY, PARITY_SLACK = 1024, 104
+#: Bits kept of each symbol for the test of the signatures' distance, in fields of one bit more.
+SHORT, SHORTS = 14, 4
 #: Bits of the filter on ids with candidates; fixed, whatever the input.
 FILTER_BITS = 1 << 23
-#: Edges for each task of the small steps of the components.
-EDGES_A_TASK = 50_000
-#: A class counts as hot beyond one in so many rows.
-HOT_SHARE = 1000
+#: Links that one task closes into components (16 bytes each); beyond it the star steps do.
+LOCAL_LINKS = 2_000_000
+#: Labelled nodes up to which the labels are broadcast (16 bytes each).
+LABEL_ROWS = 500_000
 
 _FOLD = bytes.maketrans(string.ascii_uppercase.encode(), string.ascii_lowercase.encode())
 _ODD = np.random.default_rng(20240229).integers(1, 1 << 63, size=SYMBOLS + SKETCH, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 _PLACES = _ODD[:8]
-_NIBBLES = np.arange(15, dtype=np.int64) * 4
+_NIBBLES = np.arange(CELLS, dtype=np.uint64) * np.uint64(4)
+_FIELDS = np.arange(SHORTS, dtype=np.uint64) * np.uint64(SHORT + 1)
 _CACHE_WORDS = 200_000
+_LOW = (1 << 64) - 1
 
 
 def _mix(x: np.ndarray) -> np.ndarray:
@@ -121,23 +134,31 @@ def _least(shingles: np.ndarray, factors: np.ndarray) -> np.ndarray:
 
 
 def signature(shingles: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """``SYMBOLS`` symbols of 32 bits, and the sketch: ``SKETCH`` symbols of 4 bits, 15 to a long."""
+    """``SYMBOLS`` symbols of 32 bits; and, as longs, the shortened symbols, the sketch and the parity bitmap."""
     least = _least(shingles, _ODD)
     symbols = least[:SYMBOLS].astype(np.uint32).view(np.int32)
-    cells = (least[SYMBOLS:] & np.uint64(15)).astype(np.int64).reshape(-1, 15)
-    return symbols, (cells << _NIBBLES).sum(1)
+    short = np.zeros(-(-SYMBOLS // SHORTS) * SHORTS, np.uint64)
+    short[:SYMBOLS] = least[:SYMBOLS] & np.uint64((1 << SHORT) - 1)
+    cells = (least[SYMBOLS:] & np.uint64(15)).reshape(-1, CELLS) << _NIBBLES
+    flips = np.bincount((shingles >> np.uint64(40)).astype(np.int64) % PARITY, minlength=PARITY) & 1
+    longs = (np.bitwise_or.reduce(short.reshape(-1, SHORTS) << _FIELDS, axis=1), np.bitwise_or.reduce(cells, axis=1), np.packbits(flips.astype(np.uint8), bitorder="little").view(np.uint64))
+    return symbols, np.concatenate(longs).view(np.int64)
 
 
 _SIG_COLUMNS = [f"s{i}" for i in range(SYMBOLS)]
-_SKETCH_COLUMNS = [f"k{i}" for i in range(SKETCH // 15)]
-_PART_COLUMNS = _SKETCH_COLUMNS[: PART // 15]
-_FIRST_COLUMNS = _SKETCH_COLUMNS[: FIRST // 15]
+_SHORT_COLUMNS = [f"b{i}" for i in range(-(-SYMBOLS // SHORTS))]
+_SKETCH_COLUMNS = [f"k{i}" for i in range(SKETCH // CELLS)]
+_PARITY_COLUMNS = [f"p{i}" for i in range(PARITY // 64)]
+#: What a bucket's rows carry of their signature.
+_CARRIED = [*_SHORT_COLUMNS, *_SKETCH_COLUMNS, *_PARITY_COLUMNS]
 
 
 def signatures(docs: DataFrame) -> DataFrame:
     """``doc_id, n, d0, d1`` (a 128-bit digest of the set) and the symbols; null where the set is empty."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        import xxhash
+
         shingle = Shingler()
         for batch in batches:
             sizes, digests, symbols, sketches = [], [], [], []
@@ -145,23 +166,24 @@ def signatures(docs: DataFrame) -> DataFrame:
                 found = shingle(text.as_py())
                 sizes.append(len(found))
                 if len(found):
-                    digests.append((int(np.bitwise_xor.reduce(_mix(found))), int(np.add.reduce(_mix(found + np.uint64(len(found)))))))
+                    whole = xxhash.xxh3_128_intdigest(found.tobytes())
+                    digests.append((whole >> 64, whole & _LOW))
                     own, more = signature(found)
                     symbols.append(own)
                     sketches.append(more)
                 else:
                     digests.append((0, 0))
                     symbols.append(np.zeros(SYMBOLS, np.int32))
-                    sketches.append(np.zeros(SKETCH // 15, np.int64))
+                    sketches.append(np.zeros(len(_CARRIED), np.int64))
             matrix = np.array(symbols, np.int32).reshape(-1, SYMBOLS)
             pair = np.array(digests, np.uint64).reshape(-1, 2).view(np.int64)
             columns = [batch.column(0), pa.array(sizes, pa.int64()), pa.array(pair[:, 0]), pa.array(pair[:, 1])]
             columns += [pa.array(np.ascontiguousarray(matrix[:, i])) for i in range(SYMBOLS)]
-            bits = np.array(sketches, np.int64).reshape(-1, SKETCH // 15)
-            columns += [pa.array(np.ascontiguousarray(bits[:, i])) for i in range(SKETCH // 15)]
-            yield pa.RecordBatch.from_arrays(columns, ["doc_id", "n", "d0", "d1", *_SIG_COLUMNS, *_SKETCH_COLUMNS])
+            bits = np.array(sketches, np.int64).reshape(-1, len(_CARRIED))
+            columns += [pa.array(np.ascontiguousarray(bits[:, i])) for i in range(len(_CARRIED))]
+            yield pa.RecordBatch.from_arrays(columns, ["doc_id", "n", "d0", "d1", *_SIG_COLUMNS, *_CARRIED])
 
-    symbols = ", ".join([f"{s} int" for s in _SIG_COLUMNS] + [f"{s} long" for s in _SKETCH_COLUMNS])
+    symbols = ", ".join([f"{s} int" for s in _SIG_COLUMNS] + [f"{s} long" for s in _CARRIED])
     return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, f"doc_id long, n long, d0 long, d1 long, {symbols}")
 
 
@@ -175,49 +197,70 @@ def keys_of() -> Column:
     return F.array(*keys)
 
 
-def _near(a: str, b: str, columns: list[str], most: int) -> Column:
-    """Both sizes allow the similarity, and the sketches are within the distance."""
+def _near(a: str, b: str) -> Column:
+    """Sizes allow the similarity, and bitmaps, sketches and signatures are within their distances.
+
+    Kept to few operations on longs, so that the generated code stays small enough to be compiled.
+    """
     low, high = F.least(F.col(f"{a}.n"), F.col(f"{b}.n")), F.greatest(F.col(f"{a}.n"), F.col(f"{b}.n"))
-    low_bits, high_bits = F.lit(0x0777777777777777), F.lit(0x0888888888888888)
 
-    def unequal(x: Column) -> Column:
-        """Of 15 cells of four bits, how many are not zero."""
-        return F.bit_count((x.bitwiseAND(low_bits) + low_bits).bitwiseOR(x).bitwiseAND(high_bits))
+    def apart(columns: list[str], unequal) -> Column:
+        return sum((F.bit_count(unequal(F.col(f"{a}.{s}").bitwiseXOR(F.col(f"{b}.{s}")))) for s in columns), F.lit(0))
 
-    apart = sum((unequal(F.col(f"{a}.{s}").bitwiseXOR(F.col(f"{b}.{s}"))) for s in columns), F.lit(0))
-    return (low * 100 >= high * PERCENT) & (apart <= most)
+    def cells(x: Column) -> Column:
+        """A bit for each cell of four bits that is not zero."""
+        halves = x.bitwiseOR(F.shiftrightunsigned(x, 1))
+        return halves.bitwiseOR(F.shiftrightunsigned(halves, 2)).bitwiseAND(F.lit(0x1111111111111111))
 
+    def fields(x: Column) -> Column:
+        """A bit for each field that is not zero, by a carry into its spare bit."""
+        most, spare = (sum(v << (i * (SHORT + 1)) for i in range(SHORTS)) for v in ((1 << SHORT) - 1, 1 << SHORT))
+        return (x + F.lit(most)).bitwiseAND(F.lit(spare))
 
-def _first_shared(a: str, b: str) -> Column:
-    """The first of the keys that two rows have in common, by number."""
-    same = [F.col(f"{a}.{s}") == F.col(f"{b}.{s}") for s in _SIG_COLUMNS]
-    keys = []
-    for chunk in range(CHUNKS):
-        own = same[chunk * CHUNK : (chunk + 1) * CHUNK]
-        for out in range(CHUNK):
-            first, second = [c for i, c in enumerate(own) if i != out]
-            keys.append(F.when(first & second, chunk * CHUNK + out))
-    return F.coalesce(*keys)
+    lacking = (low + high) * (100 - PERCENT) / (100 + PERCENT)
+    flipped = F.least(lacking, (1 - F.exp(lacking * (-2 / PARITY))) * (PARITY / 2) + PARITY_SLACK)
+    close = apart(_PARITY_COLUMNS, lambda x: x) <= flipped
+    return (low * 100 >= high * PERCENT) & close & (apart(_SKETCH_COLUMNS, cells) <= SKETCH_DISTANCE) & (apart(_SHORT_COLUMNS, fields) <= DISTANCE)
 
 
-def components(links: DataFrame, cut=cut) -> DataFrame:
-    """``(node, label)``: the least node reachable by ``(a, b)`` links, for every node of a link.
+def components(links: DataFrame, cut=cut, local_links: int = LOCAL_LINKS) -> DataFrame:
+    """``(node, label)``: the least node reachable by ``(a, b)`` links, for every node of a link."""
+    links = cut(links.select("a", "b"))
+    if links.count() <= local_links:
+        return cut(links.coalesce(1).mapInArrow(_close, "node long, label long"))
+    return _star_steps(links, cut)
 
-    Alternating large-star and small-star steps on the links; a star's hub is only ever joined by
-    equality of nodes and reduced by a minimum, so no neighbourhood is gathered anywhere.
-    """
+
+def _close(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """All of a bounded number of links in one task: labels sink along links, then along themselves."""
+    parts = [np.stack([b.column(0).to_numpy(), b.column(1).to_numpy()]) for b in batches]
+    ends = np.concatenate([np.empty((2, 0), np.int64), *parts], axis=1)
+    nodes, places = np.unique(ends, return_inverse=True)
+    a, b = places.reshape(ends.shape)
+    label = np.arange(len(nodes))
+    while True:
+        least = np.minimum(label[a], label[b])
+        sunk = label.copy()
+        for side in (a, b, label[a], label[b]):
+            np.minimum.at(sunk, side, least)
+        sunk = sunk[sunk]
+        if np.array_equal(sunk, label):
+            break
+        label = sunk
+    yield pa.RecordBatch.from_arrays([pa.array(nodes), pa.array(nodes[label])], ["node", "label"])
+
+
+def _star_steps(links: DataFrame, cut) -> DataFrame:
+    """Alternating large-star and small-star steps; no neighbourhood is gathered anywhere."""
     edges = cut(links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct())
-    if edges.isEmpty():
-        return edges.select(F.col("u").alias("node"), F.col("v").alias("label"))
     mark = None
-    tasks = 16 + edges.count() // EDGES_A_TASK
     while True:
         both = edges.select("u", "v").union(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
-        large = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").coalesce(tasks).distinct().coalesce(tasks)
+        large = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
         floor = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(floor, "u").select(F.explode(F.array(F.struct(F.greatest("v", "m").alias("u"), F.col("m").alias("v")), F.struct("u", F.col("m").alias("v")))).alias("e")).select("e.*")
-        edges = cut(small.where("u <> v").coalesce(tasks).distinct().coalesce(tasks))
+        edges = cut(small.where("u <> v").distinct())
         now = edges.agg(F.count(F.lit(1)), F.sum(F.pmod(F.xxhash64("u", "v"), F.lit(1 << 40)))).first()
         if now == mark:
             break
@@ -226,135 +269,117 @@ def components(links: DataFrame, cut=cut) -> DataFrame:
     return edges.select(F.col("u").alias("node"), F.col("v").alias("label")).unionByName(roots.join(edges.select(F.col("u").alias("node")), "node", "left_anti"))
 
 
-def _filter_of(ids: DataFrame):
-    """A broadcast bitmap of ``FILTER_BITS`` bits; what reaches the driver is at most that long."""
-    place = F.pmod(F.xxhash64("id"), F.lit(FILTER_BITS))
-    words = ids.select((place / 64).cast("long").alias("at"), F.call_function("shiftleft", F.lit(1).cast("long"), (place % 64).cast("int")).alias("bit"))
-    rows = words.groupBy("at").agg(F.bit_or("bit").alias("bits")).toPandas()
-    bitmap = np.zeros(FILTER_BITS // 64, np.int64)
-    bitmap[rows["at"].to_numpy(np.int64)] = rows["bits"].to_numpy(np.int64)
-    return ids.sparkSession.sparkContext.broadcast(bitmap)
+def _place() -> Column:
+    return F.pmod(F.xxhash64("id"), F.lit(FILTER_BITS))
+
+
+def _bitmap(ids: DataFrame) -> DataFrame:
+    """``at, bits``: the longs of a bitmap of ``FILTER_BITS`` bits; no more than ``FILTER_BITS / 64`` rows."""
+    bit = F.call_function("shiftleft", F.lit(1).cast("long"), (_place() % 64).cast("int"))
+    return ids.select((_place() / 64).cast("long").alias("at"), bit.alias("bit")).groupBy("at").agg(F.bit_or("bit").alias("bits"))
 
 
 def shingle_sets(docs: DataFrame, ids: DataFrame) -> DataFrame:
     """``(id, shingles)`` of the documents in ``ids`` and of a few others."""
-    shared = _filter_of(ids)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        shingle, bitmap = Shingler(), shared.value
+        shingle = Shingler()
         for batch in batches:
-            place = batch.column(2).to_numpy(zero_copy_only=False)
-            chosen = np.flatnonzero((bitmap[place // 64] >> (place % 64)) & 1)
-            for at in range(0, len(chosen), 512):
-                part = batch.take(pa.array(chosen[at : at + 512]))
+            for at in range(0, batch.num_rows, 512):
+                part = batch.slice(at, 512)
                 sets = [shingle(t.as_py()).view(np.int64) for t in part.column(1)]
                 ends = np.cumsum([0, *map(len, sets)]).astype(np.int32)
-                flat = pa.array(np.concatenate(sets)) if sets else pa.array([], pa.int64())
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.ListArray.from_arrays(pa.array(ends), flat)], ["id", "shingles"])
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(sets)))], ["id", "shingles"])
 
     numbered = docs.where(F.col("doc_id").isNotNull()).select(F.col("doc_id").cast("long").alias("id"), "text")
-    return numbered.select("id", "text", F.pmod(F.xxhash64("id"), F.lit(FILTER_BITS)).alias("place")).mapInArrow(run, "id long, shingles array<long>")
-
+    placed = numbered.withColumn("at", (_place() / 64).cast("long")).join(F.broadcast(_bitmap(ids)), "at")
+    chosen = placed.where(F.getbit("bits", (_place() % 64).cast("int")) == 1)
+    return chosen.select("id", "text").mapInArrow(run, "id long, shingles array<long>")
 
-class _Verifier:
-    """Confirms candidate pairs on full sets."""
 
-    def __init__(self, docs: DataFrame, cut) -> None:
-        self.docs, self.cut = docs, cut
+def confirmed(pairs: DataFrame, docs: DataFrame) -> DataFrame:
+    """The pairs ``(a, b)`` at the similarity or above, by their full sets."""
+    ids = pairs.select(F.explode(F.array("a", "b")).alias("id"))
+    sets = shingle_sets(docs, ids).dropDuplicates(["id"])
+    left = sets.select(F.col("id").alias("a"), F.col("shingles").alias("x"))
+    right = sets.select(F.col("id").alias("b"), F.col("shingles").alias("y"))
+    shared = F.size(F.array_intersect("x", "y"))
+    linked = shared * 100 >= (F.size("x") + F.size("y") - shared) * PERCENT
+    return pairs.join(left, "a").join(right, "b").where(linked).select("a", "b")
 
-    def links(self, pairs: DataFrame, folded: bool = False) -> DataFrame:
-        """Pairs at the similarity or above. ``folded`` first tries sets of 31-bit hashes at two per cent
-        below it, which spares the exchange of whole sets where few pairs are links."""
-        pairs = self.cut(pairs)
-        ids = self.cut(pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct())
-        sets = self.cut(shingle_sets(self.docs, ids).join(ids, "id", "left_semi").dropDuplicates(["id"]))
-        if folded:
-            short = sets.select("id", F.transform("shingles", lambda x: x.bitwiseAND(F.lit(0x7FFFFFFF)).cast("int")).alias("shingles"))
-            pairs = self.cut(self._alike(pairs, short, PERCENT - 2))
-        return self.cut(self._alike(pairs, sets, PERCENT))
 
-    def _alike(self, pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-        left = sets.select(F.col("id").alias("a"), F.col("shingles").alias("x"))
-        right = sets.select(F.col("id").alias("b"), F.col("shingles").alias("y"))
-        shared = F.size(F.array_intersect("x", "y"))
-        linked = shared * 100 >= (F.size("x") + F.size("y") - shared) * percent
-        return pairs.join(left, "a").join(right, "b").where(linked).select("a", "b")
-
-
-def near_duplicates(docs: DataFrame) -> DataFrame:
+def near_duplicates(docs: DataFrame, local_links: int = LOCAL_LINKS, label_rows: int = LABEL_ROWS) -> DataFrame:
     """``doc_id, n_shingles, component_id, kept`` for each row of ``docs``."""
     arrow_ready(docs.sparkSession)
     work = Workspace(docs.sparkSession)
-    signed = work.cut(signatures(docs))
-    classes = signed.where("n > 0").groupBy("d0", "d1", "n").agg(F.min("doc_id").alias("id"), F.count(F.lit(1)).alias("size"), *[F.min(s).alias(s) for s in (*_SIG_COLUMNS, *_SKETCH_COLUMNS)])
-    classes = work.cut(classes)
-    indexed = classes.where(F.col("id").isNotNull())
-    reps = indexed.select("id", "n", *_PART_COLUMNS)
-    keyed = indexed.select("id", F.posexplode(keys_of()).alias("slot", "key"))
-    centres = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("many"), F.min("id").alias("c0"), F.min_by("id", F.xxhash64("id", "key")).alias("c1"))
-    keyed = work.cut(keyed.join(centres.where("many > 1"), "key"))
-
-    verifier = _Verifier(docs, work.cut)
-    links = verifier.links(_star_pairs(keyed, reps))
-    labels = components(links, work.cut)
-    found = verifier.links(_cross_pairs(work.cut(_open_buckets(keyed, labels)), indexed), folded=True)
-    if not found.isEmpty():
-        labels = components(links.unionByName(found), work.cut)
-    named = classes.join(labels, classes["id"] == labels["node"], "left").select("d0", "d1", "n", "size", F.coalesce("label", "id").alias("component"))
-    named, rows = cut(named), cut(signed.select("doc_id", "d0", "d1", "n"))
-    work.clear()
-    return _label_rows(rows, named)
-
-
-def _open_buckets(keyed: DataFrame, labels: DataFrame) -> DataFrame:
-    """``key, slot, many, id, label`` of buckets whose members are in more than one component."""
-    named = keyed.select("key", "slot", "many", "id").join(labels, keyed["id"] == labels["node"], "left").select("key", "slot", "many", "id", F.coalesce("label", "id").alias("label"))
-    mixed = named.groupBy("key").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo < hi").select("key")
-    return named.join(mixed, "key")
-
-
-def _star_pairs(keyed: DataFrame, reps: DataFrame) -> DataFrame:
-    """Each member with its buckets' least ids, and in one bucket of each chunk with a centre by a hash that differs by bucket."""
-    own = F.when(F.col("slot") % CHUNK == 0, F.array("c0", "c1")).otherwise(F.array("c0"))
-    met = keyed.select("id", F.explode(F.array_distinct(own)).alias("c"))
-    pairs = met.where("id <> c").select(F.least("id", "c").alias("a"), F.greatest("id", "c").alias("b")).distinct()
-    return _sifted(pairs, reps)
-
-
-def _sifted(pairs: DataFrame, reps: DataFrame) -> DataFrame:
-    """The pairs whose sizes and first sketch parts allow the similarity."""
-    joined = pairs.join(reps.alias("l"), F.col("a") == F.col("l.id")).join(reps.alias("r"), F.col("b") == F.col("r.id"))
-    return joined.where(_near("l", "r", _PART_COLUMNS, PART_DISTANCE)).select("a", "b")
-
-
-def _cross_pairs(buckets: DataFrame, indexed: DataFrame) -> DataFrame:
-    """All pairs of different components within the distance that share a bucket.
-
-    A small bucket adds at most ``SMALL_BUCKET`` pairs to a row. In larger ones the whole sketch is
-    compared, and the first shared key decides where a pair is taken.
+    try:
+        signed = work.cut(signatures(docs))
+        symbols = [*_SIG_COLUMNS, *_CARRIED]
+        classes = signed.where("n > 0").groupBy("d0", "d1", "n").agg(F.min("doc_id").alias("id"), *[F.min(s).alias(s) for s in symbols])
+        classes = work.cut(classes)
+        buckets = work.cut(_buckets(classes.where(F.col("id").isNotNull())))
+        links = work.cut(confirmed(work.cut(_star_pairs(buckets)), docs))
+        labels = components(links, work.cut, local_links)
+        found = work.cut(confirmed(work.cut(_cross_pairs(buckets, labels, label_rows)), docs))
+        if not found.isEmpty():
+            labels = components(links.unionByName(found), work.cut, local_links)
+        named = classes.join(_bounded(labels, label_rows), classes["id"] == labels["node"], "left").select("d0", "d1", "n", F.coalesce("label", "id").alias("component"))
+        return cut(_label_rows(signed.select("doc_id", "d0", "d1", "n"), named))
+    finally:
+        work.clear()
+
+
+def _bounded(labels: DataFrame, most: int) -> DataFrame:
+    """``labels``, broadcast if they are counted to be few."""
+    return F.broadcast(labels) if labels.count() <= most else labels
+
+
+def _buckets(classes: DataFrame) -> DataFrame:
+    """``key, slot, id, c0, c1`` and the symbols, for buckets of two members at least.
+
+    The centres are the least id and one by a hash that differs by bucket.
+    """
+    keyed = classes.select("id", F.posexplode(keys_of()).alias("slot", "key"))
+    centres = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("many"), F.min("id").alias("c0"), F.min(F.xxhash64("id", "key")).alias("h1")).where("many > 1").drop("many")
+    return keyed.join(centres, "key").withColumn("centre", F.when(F.col("id") == F.col("c0"), 0).when((F.col("slot") % CHUNK == 0) & (F.xxhash64("id", "key") == F.col("h1")), 1)).drop("h1").join(classes.select("id", "n", *_CARRIED), "id")
+
+
+def _known(buckets: DataFrame) -> DataFrame:
+    """The buckets with columns that are known not to be null, which shortens the code of the joins."""
+    return buckets.withColumns({c: F.coalesce(c, F.lit(0).cast("long")) for c in ("id", "n", *_CARRIED)})
+
+
+def _star_pairs(buckets: DataFrame) -> DataFrame:
+    """Each member with its buckets' least ids, and in one bucket of each chunk with the other centre."""
+    buckets = _known(buckets)
+    centres = buckets.where("centre IS NOT NULL")
+    near = (F.col("l.key") == F.col("r.key")) & (F.col("l.id") != F.col("r.id")) & _near("l", "r")
+    pairs = buckets.alias("l").join(centres.alias("r"), near)
+    return pairs.select(F.least("l.id", "r.id").alias("a"), F.greatest("l.id", "r.id").alias("b")).distinct()
+
+
+def _cross_pairs(buckets: DataFrame, labels: DataFrame, label_rows: int) -> DataFrame:
+    """All pairs of different components within the distances that share a bucket.
+
+    Each has a member outside the component of the bucket's first centre: that member is on the left.
     """
-    low, high = F.least("l.id", "r.id").alias("a"), F.greatest("l.id", "r.id").alias("b")
-    apart = (F.col("l.key") == F.col("r.key")) & (F.col("l.label") < F.col("r.label"))
-    small = buckets.where(F.col("many") <= SMALL_BUCKET).select("key", "id", "label").join(indexed.select("id", "n", *_FIRST_COLUMNS), "id")
-    met = small.alias("l").join(small.alias("r"), apart & _near("l", "r", _FIRST_COLUMNS, FIRST_DISTANCE)).select(low, high)
-    near = _sifted(met.distinct(), indexed.select("id", "n", *_PART_COLUMNS))
-    large = buckets.where(F.col("many") > SMALL_BUCKET).select("key", "slot", "id", "label").join(indexed.select("id", "n", *_SKETCH_COLUMNS, *_SIG_COLUMNS), "id")
-    alike = _near("l", "r", _SKETCH_COLUMNS, SKETCH_DISTANCE) & (_first_shared("l", "r") == F.col("l.slot"))
-    more = large.alias("l").join(large.alias("r"), apart & alike).select(low, high)
-    return near.unionByName(more).distinct()
+    few = _bounded(labels, label_rows)
+    own = few.select(F.col("node").alias("id"), F.col("label").alias("own"))
+    first = few.select(F.col("node").alias("c0"), F.col("label").alias("first"))
+    named = _known(buckets).join(own, "id", "left").join(first, "c0", "left")
+    named = named.withColumns({"own": F.coalesce("own", "id"), "first": F.coalesce("first", "c0")}).drop("slot", "centre", "c0")
+    outside = named.where("own <> first")
+    met = (F.col("l.key") == F.col("r.key")) & ((F.col("r.own") == F.col("r.first")) | (F.col("l.own") < F.col("r.own"))) & _near("l", "r")
+    pairs = outside.alias("l").join(named.alias("r"), met)
+    return pairs.select(F.least("l.id", "r.id").alias("a"), F.greatest("l.id", "r.id").alias("b")).distinct()
 
 
 def _label_rows(signed: DataFrame, named: DataFrame) -> DataFrame:
-    """Every row with its component; hot classes are broadcast, of which there are few."""
-    total = named.agg(F.sum("size")).first()[0] or 0
-    key = ["d0", "d1", "n"]
-    hot = named.where(F.col("size") * HOT_SHARE > F.lit(total)).select(*key, F.col("component").alias("hot"), F.lit(True).alias("is_hot"))
-    cold = named.where(F.col("size") * HOT_SHARE <= F.lit(total)).select(F.col("d0").alias("e0"), F.col("d1").alias("e1"), F.col("n").alias("e2"), "component")
-    rows = signed.select("doc_id", *key).join(F.broadcast(hot), key, "left")
-    alone = F.col("is_hot").isNotNull() | (F.col("n") == 0)
-    rows = rows.withColumn("e0", F.when(alone, F.xxhash64("doc_id", "d0")).otherwise(F.col("d0"))).withColumn("e1", F.col("d1")).withColumn("e2", F.when(alone, F.lit(-1)).otherwise(F.col("n")))
-    met = rows.join(cold, ["e0", "e1", "e2"], "left")
-    component = F.when(F.col("n") == 0, F.col("doc_id")).when(F.col("is_hot").isNotNull(), F.col("hot")).otherwise(F.col("component"))
+    """Every row with its component; a hot class is split by AQE, as the classes' side has one row of it."""
+    alone = F.col("n") == 0
+    rows = signed.withColumn("d0", F.when(alone, F.xxhash64("doc_id")).otherwise(F.col("d0")))
+    met = rows.join(named, ["d0", "d1", "n"], "left")
+    component = F.when(alone, F.col("doc_id")).otherwise(F.col("component"))
     return met.select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"), F.col("doc_id").eqNullSafe(component).alias("kept"))
 
 
