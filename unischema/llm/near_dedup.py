@@ -225,7 +225,6 @@ def _near(a: str, b: str) -> Column:
 
 def components(links: DataFrame, cut=cut, local_links: int = LOCAL_LINKS) -> DataFrame:
     """``(node, label)``: the least node reachable by ``(a, b)`` links, for every node of a link."""
-    links = cut(links.select("a", "b"))
     if links.count() <= local_links:
         return cut(links.coalesce(1).mapInArrow(_close, "node long, label long"))
     return _star_steps(links, cut)
@@ -297,10 +296,14 @@ def shingle_sets(docs: DataFrame, ids: DataFrame) -> DataFrame:
     return chosen.select("id", "text").mapInArrow(run, "id long, shingles array<long>")
 
 
-def confirmed(pairs: DataFrame, docs: DataFrame) -> DataFrame:
-    """The pairs ``(a, b)`` at the similarity or above, by their full sets."""
+def confirmed(pairs: DataFrame, docs: DataFrame, cut=cut) -> DataFrame:
+    """The pairs ``(a, b)`` at the similarity or above, by their full sets.
+
+    The sets are written once: both joins then read plain exchanges, of which AQE can split a hot centre.
+    """
+    pairs = cut(pairs)
     ids = pairs.select(F.explode(F.array("a", "b")).alias("id"))
-    sets = shingle_sets(docs, ids).dropDuplicates(["id"])
+    sets = cut(shingle_sets(docs, ids).dropDuplicates(["id"]))
     left = sets.select(F.col("id").alias("a"), F.col("shingles").alias("x"))
     right = sets.select(F.col("id").alias("b"), F.col("shingles").alias("y"))
     shared = F.size(F.array_intersect("x", "y"))
@@ -318,9 +321,9 @@ def near_duplicates(docs: DataFrame, local_links: int = LOCAL_LINKS, label_rows:
         classes = signed.where("n > 0").groupBy("d0", "d1", "n").agg(F.min("doc_id").alias("id"), *[F.min(s).alias(s) for s in symbols])
         classes = work.cut(classes)
         buckets = work.cut(_buckets(classes.where(F.col("id").isNotNull())))
-        links = work.cut(confirmed(work.cut(_star_pairs(buckets)), docs))
+        links = work.cut(confirmed(_star_pairs(buckets), docs, work.cut))
         labels = components(links, work.cut, local_links)
-        found = work.cut(confirmed(work.cut(_cross_pairs(buckets, labels, label_rows)), docs))
+        found = work.cut(confirmed(_cross_pairs(buckets, labels, label_rows), docs, work.cut))
         if not found.isEmpty():
             labels = components(links.unionByName(found), work.cut, local_links)
         named = classes.join(_bounded(labels, label_rows), classes["id"] == labels["node"], "left").select("d0", "d1", "n", F.coalesce("label", "id").alias("component"))
