@@ -21,16 +21,24 @@ def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def cut(df: DataFrame) -> DataFrame:
-    """Materialise ``df`` in the shared checkpoint folder, so that a lost executor loses no work.
+def shared_folder(spark: SparkSession) -> str:
+    """The session's checkpoint folder, from ``spark.checkpoint.dir``.
 
-    The folder is the session's ``spark.checkpoint.dir``; only where none is set (tests on one
-    machine) is a temporary one made.
+    Only where that is unset and everything runs on one machine (tests) is a temporary folder made;
+    on a cluster a local folder would be lost with its machine, so that is an error.
     """
-    sc = df.sparkSession.sparkContext
+    sc = spark.sparkContext
     if sc._jsc.sc().getCheckpointDir().isEmpty():
-        shared = df.sparkSession.conf.get("spark.checkpoint.dir", None)
+        shared = spark.conf.get("spark.checkpoint.dir", None)
+        if shared is None and not (sc.master == "local" or sc.master.startswith("local[")):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
         sc.setCheckpointDir(shared or tempfile.mkdtemp(prefix="unischema-checkpoint-"))
+    return sc._jsc.sc().getCheckpointDir().get()
+
+
+def cut(df: DataFrame) -> DataFrame:
+    """Materialise ``df`` in the shared checkpoint folder, so that a lost executor loses no work."""
+    shared_folder(df.sparkSession)
     return df.checkpoint()
 
 
@@ -46,17 +54,14 @@ def arrow_ready(spark: SparkSession) -> None:
 
 
 class Workspace:
-    """Intermediate tables of one operator run, written as Parquet in the shared checkpoint folder.
+    """Intermediate tables of one run, written as Parquet in the shared checkpoint folder.
 
-    Compressed and pruned by column, unlike checkpoints, and deleted by ``clear`` when the run is over.
+    Compressed and pruned by column, unlike checkpoints; deleted one by one by ``drop`` or all by ``clear``.
     """
 
     def __init__(self, spark: SparkSession) -> None:
         self.spark = spark
-        sc = spark.sparkContext
-        if sc._jsc.sc().getCheckpointDir().isEmpty():
-            sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="unischema-checkpoint-"))
-        self.path = f"{sc._jsc.sc().getCheckpointDir().get()}/unischema-{uuid.uuid4().hex}"
+        self.path = f"{shared_folder(spark)}/unischema-{uuid.uuid4().hex}"
         self.count = 0
 
     def cut(self, df: DataFrame) -> DataFrame:
@@ -64,8 +69,15 @@ class Workspace:
         df.write.parquet(f"{self.path}/{self.count}")
         return self.spark.read.schema(df.schema).parquet(f"{self.path}/{self.count}")
 
+    def drop(self, number: int) -> None:
+        """Delete the table that was the ``number``-th to be cut."""
+        self._delete(f"{self.path}/{number}")
+
     def clear(self) -> None:
-        path = self.spark._jvm.org.apache.hadoop.fs.Path(self.path)
+        self._delete(self.path)
+
+    def _delete(self, name: str) -> None:
+        path = self.spark._jvm.org.apache.hadoop.fs.Path(name)
         path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
 
 

@@ -21,10 +21,11 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from unischema.llm.common import arrow_ready, cut, drop_rows, held_out, read_table
+from unischema.llm.common import arrow_ready, cut, held_out, read_table
 
 #: Expected number of labelled documents that the fit reads; rows beyond are left out by a hash.
 SAMPLE_DOCS = 20_000
@@ -164,17 +165,25 @@ def identify(docs: DataFrame, model: Model) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long"), held_out(F.col("doc_id")).alias("held_out"), "text").mapInArrow(run, "doc_id long, held_out boolean, lang_pred string, score double")
 
 
-def rejected(lang_pred: Column) -> Column:
-    """What the pipeline drops: documents without a language. Any predicted language stays."""
-    return lang_pred == UNKNOWN
-
-
 def op7_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read_table(spark, sf_dir, "documents")
     return identify(docs, fit(docs))
 
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pipeline stage: documents without any letter go."""
-    found = identify(docs, fit(docs))
-    return drop_rows(docs, found.where(rejected(F.col("lang_pred"))).select("doc_id"))
+    """Pipeline stage: documents of which no language can be told go; a null ``lang`` becomes the
+    prediction, so that later stages know the language of every document. Rows are judged one by one,
+    also where ids repeat; an empty table stays empty.
+    """
+    arrow_ready(spark)
+    shared = spark.sparkContext.broadcast(fit(docs))
+    text, lang = docs.columns.index("text"), docs.columns.index("lang")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own = shared.value
+        for batch in batches:
+            found = pa.array([own.predict(t.as_py())[0] for t in batch.column(text)], pa.string())
+            told = batch.set_column(lang, batch.schema.field(lang), pc.coalesce(batch.column(lang), found))
+            yield told.filter(pc.not_equal(found, UNKNOWN))
+
+    return docs.mapInArrow(run, docs.schema)
