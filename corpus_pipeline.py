@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from unischema.llm import decontamination, exact_dedup, language_id, near_dedup, packing
-from unischema.llm.common import cut, read_table
+from unischema.llm.common import Workspace, cut, read_table
 
 STAGES = [
     ("language_id", language_id.stage),
@@ -25,10 +25,14 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over the table of documents; each result is materialised for the next stage."""
-    docs = read_table(spark, sf_dir, "documents")
-    for number, (_, stage) in enumerate(STAGES, 1):
-        docs = stage(spark, docs, sf_dir)
-        if number < len(STAGES):
-            docs = cut(docs)
-    return docs
+    """All stages over the table of documents. Each result is written for the next stage and deleted as
+    soon as the one after it is written, also when a stage fails."""
+    docs, space = read_table(spark, sf_dir, "documents"), Workspace(spark)
+    try:
+        for number, (_, stage) in enumerate(STAGES[:-1], 1):
+            docs = space.cut(stage(spark, docs, sf_dir))
+            if number > 1:
+                space.drop(number - 1)
+        return cut(STAGES[-1][1](spark, docs, sf_dir))
+    finally:
+        space.clear()
