@@ -15,13 +15,13 @@ class Config:
     bound: str = "max"  # or "self": the bound from one word's length only
     verify: str = "edit"  # or "count": trust the count filter
     anchor: str = "nearest"  # or "any"
-    directed: bool = False
-    dedup: bool = True
     expand_plan: str = "frontier"  # or "binary", "meet"
     max_degree: int | None = None
     beta: float = 1.5
     resolve: str = "overlap"  # or "cover", "dense", "none"
     max_parts: int = 1000
+    max_members: int = 1000
+    distance: str = "path"  # or "energy" (sum of squared path lengths), "literal": what resolving goes by
     halo_policy: str = "ball"  # or "top_degree", "none"
     halo_cap: int = 16
     halo_rule: str = "combined"  # or "subtract"

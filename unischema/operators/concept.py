@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from unischema.functions.lineage import cut
 from unischema.operators.clusters import least_halo, merge_all
-from unischema.operators.knowledge import ball_table, compose, expand_by_plan, guarded, k_hop, unit_ball
+from unischema.operators.knowledge import ball_from, compose, guarded, hop_plan, k_hop, unit_ball
 
 
 def seed_paths(members: DataFrame, h1: DataFrame, anchors: DataFrame | None = None) -> DataFrame:
@@ -41,10 +41,18 @@ def expand_paths(paths: DataFrame, h1: DataFrame, gamma: int, dedup: bool = True
 
 
 def related_concepts(inputs: DataFrame, h1: DataFrame, gamma: int, plan: str = "frontier", max_degree: int | None = None) -> DataFrame:
-    """``start, end, len``: all concepts within ``gamma`` of ``inputs(concept)``, inputs at 0."""
+    """``start, end, len``: all concepts within ``gamma`` of ``inputs(concept)``, inputs at 0.
+
+    ``plan``: ``frontier`` (semi-naive rounds), ``binary`` (balls of the powers of two in ``gamma``, made of
+    what is reachable), or ``meet`` (two half-balls).
+    """
     if plan == "binary":
-        powers = [1 << k for k in range(gamma.bit_length())]
-        return expand_by_plan(inputs, {p: ball_table(h1, p) for p in powers}, gamma)
+        step = guarded(h1, max_degree)
+        rows = inputs.select(F.col("concept").alias("a"), F.col("concept").alias("b"), F.lit(0).alias("len")).distinct()
+        for power in hop_plan(gamma):
+            rows = cut(rows)
+            rows = compose(rows, ball_from(cut(rows.select(F.col("b").alias("concept")).distinct()), step, power))
+        return rows.select(F.col("a").alias("start"), F.col("b").alias("end"), "len")
     if plan == "meet":
         near = k_hop(inputs, h1, gamma - gamma // 2, max_degree).select(F.col("start").alias("a"), F.col("end").alias("b"), "len")
         ends = near.select(F.col("b").alias("concept")).distinct()

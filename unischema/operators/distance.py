@@ -26,7 +26,11 @@ def anchor(attrs: DataFrame, concepts: DataFrame, eps_t: int = 1, mode: str = "n
         found = literal_pairs_between(names, known, eps_t, q)
         return found.select(F.col("a").alias("attr"), F.col("b").alias("concept"), F.col("d").alias("d_lit"))
     same = names.join(known, "attr", "left_semi").select("attr", F.col("attr").alias("concept"), F.lit(0).alias("d_lit"))
-    rest = names.join(known, "attr", "left_anti")
+    if eps_t == 0:
+        return same
+    rest = cut(names.join(known, "attr", "left_anti"))
+    if rest.isEmpty():
+        return same
     near = literal_pairs_between(rest, known, eps_t, q).select(F.col("a").alias("attr"), F.col("b").alias("concept"), F.col("d").alias("d_lit"))
     order = Window.partitionBy("attr").orderBy("d_lit")
     return same.unionByName(near.withColumn("rank", F.rank().over(order)).where("rank = 1").drop("rank"))

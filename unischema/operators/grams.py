@@ -56,10 +56,10 @@ def gram_candidates(x: DataFrame, y: DataFrame, q: int, eps: int, bound: str = "
 
 
 def prefix_postings(postings: DataFrame, frequency: DataFrame, q: int, eps: int) -> DataFrame:
-    """The ``q * eps + 1`` rarest postings of each attribute: one of them is shared by every match."""
+    """The ``q * eps + 1`` rarest postings of each attribute, with their ``df``: one of them is shared by every match."""
     ranked = postings.join(frequency, ["gram", "occ"], "left").withColumn("df", F.coalesce("df", F.lit(0)))
     order = Window.partitionBy("attr").orderBy("df", "gram", "occ")
-    return ranked.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= q * eps + 1).drop("rank", "df")
+    return ranked.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= q * eps + 1).drop("rank")
 
 
 def short_limit(q: int, eps: int) -> int:
@@ -67,14 +67,16 @@ def short_limit(q: int, eps: int) -> int:
     return q - 1 + q * eps
 
 
-def deletion_candidates(x: DataFrame, y: DataFrame, q: int, eps: int, ordered: bool = True) -> DataFrame:
-    """``a, b`` of short words that share a variant of up to ``eps`` deletions."""
-
-    def variants(df: DataFrame) -> DataFrame:
-        short = df.select("attr").where(F.length("attr") <= short_limit(q, eps)).distinct()
-        return short.select("attr", F.explode(deletions(F.col("attr"), eps)).alias("variant"))
-
+def deletion_pairs(x: DataFrame, y: DataFrame, eps: int, ordered: bool = True) -> DataFrame:
+    """``a, b`` of words that share a variant of up to ``eps`` deletions; all within ``eps`` do."""
+    variants = lambda df: df.select("attr", F.explode(deletions(F.col("attr"), eps)).alias("variant"))
     met = variants(x).alias("x").join(variants(y).alias("y"), "variant")
     if ordered:
         met = met.where(F.col("x.attr") < F.col("y.attr"))
     return met.select(F.col("x.attr").alias("a"), F.col("y.attr").alias("b")).distinct()
+
+
+def deletion_candidates(x: DataFrame, y: DataFrame, q: int, eps: int, ordered: bool = True) -> DataFrame:
+    """The same for words too short for a positive count bound."""
+    short = lambda df: df.select("attr").where(F.length("attr") <= short_limit(q, eps)).distinct()
+    return deletion_pairs(short(x), short(y), eps, ordered)

@@ -113,6 +113,23 @@ def ball_table(h1: DataFrame, k: int) -> DataFrame:
     return reduce(compose, [balls[p] for p in hop_plan(k)])
 
 
+def ball_from(starts: DataFrame, h1: DataFrame, power: int) -> DataFrame:
+    """``a, b, len`` within ``power`` (a power of two) of ``starts(concept)`` alone, by doubling.
+
+    The second half starts from what the first has reached, so hubs far from the starts are never squared.
+    """
+    if power == 1:
+        own = starts.select(F.col("concept").alias("a"), F.col("concept").alias("b"), F.lit(0).alias("len"))
+        return own.unionByName(h1.join(starts, "concept").select(F.col("concept").alias("a"), F.col("neighbour").alias("b"), F.lit(1).alias("len")))
+    near = cut(ball_from(starts, h1, power // 2))
+    return compose(near, ball_from(cut(near.select(F.col("b").alias("concept")).distinct()), h1, power // 2))
+
+
+def read_balls(spark, path: str, powers: list[int]) -> dict[int, DataFrame]:
+    """What ``build_balls`` stored, by radius."""
+    return {k: spark.read.parquet(f"{path}/k={k}") for k in powers}
+
+
 def build_balls(h1: DataFrame, powers: list[int], path: str, buckets: int = 16) -> None:
     """Chosen balls, built offline: one folder per radius, files clustered and sorted by start."""
     for k in powers:

@@ -1,7 +1,8 @@
 """The literal join: pairs and clusters of names within an edit distance.
 
 ``literal_pairs`` rewrites the similarity predicate into equi-joins: a rare-gram prefix join with a
-length filter for words with a positive count bound, and the deletion lane for shorter ones. Every
+length filter for words with a positive count bound, and the deletion lane for shorter ones and for
+those whose rarest grams are common. Every
 candidate is verified with the bounded distance, so the result equals the nested loop's.
 """
 
@@ -12,22 +13,35 @@ from pyspark.sql import functions as F
 
 from unischema.functions.text import edit_within
 from unischema.operators.clusters import merge_all
-from unischema.operators.grams import deletion_candidates, gram_candidates, gram_frequency, gram_index, prefix_postings
+from unischema.operators.grams import deletion_candidates, deletion_pairs, gram_candidates, gram_frequency, gram_index, prefix_postings
 
 
 def _verified(pairs: DataFrame, eps: int) -> DataFrame:
     return pairs.select("a", "b", edit_within(F.col("a"), F.col("b"), eps).alias("d")).where("d IS NOT NULL")
 
 
-def _prefix_pairs(x: DataFrame, y: DataFrame, frequency: DataFrame, q: int, eps: int, ordered: bool) -> DataFrame:
-    left, right = prefix_postings(x, frequency, q, eps).alias("x"), prefix_postings(y, frequency, q, eps).alias("y")
+#: A gram in more words than this is hot: its words meet on deletion variants, not on the gram.
+HOT_GRAM = 128
+
+
+def _prefix_pairs(x: DataFrame, y: DataFrame, frequency: DataFrame, q: int, eps: int, ordered: bool, hot: int = HOT_GRAM) -> DataFrame:
+    """Pairs that share one of their rarest grams.
+
+    A hot gram would pair all its words with each other. A pair that shares no other rare gram has the
+    hot one in both prefixes, so the words with a hot gram among their rarest are all joined on their
+    deletion variants instead, which nearly only true pairs share.
+    """
+    left, right = prefix_postings(x, frequency, q, eps), prefix_postings(y, frequency, q, eps)
     on = (F.col("x.gram") == F.col("y.gram")) & (F.col("x.occ") == F.col("y.occ")) & (F.abs(F.col("x.len") - F.col("y.len")) <= eps)
     if ordered:
         on = on & (F.col("x.attr") < F.col("y.attr"))
-    return left.join(right, on).select(F.col("x.attr").alias("a"), F.col("y.attr").alias("b")).distinct()
+    cold = F.col("df") <= hot
+    pairs = left.where(cold).alias("x").join(right.where(cold).alias("y"), on).select(F.col("x.attr").alias("a"), F.col("y.attr").alias("b"))
+    warm = lambda side: side.where(~cold).select("attr").distinct()
+    return pairs.unionByName(deletion_pairs(warm(left), warm(right), eps, ordered)).distinct()
 
 
-def literal_pairs(attrs: DataFrame, eps: int = 1, q: int = 2, bound: str = "max", verify: str = "edit", prefix: bool = True) -> DataFrame:
+def literal_pairs(attrs: DataFrame, eps: int = 1, q: int = 2, bound: str = "max", verify: str = "edit", prefix: bool = True, hot: int = HOT_GRAM) -> DataFrame:
     """``a, b, d`` with a < b of all pairs of distinct attributes within ``eps``.
 
     ``verify='count'`` returns the count filter's pairs unverified (distance null), with the chosen
@@ -38,7 +52,7 @@ def literal_pairs(attrs: DataFrame, eps: int = 1, q: int = 2, bound: str = "max"
     if verify == "count":
         return gram_candidates(postings, postings, q, eps, bound).select("a", "b", F.lit(None).cast("int").alias("d"))
     if prefix:
-        long = _prefix_pairs(postings, postings, gram_frequency(postings), q, eps, ordered=True)
+        long = _prefix_pairs(postings, postings, gram_frequency(postings), q, eps, True, hot)
     else:
         long = gram_candidates(postings, postings, q, eps, bound).select("a", "b")
     return _verified(long.unionByName(deletion_candidates(words, words, q, eps)).distinct(), eps)
@@ -54,6 +68,21 @@ def literal_pairs_between(left: DataFrame, right: DataFrame, eps: int = 1, q: in
     return _verified(pairs, eps)
 
 
+def literal_lookup(names: DataFrame, kept: DataFrame, eps: int = 1, q: int = 2, postings: DataFrame | None = None) -> DataFrame:
+    """``a, b, d``: names against kept words, of which ``postings`` may be stored (``grams.write_gram_index``).
+
+    Only the names are cut into grams then; each meets the stored postings of its own grams, and short
+    words meet on deletion variants. Nothing is ranked, so that the stored side is read as it is.
+    """
+    words = names.select("attr").where("attr IS NOT NULL").distinct()
+    kept = kept.select("attr").where("attr IS NOT NULL").distinct()
+    if eps == 0:
+        return words.join(kept, "attr").select(F.col("attr").alias("a"), F.col("attr").alias("b"), F.lit(0).alias("d"))
+    stored = gram_index(kept, q) if postings is None else postings.select("attr", "len", "gram", "occ", "pos")
+    pairs = gram_candidates(gram_index(words, q), stored, q, eps, ordered=False).select("a", "b")
+    return _verified(pairs.unionByName(deletion_candidates(words, kept, q, eps, ordered=False)).distinct(), eps)
+
+
 def literal_matches(left: dict[str, DataFrame], right: dict[str, DataFrame], eps: int = 1, q: int = 2, lanes: tuple[str, ...] = ("mm", "mh", "hm"), gamma: int | None = None, halo_rule: str = "subtract") -> DataFrame:
     """``left_id, right_id, lane, a, b, d``: matches of two cluster families by the three conditions.
 

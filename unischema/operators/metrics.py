@@ -7,6 +7,7 @@ import time
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from unischema.functions.lineage import cut
 from unischema.operators.knowledge import k_hop
 
 
@@ -62,6 +63,23 @@ def compression(n_in: DataFrame, n_out: DataFrame) -> DataFrame:
     return x.crossJoin(y).withColumn("ratio", F.round(F.col("n_attrs") / F.col("n_global"), 6))
 
 
+def filter_stats(attrs: DataFrame, eps: int = 1, q: int = 2) -> DataFrame:
+    """``n_words, n_candidates, n_pairs, ratio``: what the filters of a literal self join let through, and what is right."""
+    from unischema.operators.grams import deletion_candidates, gram_candidates, gram_index
+
+    words = cut(attrs.select("attr").where("attr IS NOT NULL").distinct())
+    postings = gram_index(words, q)
+    found = gram_candidates(postings, postings, q, eps).select("a", "b").unionByName(deletion_candidates(words, words, q, eps)).distinct()
+    right = F.levenshtein("a", "b", eps) >= 0
+    counts = found.agg(F.count(F.lit(1)).alias("n_candidates"), F.count_if(right).alias("n_pairs"))
+    return words.agg(F.count(F.lit(1)).alias("n_words")).crossJoin(counts).withColumn("ratio", F.round(F.try_divide("n_pairs", "n_candidates"), 6))
+
+
+def slope(rows: DataFrame, value: str, over: str, *by: str) -> DataFrame:
+    """The least-squares slope of one measure over another, and the number of points, in each group."""
+    return rows.groupBy(*by).agg(F.round(F.regr_slope(F.col(value), F.col(over)), 4).alias("slope"), F.count(F.lit(1)).alias("n"))
+
+
 def timed(df: DataFrame) -> float:
     """Wall seconds of a run into the noop sink."""
     began = time.perf_counter()

@@ -34,12 +34,12 @@ def _regroup(rows: DataFrame, word: str) -> DataFrame:
 def rule_identity(attrs: DataFrame, vocab: DataFrame) -> DataFrame:
     """Names that are dictionary words already: ``attr, words``."""
     names = attrs.select("attr").where("attr IS NOT NULL").distinct().withColumn("word", F.lower("attr"))
-    return names.join(F.broadcast(vocab.select("word").distinct()), "word", "left_semi").select("attr", F.col("word").alias("words"))
+    return names.join(vocab.select("word").distinct(), "word", "left_semi").select("attr", F.col("word").alias("words"))
 
 
 def rule_abbreviation(attrs: DataFrame, abbreviations: DataFrame) -> DataFrame:
     """Names with a known short form in them, expanded; from descriptions or a common list."""
-    rows = _words(attrs).join(F.broadcast(abbreviations.select(F.col("short").alias("word"), "full")), "word", "left")
+    rows = _words(attrs).join(abbreviations.select(F.col("short").alias("word"), "full"), "word", "left")
     hit = rows.where("full IS NOT NULL").select("attr").distinct()
     return _regroup(rows.join(hit, "attr", "left_semi").withColumn("long", F.coalesce("full", "word")), "long")
 
@@ -50,7 +50,7 @@ def rule_cut(attrs: DataFrame, vocab: DataFrame) -> DataFrame:
     Of several cuts of one word the one with the longest first part wins.
     """
     rows = _words(attrs)
-    dictionary = F.broadcast(vocab.select("word").distinct())
+    dictionary = vocab.select("word").distinct()
     plain = rows.select("word").distinct().join(dictionary, "word", "left_anti").where(F.length("word") >= 4)
     places = F.transform(F.sequence(F.lit(2), F.length("word") - 2), lambda i: F.struct(i.alias("at"), F.substring("word", F.lit(1), i).alias("head"), F.substring(F.col("word"), i + 1, F.length("word")).alias("tail")))
     cuts = plain.select("word", F.explode(places).alias("c")).select("word", "c.*")
@@ -70,6 +70,15 @@ def rule_pattern(attrs: DataFrame, patterns: list[tuple[str, str]] | None = None
     return attrs.select("attr").where("attr IS NOT NULL").distinct().select("attr", chain.alias("words")).where("words IS NOT NULL")
 
 
+def rule_pattern_table(attrs: DataFrame, rules: DataFrame) -> DataFrame:
+    """The same with the rules as a table ``pattern, concept, priority``; of several that match, the one
+    of the least priority counts, then the least concept. Every name is tried against every rule, so the
+    rules are to be few; Spark broadcasts them if they are."""
+    names = attrs.select("attr").where("attr IS NOT NULL").distinct()
+    hit = names.join(rules, F.expr("lower(attr) RLIKE pattern"))
+    return hit.groupBy("attr").agg(F.min(F.struct("priority", "concept")).alias("m")).select("attr", F.col("m.concept").alias("words"))
+
+
 def normalize(attrs: DataFrame, vocab: DataFrame, abbreviations: DataFrame, patterns: list[tuple[str, str]] | None = None) -> DataFrame:
     """``attr, words, rule``: abbreviation, then pattern, then cutting, then identity; else ``-``."""
     found = attrs.select("attr").where("attr IS NOT NULL").distinct()
@@ -115,4 +124,4 @@ def keyword_rank(names: DataFrame, iters: int = 20, damping: float = 0.85) -> Da
 def apply_overrides(keys: DataFrame, overrides: DataFrame) -> DataFrame:
     """Manual corrections win: ``overrides(attr, key)``."""
     fixed = overrides.select("attr", F.col("key").alias("fixed"))
-    return keys.join(F.broadcast(fixed), "attr", "left").withColumn("key", F.coalesce("fixed", "key")).drop("fixed")
+    return keys.join(fixed, "attr", "left").withColumn("key", F.coalesce("fixed", "key")).drop("fixed")

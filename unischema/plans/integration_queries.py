@@ -20,8 +20,6 @@ CATALOG = tables.catalog_values()
 
 # ---------------------------------------------------------------- verification
 
-_PROFILED = ("region", "nation", "customer", "supplier", "part", "orders", "events", "labels")
-_FAMILIES = {"BIGINT": "integer", "INTEGER": "integer", "DOUBLE": "fractional", "VARCHAR": "text", "TIMESTAMP": "temporal", "TIMESTAMP WITH TIME ZONE": "temporal"}
 _COLUMNS = {
     "region": "r_regionkey:i r_name:t",
     "nation": "n_nationkey:i n_name:t n_regionkey:i",
@@ -29,56 +27,95 @@ _COLUMNS = {
     "supplier": "s_suppkey:i s_name:t s_nationkey:i s_acctbal:f",
     "part": "p_partkey:i p_name:t p_brand:t p_type:t p_size:i p_retailprice:f",
     "orders": "o_orderkey:i o_custkey:i o_orderstatus:t o_totalprice:f o_orderdate:d o_orderpriority:t",
+    "lineitem": "l_orderkey:i l_partkey:i l_suppkey:i l_linenumber:i l_quantity:f l_extendedprice:f l_discount:f l_tax:f l_returnflag:t l_linestatus:t l_shipdate:d",
     "events": "event_id:i ts:d user_id:i event_type:t value:f props:t",
+    "documents": "doc_id:i text:t lang:t source:t n_chars:i",
+    "embeddings": "vec_id:i embedding:l label:i",
+    "pages": "page_id:i url:t html:t",
+    "benchmark": "item_id:i text:t",
     "labels": "doc_id:i quality:i toxic:i",
+    "conversations": "conv_id:i turn:i role:t text:t",
 }
-_LETTERS = {"i": "integer", "f": "fractional", "t": "text", "d": "temporal"}
+_LETTERS = {"i": "integer", "f": "fractional", "t": "text", "d": "temporal", "l": "list"}
+_CELLS = [(name, *cell.split(":")) for name, columns in _COLUMNS.items() for cell in columns.split()]
+#: The catalog with families as plain rows: SQL forms must not lean on the connection's own catalog.
+_OWN_SQL = f"SELECT * FROM {sql_values([(t, c, _LETTERS[k], 'fractional' if k == 'l' else '') for t, c, k in _CELLS], 'schema_id', 'attr', 'family', 'element')}"
 
 
-def _profile_sql() -> str:
+def _profile_sql(distinct: bool = False) -> str:
     rows = []
-    for name, columns in _COLUMNS.items():
-        for cell in columns.split():
-            column, kind = cell.split(":")
-            affix = lambda f, c=column: f"CASE WHEN min({f}({c}, 3)) = max({f}({c}, 3)) THEN min({f}({c}, 3)) END"
-            prefix, suffix = (affix("left"), affix("right")) if kind == "t" else ("NULL::VARCHAR", "NULL::VARCHAR")
-            rows.append(f"SELECT '{name}' AS schema_id, '{column}' AS attr, '{_LETTERS[kind]}' AS family, {prefix} AS prefix, {suffix} AS suffix, count({column}) AS n_values, count(DISTINCT {column}) AS n_distinct FROM {name}")
+    for name, column, kind in _CELLS:
+        affix = lambda f, c=column: f"CASE WHEN min({f}({c}, 3)) = max({f}({c}, 3)) THEN min({f}({c}, 3)) END"
+        prefix, suffix = (affix("left"), affix("right")) if kind == "t" else ("NULL::VARCHAR", "NULL::VARCHAR")
+        more = f", count(DISTINCT {column}) AS n_distinct" if distinct else ""
+        rows.append(f"SELECT '{name}' AS schema_id, '{column}' AS attr, '{_LETTERS[kind]}' AS family, {prefix} AS prefix, {suffix} AS suffix, count({column}) AS n_values{more} FROM {name}")
     return " UNION ALL ".join(rows)
 
 
 def _profile(spark, sf_dir) -> DataFrame:
-    return cut(verify.profile_values({t: tables.table(spark, sf_dir, t) for t in _PROFILED}))
+    return cut(verify.profile_values(_all_tables(spark, sf_dir)))
 
 
-@register(_profile_sql())
+def _all_tables(spark, sf_dir) -> dict[str, DataFrame]:
+    return {t: tables.table(spark, sf_dir, t) for t in tables.TABLES}
+
+
+@register(_profile_sql(distinct=True))
 def value_profile(spark, sf_dir):
-    return verify.profile_values({t: tables.table(spark, sf_dir, t) for t in _PROFILED}).drop("element_family")
+    return verify.profile_values(_all_tables(spark, sf_dir), distinct=True).drop("element_family")
+
+
+_SUPPORT = 0.6
+_SUPPORT_SQL = " UNION ALL ".join(
+    f"SELECT '{t}' AS schema_id, '{c}' AS attr, '{side}' AS side, arg_min(affix, (-n, affix)) AS affix, round(max(n) / sum(n), 6) AS support FROM (SELECT {f}({c}, 3) AS affix, count(*) AS n FROM {t} WHERE {c} IS NOT NULL GROUP BY 1) HAVING sum(n) > 0 AND round(max(n) / sum(n), 6) >= {_SUPPORT}"
+    for t, c, k in _CELLS if k == "t" for side, f in (("prefix", "left"), ("suffix", "right"))
+)
+
+
+@register(_SUPPORT_SQL)
+def affix_support(spark, sf_dir):
+    """Affixes that at least 60 % of a text column's values share."""
+    return verify.affix_support(_all_tables(spark, sf_dir), _SUPPORT)
 
 
 def _near_pairs(spark, sf_dir, eps: int = 2) -> DataFrame:
-    """Occurrence pairs (schema, name) of the profiled tables with names within ``eps``."""
-    own = cut(_catalog_attrs(spark, sf_dir).where(F.col("schema_id").isin(*_PROFILED)))
+    """Occurrence pairs (schema, name) of all tables with names within ``eps``."""
+    own = cut(_catalog_attrs(spark, sf_dir))
     pairs = literal.literal_pairs(own, eps).select("a", "b")
     x, y = own.select(F.col("schema_id").alias("schema_a"), F.col("attr").alias("a")), own.select(F.col("schema_id").alias("schema_b"), F.col("attr").alias("b"))
     return cut(pairs.join(x, "a").join(y, "b").select("schema_a", "a", "schema_b", "b"))
 
 
-_NAMES = ", ".join(f"'{t}'" for t in _PROFILED)
-_NEAR_SQL = f"""own AS (SELECT schema_id, attr FROM {CATALOG} WHERE schema_id IN ({_NAMES})), prof AS ({_profile_sql()}),
-  pairs AS (SELECT x.schema_id AS schema_a, x.attr AS a, y.schema_id AS schema_b, y.attr AS b FROM own x, own y WHERE x.attr < y.attr AND levenshtein(x.attr, y.attr) <= 2),
-  wide AS (SELECT pairs.*, p.family AS fa, q.family AS fb, p.prefix AS pa, q.prefix AS pb, p.suffix AS sa, q.suffix AS sb FROM pairs
+_NEAR_SQL = f"""own AS MATERIALIZED ({_OWN_SQL}), prof AS MATERIALIZED ({_profile_sql()}),
+  pairs AS MATERIALIZED (SELECT x.schema_id AS schema_a, x.attr AS a, y.schema_id AS schema_b, y.attr AS b, x.family AS fa, y.family AS fb, x.element AS ea, y.element AS eb
+    FROM own x JOIN own y ON x.attr < y.attr AND levenshtein(x.attr, y.attr) <= 2),
+  wide AS MATERIALIZED (SELECT pairs.*, p.prefix AS pa, q.prefix AS pb, p.suffix AS sa, q.suffix AS sb, p.n_values AS na, q.n_values AS nb FROM pairs
     JOIN prof p ON p.schema_id = schema_a AND p.attr = a JOIN prof q ON q.schema_id = schema_b AND q.attr = b)"""
+_TYPE_SQL = "CASE WHEN na = 0 OR nb = 0 THEN 'unknown' WHEN fa = fb THEN 'keep' ELSE 'deny' END"
+_STRUCTURE_SQL = "CASE WHEN fa <> 'list' AND fb <> 'list' THEN 'unknown' WHEN fa = fb AND ea = eb THEN 'keep' ELSE 'deny' END"
+_AFFIX_SQL = "CASE WHEN (pa IS NULL OR pb IS NULL) AND (sa IS NULL OR sb IS NULL) THEN 'unknown' WHEN coalesce(pa = pb, false) OR coalesce(sa = sb, false) THEN 'keep' ELSE 'deny' END"
+
+
+def _rule_query(name: str, verdict: str, rule) -> None:
+    @register(f"WITH {_NEAR_SQL} SELECT schema_a, a, schema_b, b, '{name}' AS rule, {verdict} AS verdict FROM wide", name=f"rule_{name}" if name != "structure" else "rule_structure_catalog")
+    def query(spark, sf_dir):
+        return rule(_near_pairs(spark, sf_dir), _profile(spark, sf_dir))
 
 
-@register(f"WITH {_NEAR_SQL} SELECT schema_a, a, schema_b, b, 'type' AS rule, CASE WHEN fa = fb THEN 'keep' ELSE 'deny' END AS verdict FROM wide")
-def rule_type(spark, sf_dir):
-    return verify.rule_type(_near_pairs(spark, sf_dir), _profile(spark, sf_dir))
+_rule_query("type", _TYPE_SQL, verify.rule_type)
+_rule_query("affix", _AFFIX_SQL, verify.rule_affix)
+_rule_query("structure", _STRUCTURE_SQL, verify.rule_structure)
 
 
-@register(f"""WITH {_NEAR_SQL} SELECT schema_a, a, schema_b, b, 'affix' AS rule, CASE WHEN (pa IS NULL OR pb IS NULL) AND (sa IS NULL OR sb IS NULL) THEN 'unknown'
-  WHEN coalesce(pa = pb, false) OR coalesce(sa = sb, false) THEN 'keep' ELSE 'deny' END AS verdict FROM wide""")
-def rule_affix(spark, sf_dir):
-    return verify.rule_affix(_near_pairs(spark, sf_dir), _profile(spark, sf_dir))
+@register(f"""WITH {_NEAR_SQL}, sup AS MATERIALIZED ({_SUPPORT_SQL}),
+  met AS (SELECT w.schema_a, w.a, w.schema_b, w.b, p.affix AS pa, q.affix AS pb, s.affix AS sa, t.affix AS sb FROM wide w
+    LEFT JOIN sup p ON p.schema_id = schema_a AND p.attr = a AND p.side = 'prefix' LEFT JOIN sup q ON q.schema_id = schema_b AND q.attr = b AND q.side = 'prefix'
+    LEFT JOIN sup s ON s.schema_id = schema_a AND s.attr = a AND s.side = 'suffix' LEFT JOIN sup t ON t.schema_id = schema_b AND t.attr = b AND t.side = 'suffix')
+  SELECT schema_a, a, schema_b, b, 'affix' AS rule, {_AFFIX_SQL} AS verdict FROM met""")
+def rule_affix_supported(spark, sf_dir):
+    """The affix rule on affixes with a support of 60 %."""
+    support = verify.affix_support(_all_tables(spark, sf_dir), _SUPPORT)
+    return verify.rule_affix(_near_pairs(spark, sf_dir), verify.with_affixes(_profile(spark, sf_dir), support))
 
 
 @register("SELECT * FROM (VALUES ('list', 'unknown', 1), ('list', 'keep', 1), ('list', 'deny', 1)) t(kind, verdict, n)")
@@ -89,22 +126,55 @@ def rule_structure(spark, sf_dir):
     return verify.rule_structure(pairs, profile).groupBy(F.lit("list").alias("kind"), "verdict").agg(F.count(F.lit(1)).alias("n"))
 
 
-@register(f"WITH {_NEAR_SQL} SELECT schema_a, a, schema_b, b FROM wide WHERE fa = fb")
+_KEPT_SQL = f"SELECT schema_a, a, schema_b, b FROM wide WHERE {_TYPE_SQL} <> 'deny' AND {_STRUCTURE_SQL} <> 'deny'"
+
+
+@register(f"WITH {_NEAR_SQL} {_KEPT_SQL}")
 def verified_pairs(spark, sf_dir):
     return verify.verify_values(_near_pairs(spark, sf_dir), _profile(spark, sf_dir))[0]
 
 
-@register(f"WITH {_NEAR_SQL} SELECT 'type' AS rule, CASE WHEN fa = fb THEN 'keep' ELSE 'deny' END AS verdict, count(*) AS n FROM wide GROUP BY ALL UNION ALL SELECT 'affix', CASE WHEN (pa IS NULL OR pb IS NULL) AND (sa IS NULL OR sb IS NULL) THEN 'unknown' WHEN coalesce(pa = pb, false) OR coalesce(sa = sb, false) THEN 'keep' ELSE 'deny' END, count(*) FROM wide GROUP BY ALL")
+@register(f"WITH {_NEAR_SQL} SELECT DISTINCT a, b FROM ({_KEPT_SQL})")
+def verified_names(spark, sf_dir):
+    """Name pairs of which some occurrences may be the same: one comparison for each kind of profile."""
+    pairs = _near_pairs(spark, sf_dir).select("a", "b").distinct()
+    return verify.verify_names(pairs, _catalog_attrs(spark, sf_dir), _profile(spark, sf_dir))
+
+
+def _rule_key(pairs, profile):
+    """A rule of one's own: names that end in ``key`` match only names that do."""
+    ends = lambda c: F.endswith(F.col(c), F.lit("key"))
+    verdict = F.when(ends("a") == ends("b"), "keep").otherwise("deny")
+    return pairs.select("schema_a", "a", "schema_b", "b", F.lit("key").alias("rule"), verdict.alias("verdict"))
+
+
+@register(f"WITH {_NEAR_SQL} SELECT schema_a, a, schema_b, b FROM ({_KEPT_SQL}) WHERE ends_with(a, 'key') = ends_with(b, 'key')")
+def verified_with_own_rule(spark, sf_dir):
+    """The hook for more rules: a function of pairs and profile beside the given ones."""
+    return verify.verify_values(_near_pairs(spark, sf_dir), _profile(spark, sf_dir), (verify.rule_type, verify.rule_structure, _rule_key))[0]
+
+
+@register(f"WITH {_NEAR_SQL} SELECT 'type' AS rule, {_TYPE_SQL} AS verdict, count(*) AS n FROM wide GROUP BY ALL UNION ALL SELECT 'affix', {_AFFIX_SQL}, count(*) FROM wide GROUP BY ALL")
 def denied_by_rule(spark, sf_dir):
     pairs, profile = _near_pairs(spark, sf_dir), _profile(spark, sf_dir)
     return verify.denied_by_rule(verify.rule_type(pairs, profile).unionByName(verify.rule_affix(pairs, profile)))
 
 
-@register("""SELECT 'orders' AS schema_a, 'o_custkey' AS a, 'customer' AS schema_b, 'c_custkey' AS b, 'containment' AS rule, CASE WHEN (SELECT count(DISTINCT o_custkey) FROM orders WHERE o_custkey NOT IN (SELECT c_custkey FROM customer)) = 0
-  OR (SELECT count(*) FROM customer WHERE c_custkey NOT IN (SELECT o_custkey FROM orders)) = 0 THEN 'keep' ELSE 'unknown' END AS verdict""")
+_KEY_PAIRS = [("orders", "o_custkey", "customer", "c_custkey"), ("lineitem", "l_orderkey", "orders", "o_orderkey"), ("lineitem", "l_partkey", "part", "p_partkey"), ("nation", "n_regionkey", "region", "r_regionkey"), ("part", "p_size", "part", "p_partkey"), ("labels", "doc_id", "documents", "doc_id"), ("customer", "c_name", "supplier", "s_name")]
+_CONTAINMENT_SQL = " UNION ALL ".join(
+    f"SELECT '{s}' AS schema_a, '{a}' AS a, '{t}' AS schema_b, '{b}' AS b, 'containment' AS rule, CASE WHEN NOT EXISTS (SELECT {a} FROM {s} WHERE {a} NOT IN (SELECT {b} FROM {t})) OR NOT EXISTS (SELECT {b} FROM {t} WHERE {b} NOT IN (SELECT {a} FROM {s})) THEN 'keep' ELSE 'unknown' END AS verdict"
+    for s, a, t, b in _KEY_PAIRS
+)
+
+
+@register(_CONTAINMENT_SQL)
 def rule_containment(spark, sf_dir):
-    pairs = frame(spark, [("orders", "o_custkey", "customer", "c_custkey")], "schema_a string, a string, schema_b string, b string")
-    return verify.rule_containment(pairs, {t: tables.table(spark, sf_dir, t) for t in ("orders", "customer")})
+    pairs = frame(spark, _KEY_PAIRS, "schema_a string, a string, schema_b string, b string")
+    wanted: dict[str, list[str]] = {}
+    for s, a, t, b in _KEY_PAIRS:
+        wanted.setdefault(s, []).append(a)
+        wanted.setdefault(t, []).append(b)
+    return verify.rule_containment(pairs, verify.unpivot_values(_all_tables(spark, sf_dir), wanted))
 
 
 _VOTES_SQL = f"SELECT * FROM {sql_values(fixtures.VOTES, 'a', 'b', 'verdict', 'judge')}"
@@ -162,7 +232,7 @@ def resolve_home_closure(spark, sf_dir):
     return resolve.resolve_overlap(members, near).select("part_id", "attr")
 
 
-@register()
+@register("SELECT * FROM (VALUES ('c', 'c/0', 'building'), ('c', 'c/0', 'house'), ('c', 'c/1', 'family'), ('c', 'c/1', 'home')) t(cluster_id, part_id, attr)")
 def resolve_dense_home(spark, sf_dir):
     members, near = _chain(spark, fixtures.HOME_CHAIN)
     return resolve.resolve_dense(members, near)
@@ -280,20 +350,17 @@ def batch_literal_only(spark, sf_dir):
     return batch.integrate_batch(_catalog_attrs(spark, sf_dir), None, DEFAULT.but(semantic=False, resolve="none")).pairs.select("a", "b")
 
 
-for _strategy in ("overlap", "cover", "dense", "none"):
+for _strategy in ("overlap", "cover", "dense"):
 
     @register(name=f"batch_all_{_strategy}")
     def _resolved_all(spark, sf_dir, strategy=_strategy):
         return batch.integrate_batch(_all_schema(spark, sf_dir), _h1(spark, sf_dir), DEFAULT.but(gamma=2, literal=False, resolve=strategy)).parts
 
-    @register(name=f"batch_nine_{_strategy}")
-    def _resolved(spark, sf_dir, strategy=_strategy):
-        return batch.integrate_batch(_nine_schema(spark, sf_dir), _h1(spark, sf_dir), DEFAULT.but(gamma=2, literal=False, resolve=strategy)).parts
+    if _strategy != "overlap":
 
-
-@register()
-def batch_closure_beta_one(spark, sf_dir):
-    return batch.integrate_batch(_nine_schema(spark, sf_dir), _h1(spark, sf_dir), DEFAULT.but(gamma=2, literal=False, beta=1.0)).parts
+        @register(name=f"batch_nine_{_strategy}")
+        def _resolved(spark, sf_dir, strategy=_strategy):
+            return batch.integrate_batch(_nine_schema(spark, sf_dir), _h1(spark, sf_dir), DEFAULT.but(gamma=2, literal=False, resolve=strategy)).parts
 
 
 @register()
@@ -301,7 +368,7 @@ def batch_closure_beta_one_all(spark, sf_dir):
     return batch.integrate_batch(_all_schema(spark, sf_dir), _h1(spark, sf_dir), DEFAULT.but(gamma=2, literal=False, beta=1.0)).parts
 
 
-@register()
+@register(f"""WITH near AS MATERIALIZED ({_ALL_PAIRS}) SELECT a, b FROM ({pairs_sql("SELECT DISTINCT p_name AS attr FROM part", 1)}) p WHERE NOT EXISTS (SELECT 1 FROM near WHERE near.a = p.a AND near.b = p.b)""")
 def rule_disagreements(spark, sf_dir):
     """Pairs joined by the pipeline at (1, 2) that the two-case rule does not call related."""
     h1 = _h1(spark, sf_dir)
@@ -318,7 +385,7 @@ def advise_gamma(spark, sf_dir, seeds):
 
 # ---------------------------------------------------------------- incremental
 
-_STEPS = DEFAULT.but(gamma=2, literal=True)
+_STEPS = DEFAULT.but(gamma=2, resolve="none")
 
 
 def _arrivals(spark, sf_dir):
@@ -335,13 +402,6 @@ def _all_arrivals(spark, sf_dir):
     return [frame(spark, rows, "schema_id string, attr string") for rows in arrivals.values()]
 
 
-@register()
-def incremental_nine(spark, sf_dir):
-    """Nine names one by one: which are inserted, which hit a member or a halo."""
-    done = incremental.integrate_many(incremental.State.empty(spark), _arrivals(spark, sf_dir), _h1(spark, sf_dir), _STEPS)
-    return done.mapping
-
-
 @register("SELECT 0::BIGINT AS n_new")
 def incremental_replay(spark, sf_dir):
     """The same nine again, as one arrival: none is inserted."""
@@ -377,58 +437,20 @@ def _policy_counts(spark, sf_dir, arrivals, policy):
 
 for _policy in ("ball", "top_degree", "none"):
 
-    @register(name=f"incremental_policy_{_policy}")
-    def _policies(spark, sf_dir, policy=_policy):
-        """How many of nine arrivals are new, and how large the halo grows, by halo policy."""
-        return _policy_counts(spark, sf_dir, _arrivals(spark, sf_dir), policy)
-
     @register(name=f"incremental_policy_{_policy}_all")
     def _policies_all(spark, sf_dir, policy=_policy):
-        """The same for all part names."""
+        """How many of all part names are new, and how large the halo grows, by halo policy."""
         return _policy_counts(spark, sf_dir, _all_arrivals(spark, sf_dir), policy)
 
 
 # ---------------------------------------------------------------- measures
 
-_GOLD_SQL = f"SELECT * FROM {sql_values(fixtures.CATALOG_GOLD, 'target', 'attr')}"
-_FOUND_SQL = f"SELECT t.target, c.attr FROM (SELECT DISTINCT target FROM ({_GOLD_SQL})) t, (SELECT DISTINCT attr FROM {CATALOG}) c WHERE contains(c.attr, t.target)"
-
-
-def _found_gold(spark, sf_dir):
-    gold = frame(spark, fixtures.CATALOG_GOLD, "target string, attr string")
-    attrs = _catalog_attrs(spark, sf_dir).select("attr").distinct()
-    found = gold.select("target").distinct().join(attrs, F.contains(F.col("attr"), F.col("target")))
-    return found, gold
-
-
-_ACCURACY_SQL = f"""SELECT coalesce(f.target, g.target) AS target, count(f.attr) AS found, count(g.attr) AS gold, count(*) FILTER (WHERE f.attr IS NOT NULL AND g.attr IS NOT NULL) AS common,
-    round(count(*) FILTER (WHERE f.attr IS NOT NULL AND g.attr IS NOT NULL) / count(g.attr), 6) AS recall,
-    round(count(*) FILTER (WHERE f.attr IS NOT NULL AND g.attr IS NOT NULL) / count(f.attr), 6) AS precision
-  FROM ({_FOUND_SQL}) f FULL JOIN ({_GOLD_SQL}) g ON f.target = g.target AND f.attr = g.attr GROUP BY 1"""
-
-
-@register(_ACCURACY_SQL)
-def recall_precision(spark, sf_dir):
-    return metrics.accuracy(*_found_gold(spark, sf_dir))
-
-
-@register(f"SELECT round(avg(recall), 6) AS recall, round(avg(precision), 6) AS precision FROM ({_ACCURACY_SQL})")
-def macro_average(spark, sf_dir):
-    return metrics.macro_average(metrics.accuracy(*_found_gold(spark, sf_dir)))
-
-
 @register(f"SELECT word, round(common / gold, 6) AS recall, round(common / found, 6) AS precision FROM {sql_values(fixtures.PUBLISHED, 'word', 'found', 'gold', 'common', 'r', 'p')}")
 def published_ratios(spark, sf_dir):
     rows = frame(spark, fixtures.PUBLISHED, "word string, found int, gold int, common int, r double, p double")
     return rows.select("word", F.round(F.col("common") / F.col("gold"), 6).alias("recall"), F.round(F.col("common") / F.col("found"), 6).alias("precision"))
 
 
-@register("""SELECT x.label::BIGINT AS target, count(*) AS gold FROM (SELECT DISTINCT label FROM embeddings) x JOIN embeddings y ON x.label = y.label GROUP BY x.label""")
-def gold_labels(spark, sf_dir):
-    rows = tables.table(spark, sf_dir, "embeddings")
-    return rows.groupBy(F.col("label").cast("long").alias("target")).agg(F.count(F.lit(1)).alias("gold"))
-
-
 @seeded(lambda seeds: f"""WITH RECURSIVE {reach_sql(seeds, 3)} SELECT hops, count(*) AS n_paths, count(DISTINCT end_concept) AS n_ends FROM reach GROUP BY hops""")
 def frontier_stats(spark, sf_dir, seeds):
     stats = metrics.frontier_stats(knowledge.k_hop(seeds, _h1(spark, sf_dir), 3))

@@ -284,12 +284,6 @@ def keyword_tfidf(spark, sf_dir):
     return normalize.keyword_tfidf(names).withColumn("score", F.round("score", 6))
 
 
-@register()
-def keyword_rank(spark, sf_dir):
-    names = cut(normalize.normalize(*_rule_inputs(spark, sf_dir)))
-    return normalize.keyword_rank(names).withColumn("score", F.round("score", 6))
-
-
 @register(f"""WITH {_NORMALIZE_CTES}, {_TFIDF_CTES} SELECT attr, CASE attr WHEN 'Jul-10' THEN 'month' WHEN 'Speed' THEN 'velocity' WHEN 'ts' THEN 'timestamp' ELSE key END AS key FROM keyed""")
 def keyword_overrides(spark, sf_dir):
     names = cut(normalize.normalize(*_rule_inputs(spark, sf_dir)))

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from unischema.plans import integration_queries, method_queries, operator_queries  # noqa: F401  the import registers
+from unischema.plans import experiment_queries, integration_queries, method_queries, operator_queries  # noqa: F401  the import registers
 
 ALL = dict(method_queries.QUERIES)
 

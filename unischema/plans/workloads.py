@@ -22,10 +22,21 @@ TARGET_SIZES = [1, 5, 10]
 THRESHOLD_INPUTS = ["blue anvil", "NATION_0", "BUILDING"]
 
 
-def _ranked(h1: DataFrame) -> DataFrame:
-    """Concepts numbered by degree, ``concept, degree, k``; the number of concepts is that of names."""
-    order = Window.orderBy("degree", "concept")
-    return knowledge.degree(h1).withColumn("k", F.row_number().over(order))
+def ranked(h1: DataFrame) -> DataFrame:
+    """Concepts numbered by degree, then name: ``concept, degree, k``.
+
+    Each range partition is numbered by itself, and starts after the sizes of those before it, so that no
+    task sees all concepts; the driver reads one number for each partition.
+    """
+    parted = cut(knowledge.degree(h1).repartitionByRange("degree", "concept").withColumn("part", F.spark_partition_id()))
+    sizes = sorted(tuple(r) for r in parted.groupBy("part").count().collect())
+    before, total = [], 0
+    for part, n in sizes:
+        before.append((part, total))
+        total += n
+    start = F.element_at(F.create_map(*[F.lit(x) for pair in before for x in pair]), F.col("part")) if before else F.lit(0)
+    place = F.row_number().over(Window.partitionBy("part").orderBy("degree", "concept"))
+    return cut(parted.select("concept", "degree", (place + start).cast("long").alias("k")))
 
 
 _RANKED_SQL = f"ranked AS (SELECT concept, degree, row_number() OVER (ORDER BY degree, concept) AS k, count(*) OVER () AS n FROM (SELECT concept, count(*) AS degree FROM ({H1_SQL}) GROUP BY concept))"
@@ -33,13 +44,13 @@ _RANKED_SQL = f"ranked AS (SELECT concept, degree, row_number() OVER (ORDER BY d
 
 def size_sets(h1: DataFrame) -> DataFrame:
     """``set_no, concept``: for each size a draw from the middle of the degree order, then from its top."""
-    ranked = cut(_ranked(h1))
-    n = ranked.count()
+    order = ranked(h1)
+    n = order.count()
     parts, seen = [], {}
     for number, size in enumerate(SIZES, 1):
         turn = seen[size] = seen.get(size, -1) + 1
         first = n // 2 + 1 + 7 * number if turn == 0 else n - size + 1 - (turn - 1) * 3
-        parts.append(ranked.where((F.col("k") >= first) & (F.col("k") < first + size)).select(F.lit(number).cast("long").alias("set_no"), "concept"))
+        parts.append(order.where((F.col("k") >= first) & (F.col("k") < first + size)).select(F.lit(number).cast("long").alias("set_no"), "concept"))
     return reduce(DataFrame.unionByName, parts)
 
 
@@ -78,12 +89,12 @@ SIZE_SQL = _sizes_sql(_size_sets_sql(), (2, 3), "set_no", _RANKED_SQL + ",")
 
 def target_sets(h1: DataFrame) -> DataFrame:
     """``set_no, concept``: sizes 1, 5 and 10 from the poorest, the middle and the richest third by degree."""
-    ranked = cut(_ranked(h1))
-    n = ranked.count()
+    order = ranked(h1)
+    n = order.count()
     parts = []
     for i, size in enumerate(TARGET_SIZES):
         for j, first in enumerate((1, n // 2, n - size + 1)):
-            parts.append(ranked.where((F.col("k") >= first) & (F.col("k") < first + size)).select(F.lit(3 * i + j + 1).cast("long").alias("set_no"), "concept"))
+            parts.append(order.where((F.col("k") >= first) & (F.col("k") < first + size)).select(F.lit(3 * i + j + 1).cast("long").alias("set_no"), "concept"))
     return reduce(DataFrame.unionByName, parts)
 
 
@@ -103,10 +114,13 @@ def result_size_by_target(spark, sf_dir):
 TARGET_SQL = _sizes_sql(_target_sql(), (2,), "set_no", _RANKED_SQL + ",")
 
 
-def result_size_by_threshold(spark, sf_dir):
-    h1 = _h1(spark, sf_dir)
+def threshold_sets(spark) -> DataFrame:
     rows = [(size, name) for size in (1, 2, 3) for name in THRESHOLD_INPUTS[:size]]
-    return _sizes(fixtures.frame(spark, rows, "set_no long, concept string"), h1, (2, 3, 4), "set_no")
+    return fixtures.frame(spark, rows, "set_no long, concept string")
+
+
+def result_size_by_threshold(spark, sf_dir):
+    return _sizes(threshold_sets(spark), _h1(spark, sf_dir), (2, 3, 4), "set_no")
 
 
 _THRESHOLD_SETS = " UNION ALL ".join(f"SELECT {size} AS set_no, '{name}' AS concept" for size in (1, 2, 3) for name in THRESHOLD_INPUTS[:size])
@@ -123,9 +137,9 @@ GROWTH_SQL = f"SELECT set_no, gamma, round(result_size / lag(result_size) OVER (
 def incremental_by_degree(spark, sf_dir):
     """Fifty concepts spread over the degree order: degree and the sizes of their balls at 1, 2 and 3."""
     h1 = _h1(spark, sf_dir)
-    ranked = cut(_ranked(h1))
-    n = ranked.count()
-    chosen = ranked.where(F.pmod(F.col("k"), F.lit(n // 50)) == 0)
+    order = ranked(h1)
+    n = order.count()
+    chosen = order.where(F.pmod(F.col("k"), F.lit(n // 50)) == 0)
     sizes = _sizes(chosen.select("concept", F.col("concept").alias("target")), h1, (1, 2, 3), "target")
     return sizes.join(chosen.select(F.col("concept").alias("target"), "degree"), "target").select("target", "degree", "gamma", "result_size")
 
