@@ -12,7 +12,7 @@ original comes back exactly. Loss spans cover the texts of assistant messages, i
 
 Defined results: null texts and roles count as empty, null scores as 0; a message whose parent is
 missing is a root; rows that repeat are messages of their own in linear tables; an empty table gives
-an empty result; other columns are ignored. A cycle of parents has no root and gives no path.
+an empty result; other columns are ignored; very long texts and very many messages are formatted whole. A cycle of parents has no root and gives no path.
 """
 
 from __future__ import annotations
@@ -112,21 +112,19 @@ def path_messages(messages: DataFrame, leaves: DataFrame) -> DataFrame:
 
 
 def format_paths(rows: DataFrame) -> DataFrame:
-    """``tree_id, leaf, rank, formatted, loss_spans`` (begin and end in code points) per path."""
+    """``tree_id, leaf, rank, formatted, loss_spans`` (begin and end in code points) per path.
+
+    Places are running sums over a path's messages, so that long paths cost no more for each message.
+    """
     role, text = escape(F.col("role")), escape(F.col("text"))
-    head = F.concat(F.lit(TURN), role, F.lit(TEXT))
-    parts = rows.select("tree_id", "leaf", "rank", F.struct("place", head.alias("head"), text.alias("body"), F.coalesce(F.col("role") == LEARNT_ROLE, F.lit(False)).alias("learn")).alias("m"))
-    grouped = parts.groupBy("tree_id", "leaf", "rank").agg(F.sort_array(F.collect_list("m")).alias("ms"))
-    start = F.struct(F.lit(0).alias("at"), F.array().cast("array<struct<begin:int,end:int>>").alias("spans"))
-
-    def step(acc: Column, m: Column) -> Column:
-        begin = acc["at"] + F.length(m["head"])
-        end = begin + F.length(m["body"])
-        span = F.array(F.struct(begin.alias("begin"), end.alias("end")))
-        return F.struct((end + len(END)).alias("at"), F.when(m["learn"], F.concat(acc["spans"], span)).otherwise(acc["spans"]).alias("spans"))
-
-    formatted = F.array_join(F.transform("ms", lambda m: F.concat(m["head"], m["body"], F.lit(END))), "")
-    return grouped.select("tree_id", "leaf", "rank", formatted.alias("formatted"), F.aggregate("ms", start, step)["spans"].alias("loss_spans"))
+    parts = rows.select("tree_id", "leaf", "rank", "place", F.concat(F.lit(TURN), role, F.lit(TEXT)).alias("head"), text.alias("body"), F.coalesce(F.col("role") == LEARNT_ROLE, F.lit(False)).alias("learn"))
+    before = Window.partitionBy("tree_id", "leaf", "rank").orderBy("place", "head", "body").rowsBetween(Window.unboundedPreceding, -1)
+    begin = F.coalesce(F.sum(F.length("head") + F.length("body") + len(END)).over(before), F.lit(0)) + F.length("head")
+    placed = parts.withColumn("begin", begin.cast("int"))
+    message = F.struct("place", "begin", F.concat("head", "body", F.lit(END)).alias("said"), (F.col("begin") + F.length("body")).alias("end"), "learn")
+    grouped = placed.groupBy("tree_id", "leaf", "rank").agg(F.sort_array(F.collect_list(message)).alias("ms"))
+    spans = F.transform(F.filter("ms", lambda m: m["learn"]), lambda m: F.struct(m["begin"].alias("begin"), m["end"].alias("end")))
+    return grouped.select("tree_id", "leaf", "rank", F.array_join(F.transform("ms", lambda m: m["said"]), "").alias("formatted"), spans.alias("loss_spans"))
 
 
 def format_conversations(messages: DataFrame, branches: int = 1) -> DataFrame:

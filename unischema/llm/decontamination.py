@@ -18,7 +18,8 @@ passage that many documents share meets in no single task.
 
 Defined results: null texts have no words; an item without words has no window; item ids are
 compared as text and a null id counts as the empty one; rows that repeat are each returned;
-columns beyond the named ones are ignored; empty tables give an empty result or no hits.
+columns beyond the named ones are ignored; empty tables give an empty result or no hits. Very long
+texts are read whole, in steps linear in their words. Of equal hashes in a winnow the place does not matter.
 """
 
 from __future__ import annotations

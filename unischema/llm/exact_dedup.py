@@ -7,7 +7,8 @@ left of a group is spread over ``salts`` tasks, and only one row per salt meets
 Defined results for odd input: a null text counts as empty, and all empty texts are one group.
 A null ``doc_id`` takes part in its group; it is chosen only if no row of the best length has an
 id. Rows that repeat an id are one document: all of them carry ``kept`` of that id. Columns other
-than ``doc_id`` and ``text`` are ignored, and an empty table gives an empty result.
+than ``doc_id`` and ``text`` are ignored, and an empty table gives an empty result. Very long texts are
+normalised and compared whole, one row at a time.
 """
 
 from __future__ import annotations

@@ -121,16 +121,20 @@ def _cells(framed: Column, size: int) -> Column:
     return F.transform(places, lambda i: F.substring(framed, i, F.lit(size)))
 
 
-def _pivot(counts: DataFrame, key: str, langs: list[str], top: int) -> dict[str, list[int]]:
+def _pivot(counts: DataFrame, key: str, langs: list[str], top: int, least: int) -> dict[str, list[int]]:
     """The ``top`` most frequent keys with a count for each language."""
     by_lang = [F.sum(F.when(F.col("lang") == lang, F.col("n")).otherwise(0)).alias(f"c{i}") for i, lang in enumerate(langs)]
-    rows = counts.groupBy(key).agg(F.sum("n").alias("total"), *by_lang).where(F.col("total") >= LEAST_COUNT)
+    rows = counts.groupBy(key).agg(F.sum("n").alias("total"), *by_lang).where(F.col("total") >= least)
     rows = rows.orderBy(F.col("total").desc(), key).limit(top)
     return {r[key]: [r[f"c{i}"] for i in range(len(langs))] for r in rows.collect()}
 
 
-def fit(docs: DataFrame, sample_docs: int = SAMPLE_DOCS) -> Model:
-    """Learn from text and non-null ``lang`` of rows that are not held out."""
+def fit(docs: DataFrame, sample_docs: int = SAMPLE_DOCS, top_words: int = TOP_WORDS, top_grams: int = TOP_GRAMS, least_count: int = LEAST_COUNT) -> Model:
+    """Learn from text and non-null ``lang`` of rows that are not held out.
+
+    The model has at most ``top_words`` words and ``top_grams`` n-grams of each size, those with the most
+    occurrences and at least ``least_count``; a word beyond them is scored by its n-grams, so no text goes unscored.
+    """
     usable = F.col("lang").isNotNull() & F.col("text").isNotNull() & ~held_out(F.col("doc_id"))
     by_lang = docs.where(usable).groupBy("lang").count().collect()
     langs = sorted(r["lang"] for r in by_lang)
@@ -139,12 +143,12 @@ def fit(docs: DataFrame, sample_docs: int = SAMPLE_DOCS) -> Model:
     chosen = F.shiftrightunsigned(F.xxhash64("doc_id", F.lit("sample")), 11) < F.lit(bar)
     found = F.regexp_extract_all(F.lower("text"), F.lit(r"\p{L}+"), F.lit(0))
     words = cut(docs.where(usable & chosen).select("lang", F.explode(found).alias("word")).groupBy("lang", "word").agg(F.count(F.lit(1)).alias("n")))
-    table = _pivot(words, "word", langs, TOP_WORDS)
+    table = _pivot(words, "word", langs, top_words, least_count)
     by_size = []
     for size in range(1, LONGEST_GRAM + 1):
         framed = F.col("word") if size == 1 else F.concat(F.lit("_"), "word", F.lit("_"))
         cells = words.where(F.length(framed) >= size).select("lang", "n", F.explode(_cells(framed, size)).alias("gram"))
-        by_size.append(_pivot(cells.groupBy("lang", "gram").agg(F.sum("n").alias("n")), "gram", langs, TOP_GRAMS))
+        by_size.append(_pivot(cells.groupBy("lang", "gram").agg(F.sum("n").alias("n")), "gram", langs, top_grams, least_count))
     return Model(langs, table, by_size)
 
 

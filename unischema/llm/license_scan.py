@@ -1,91 +1,113 @@
 """License scanning by ordered signature rules with a keyword prefilter, all in SQL expressions.
 
-A text is folded once to its words joined by single blanks. Rules are grouped by keyword, and only
-those whose keyword the text contains are tried. Every match is a detection: an interval of words
-with the rule's label, priority and confidence. Detections are swept by begin, longest first: one
-that lies inside an earlier interval of at least its priority is suppressed; of equal intervals the
-higher priority stays, then the earlier rule. Matches of the base rules are always reported.
+A text is folded once to its words joined by single blanks. A few *gates* (short strings, one of which
+is in every keyword) decide whether any rule of a gate is looked at; then a rule is tried only if the
+text contains its keyword. Every match is a detection: an interval of words with the rule's label,
+priority and confidence. Detections are swept by begin, longest first: one that lies inside an earlier
+interval of at least its priority is suppressed; of equal intervals the higher priority stays, then the
+earlier rule. Matches of the base rules are always reported.
+
+Patterns are literals of the plan, so that each is compiled once for a task. All steps are linear in a
+text's words and nearly so in its detections, so texts may be very long.
 
 Defined results: a null text is empty; a text without detections has empty label strings, null
 first and last words and score 0; nested and repeated matches are as above; rows that repeat are each
-returned; columns beyond ``doc_id`` and ``text`` are ignored. Texts are scanned whole.
+returned; an empty table gives an empty result; columns beyond ``doc_id`` and ``text`` are ignored.
+Texts are scanned whole.
 """
 
 from __future__ import annotations
 
-import json
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from unischema.llm.common import GAP, fold_ascii, let, read_table
-from unischema.llm.license_rules import Rule, all_rules
+from unischema.llm.license_rules import Rule, all_rules, gate_of
 
 PRIORITIES = 3
-_GROUPS = "array<struct<keyword:string,rules:array<struct<label:string,priority:int,pattern:string,confidence:double,base:boolean,number:int>>>>"
+#: Detections that are folded one by one; the blocks are joined by their furthest ends.
+BLOCK = 256
 _DETECTION = "struct<begin:int,minus_end:int,minus_priority:int,number:int,label:string,confidence:double,base:boolean>"
+_NONE = f"array<{_DETECTION}>"
 
 
 def _spaces(text: Column) -> Column:
     return F.length(text) - F.length(F.replace(text, F.lit(" "), F.lit("")))
 
 
-def _rule_groups(rules: list[Rule]) -> Column:
-    by_keyword: dict[str, list[dict]] = {}
-    for number, r in enumerate(rules):
-        cell = {"label": r.label, "priority": r.priority, "pattern": f"(?<= )(?:{r.pattern})(?= )", "confidence": r.confidence, "base": r.base, "number": number}
-        by_keyword.setdefault(r.keyword, []).append(cell)
-    groups = [{"keyword": k, "rules": v} for k, v in by_keyword.items()]
-    return F.from_json(F.lit(json.dumps(groups)), _GROUPS)
+def _matches(joined: Column, rule: Rule, number: int) -> Column:
+    """The matches of one rule in `` w0 w1 ... ``: its words are marked, and the marks' places are read off.
 
+    Words hold no angle brackets, as those separate words; matches of one rule do not overlap.
+    """
+    marked = F.regexp_replace(joined, F.lit(f"(?<= )(?:{rule.pattern})(?= )"), F.lit("<$0>"))
 
-def _detections(joined: Column, groups: Column) -> Column:
-    """All matches of all rules in `` w0 w1 ... ``, unordered."""
-    tried = F.flatten(F.transform(F.filter(groups, lambda g: F.contains(joined, g["keyword"])), lambda g: g["rules"]))
+    def places(words: Column) -> Column:
+        every = F.sequence(F.lit(0), F.size(words) - 1)
+        begins = F.filter(every, lambda i: F.startswith(F.get(words, i), F.lit("<")))
+        ends = F.filter(every, lambda i: F.endswith(F.get(words, i), F.lit(">")))
+        return F.zip_with(
+            begins, ends,
+            lambda i, j: F.struct(
+                i.alias("begin"), (-j - 1).alias("minus_end"), F.lit(-rule.priority).alias("minus_priority"), F.lit(number).alias("number"),
+                F.lit(rule.label).alias("label"), F.lit(rule.confidence).alias("confidence"), F.lit(rule.base).alias("base"),
+            ).cast(_DETECTION),
+        )
 
-    def matches(rule: Column) -> Column:
-        marked = F.regexp_replace(joined, rule["pattern"], F.lit("<$0>"))
+    return F.when(F.contains(joined, F.lit(rule.keyword)), let(F.split(F.trim(marked), " "), places)).otherwise(F.array().cast(_NONE))
 
-        def places(pieces: Column) -> Column:
-            start = F.struct(_spaces(F.get(pieces, F.lit(0))).alias("seen"), F.array().cast(f"array<{_DETECTION}>").alias("found"))
 
-            def step(acc: Column, piece: Column) -> Column:
-                begin = acc["seen"] - 1
-                end = begin + _spaces(F.substring_index(piece, ">", 1)) + 1
-                one = F.struct(
-                    begin.alias("begin"), (-end).alias("minus_end"), (-rule["priority"]).alias("minus_priority"), rule["number"].alias("number"),
-                    rule["label"].alias("label"), rule["confidence"].alias("confidence"), rule["base"].alias("base"),
-                ).cast(_DETECTION)
-                return F.struct((acc["seen"] + _spaces(piece)).alias("seen"), F.concat(acc["found"], F.array(one)).alias("found"))
+def _detections(joined: Column, rules: list[Rule]) -> Column:
+    """All matches of all rules, unordered; rules are reached through their gates."""
+    by_gate: dict[str, list[Column]] = {}
+    for number, rule in enumerate(rules):
+        by_gate.setdefault(gate_of(rule), []).append(_matches(joined, rule, number))
+    return F.concat(*[F.when(F.contains(joined, F.lit(gate)), F.concat(*found)).otherwise(F.array().cast(_NONE)) for gate, found in by_gate.items()])
 
-            return F.aggregate(F.slice(pieces, 2, F.greatest(F.size(pieces) - 1, F.lit(0))), start, step)["found"]
 
-        return let(F.split(marked, "<"), places)
-
-    return F.flatten(F.transform(tried, matches))
+def _end(d: Column) -> Column:
+    return -d["minus_end"]
 
 
 def _surviving(found: Column) -> Column:
-    """Sweeps sorted detections; ``reach`` is the furthest end so far of each priority or a higher one."""
-    start = F.struct(F.array_repeat(F.lit(-1), PRIORITIES).alias("reach"), F.array().cast(f"array<{_DETECTION}>").alias("kept"))
+    """Sweeps sorted detections. ``reach`` is the furthest end so far of each priority or a higher one.
+
+    Blocks are swept one by one from the reach of all before them, which is that of their furthest ends
+    (a suppressed detection reaches no further than the one that hides it).
+    """
+    none = F.array_repeat(F.lit(-1), PRIORITIES)
+
+    def further(reach: Column, d: Column) -> Column:
+        return F.transform(reach, lambda far, level: F.when(level + 1 <= -d["minus_priority"], F.greatest(far, _end(d))).otherwise(far))
+
+    def swept(block: Column, reach: Column) -> Column:
+        start = F.struct(reach.alias("reach"), F.array().cast(_NONE).alias("kept"))
+
+        def step(acc: Column, d: Column) -> Column:
+            hidden = F.get(acc["reach"], -d["minus_priority"] - 1) >= _end(d)
+            return F.when(hidden, acc).otherwise(F.struct(further(acc["reach"], d).alias("reach"), F.concat(acc["kept"], F.array(d)).alias("kept")))
+
+        return F.aggregate(block, start, step)["kept"]
 
-    def step(acc: Column, d: Column) -> Column:
-        hidden = F.get(acc["reach"], -d["minus_priority"] - 1) >= -d["minus_end"]
-        reach = F.transform(acc["reach"], lambda far, level: F.when(level + 1 <= -d["minus_priority"], F.greatest(far, -d["minus_end"])).otherwise(far))
-        return F.when(hidden, acc).otherwise(F.struct(reach.alias("reach"), F.concat(acc["kept"], F.array(d)).alias("kept")))
+    def by_block(blocks: Column) -> Column:
+        tops = F.transform(blocks, lambda block: F.aggregate(block, none, further))
+        wider = lambda x, y: F.zip_with(x, y, lambda u, v: F.greatest(u, v))
+        start = F.struct(none.alias("reach"), F.array().cast("array<array<int>>").alias("before"))
+        before = F.aggregate(tops, start, lambda acc, top: F.struct(wider(acc["reach"], top).alias("reach"), F.concat(acc["before"], F.array(acc["reach"])).alias("before")))["before"]
+        return let(before, lambda reaches: F.flatten(F.transform(blocks, lambda block, k: swept(block, F.get(reaches, k)))))
 
-    return F.aggregate(found, start, step)["kept"]
+    blocks = F.transform(F.sequence(F.lit(0), F.floor((F.size(found) - 1) / BLOCK).cast("int")), lambda k: F.slice(found, k * BLOCK + 1, BLOCK))
+    return F.when(F.size(found) <= BLOCK, swept(found, none)).otherwise(let(blocks, by_block))
 
 
 def scan_licenses(docs: DataFrame, rules: list[Rule] | None = None) -> DataFrame:
     """``doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score, detections``."""
     rules = rules or all_rules()
-    groups = _rule_groups(rules)
     folded = F.trim(F.regexp_replace(fold_ascii(F.col("text")), GAP, " "))
 
     def scan(body: Column) -> Column:
         joined = F.concat(F.lit(" "), body, F.lit(" "))
-        found = let(joined, lambda j: F.sort_array(_detections(j, groups)))
+        found = let(joined, lambda j: F.sort_array(_detections(j, rules)))
         n_words = F.when(body == "", 0).otherwise(_spaces(body) + 1).cast("long")
         return F.struct(n_words.alias("n_words"), found.alias("found"))
 

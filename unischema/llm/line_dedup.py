@@ -16,7 +16,8 @@ least the run; it is named by its length and the ranks of two overlapping power-
 each interval the earliest suffix stays, and the others' runs are deleted. So maximal repeated runs
 go as unions of these, and no level beyond ``log2(min_words)`` is needed.
 
-Defined results: null texts are empty; blank lines are never deleted and do not break runs; rows that
+Defined results: null texts are empty; very long texts are one row only where lines are split and joined
+again, in steps linear in their lines; equal runs in one document are ordered by place; blank lines are never deleted and do not break runs; rows that
 repeat both id and text are one document; null ids come last in the order of copies; columns beyond
 ``doc_id`` and ``text`` are ignored; an empty table gives an empty result.
 """
@@ -84,76 +85,83 @@ def _suffix_ranks(docs: DataFrame, min_words: int) -> tuple[DataFrame, int]:
 
 
 def _runs(suffixes: DataFrame, levels: int, min_words: int) -> DataFrame:
-    """The shortest qualifying runs by begin and by end: ``doc_id, mark, at, m`` and the interval's name."""
-    ranks = [f"r{k}" for k in range(levels + 1)]
-    segments = suffixes.groupBy("doc_id", "mark", "segment").agg(F.sort_array(F.collect_list(F.struct("at", "words", *ranks))).alias("seg"))
-
-    def runs(seg: Column) -> Column:
-        n = F.size(seg)
-        total = F.aggregate(seg, F.array(F.lit(0)), lambda acc, x: F.concat(acc, F.array(F.element_at(acc, -1) + x["words"].cast("int"))))
-
-        def found(sums: Column) -> Column:
-            begin = F.transform(F.sequence(F.lit(0), n - 1), lambda i: F.struct(i.alias("i"), let(i, lambda s: F.get(F.filter(F.sequence(F.lit(1), F.least(F.lit(min_words), n - s)), lambda m: F.get(sums, s + m) - F.get(sums, s) >= min_words), F.lit(0))).alias("m")))
-            end = F.transform(F.sequence(F.lit(1), n), lambda e: let(F.get(F.filter(F.sequence(F.lit(1), F.least(F.lit(min_words), e)), lambda m: F.get(sums, e) - F.get(sums, e - m) >= min_words), F.lit(0)), lambda m: F.struct((e - m).alias("i"), m.alias("m"))))
-            return F.array_distinct(F.filter(F.concat(begin, end), lambda r: r["m"].isNotNull()))
-
-        return let(total, found)
+    """The shortest qualifying runs by begin and by end: ``doc_id, mark, at, m`` and the interval's name.
 
-    def name(run: Column) -> Column:
-        first = lambda k: F.get(F.col("seg"), run["i"])[f"r{k}"]
-        last = lambda k: F.get(F.col("seg"), run["i"] + run["m"] - (1 << k))[f"r{k}"]
-        by_level = F.lit(None).cast("struct<x:bigint,y:bigint>")
+    Each line sees at most ``min_words`` lines ahead and behind, as every line has a word, so no row ever
+    holds a whole segment, however long a text is.
+    """
+    ranks = [f"r{k}" for k in range(levels + 1)]
+    by_segment = Window.partitionBy("doc_id", "mark", "segment").orderBy("at")
+    cell = F.struct("words", *ranks)
+    ahead = F.collect_list(cell).over(by_segment.rowsBetween(0, min_words - 1))
+    behind = F.reverse(F.collect_list(cell).over(by_segment.rowsBetween(1 - min_words, 0)))
+
+    def length(cells: Column) -> Column:
+        """Lines of the shortest qualifying prefix of ``cells``; null if there is none."""
+        start = F.struct(F.lit(0).cast("long").alias("words"), F.lit(0).alias("m"))
+        step = lambda acc, x: F.when(acc["words"] >= min_words, acc).otherwise(F.struct((acc["words"] + x["words"]).cast("long").alias("words"), (acc["m"] + 1).alias("m")))
+        return F.aggregate(cells, start, step, lambda acc: F.when(acc["words"] >= min_words, acc["m"]))
+
+    def name(m: Column, first: Column, last) -> Column:
+        """The interval of suffixes that begin with the run: ranks of the two power-of-two blocks that cover it."""
+        pair = F.lit(None).cast("struct<x:bigint,y:bigint>")
         for k in range(levels + 1):
-            pair = F.struct(first(k).alias("x"), last(k).alias("y"))
-            by_level = F.when(run["m"] >= (1 << k), pair).otherwise(by_level)
-        return by_level
+            pair = F.when(m >= (1 << k), F.struct(first[f"r{k}"].alias("x"), last(k)[f"r{k}"].alias("y"))).otherwise(pair)
+        return pair
 
-    cells = segments.withColumn("runs", runs(F.col("seg")))
-    cells = cells.withColumn("runs", F.transform("runs", lambda r: F.struct(F.get(F.col("seg"), r["i"])["at"].alias("at"), r["m"].alias("m"), name(r).alias("pair"))))
-    flat = cells.select("doc_id", "mark", F.explode("runs").alias("r")).select("doc_id", "mark", "r.at", "r.m", "r.pair.x", "r.pair.y")
-    return flat.where("x IS NOT NULL AND y IS NOT NULL")
+    seen = suffixes.withColumns({"ahead": ahead, "behind": behind}).withColumns({"m_ahead": length(F.col("ahead")), "m_behind": length(F.col("behind"))})
+    begin = F.struct(F.col("at"), F.col("m_ahead").alias("m"), name(F.col("m_ahead"), F.get("ahead", F.lit(0)), lambda k: F.get("ahead", F.col("m_ahead") - (1 << k))).alias("pair"))
+    end = F.struct((F.col("at") - F.col("m_behind") + 1).alias("at"), F.col("m_behind").alias("m"), name(F.col("m_behind"), F.get("behind", F.col("m_behind") - 1), lambda k: F.get("behind", F.lit((1 << k) - 1))).alias("pair"))
+    both = seen.select("doc_id", "mark", F.explode(F.array(begin, end)).alias("r")).select("doc_id", "mark", "r.at", "r.m", "r.pair.x", "r.pair.y")
+    return both.where("m IS NOT NULL AND x IS NOT NULL AND y IS NOT NULL").distinct()
 
 
 def repeated_runs(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
-    """``doc_id, mark, at, m``: runs of ``m`` non-blank lines that also occur earlier."""
+    """``doc_id, mark, at, m``: runs of ``m`` non-blank lines that also occur earlier.
+
+    The intervals' first suffixes are a table of their own, so that AQE can split an interval that holds
+    a large share of all runs.
+    """
     suffixes, levels = _suffix_ranks(docs, min_words)
     runs = cut(_runs(suffixes, levels, min_words))
     place = F.struct(F.col("doc_id").isNull().alias("n"), "doc_id", "mark", "at")
-    first = runs.groupBy("m", "x", "y").agg(F.min(place).alias("first"), F.count(F.lit(1)).alias("many")).where("many > 1").drop("many")
+    first = cut(runs.groupBy("m", "x", "y").agg(F.min(place).alias("first"), F.count(F.lit(1)).alias("many")).where("many > 1").drop("many"))
     return runs.join(first, ["m", "x", "y"]).where(place != F.col("first")).select(*POSITION, "m")
 
 
+def _islands(runs: DataFrame) -> DataFrame:
+    """``k0, k1, spans``: the removed lines of each document as disjoint intervals of places, in order."""
+    before = Window.partitionBy("doc_id", "mark").orderBy("at", "m")
+    reach = F.max(F.col("at") + F.col("m")).over(before.rowsBetween(Window.unboundedPreceding, -1))
+    marked = runs.withColumn("fresh", (F.coalesce(reach, F.lit(-1)) < F.col("at")).cast("long"))
+    numbered = marked.withColumn("island", F.sum("fresh").over(before.rowsBetween(Window.unboundedPreceding, 0)))
+    spans = numbered.groupBy("doc_id", "mark", "island").agg(F.min("at").alias("from"), F.max(F.col("at") + F.col("m") - 1).alias("to"))
+    return spans.groupBy(F.col("doc_id").alias("k0"), F.col("mark").alias("k1")).agg(F.array_sort(F.collect_list(F.struct("from", "to"))).alias("spans"))
+
+
 def line_dedup(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     """``doc_id, n_lines, n_removed, text`` for each row: the text without later copies of runs."""
-    runs = repeated_runs(docs, min_words)
-    spans = runs.groupBy("doc_id", "mark").agg(F.collect_set(F.struct("at", "m")).alias("spans"))
-    gone = F.array_distinct(F.flatten(F.transform("spans", lambda s: F.sequence(s["at"], s["at"] + s["m"] - 1))))
-    gone = spans.select(F.col("doc_id").alias("k0"), F.col("mark").alias("k1"), F.array_sort(gone).alias("gone"))
+    spans = _islands(repeated_runs(docs, min_words))
     rows = docs.select("doc_id", F.xxhash64("text").alias("mark"), "text")
-    met = rows.join(gone, rows["doc_id"].eqNullSafe(gone["k0"]) & (rows["mark"] == gone["k1"]), "left")
-    lines = lines_of(F.col("text"))
+    met = rows.join(spans, rows["doc_id"].eqNullSafe(spans["k0"]) & (rows["mark"] == spans["k1"]), "left")
 
-    def keep(drop: Column) -> Column:
-        """Folds the lines; the state holds the kept ones, the place among non-blank lines and among dropped ones."""
-        start = F.struct(F.array().cast("array<string>").alias("kept"), F.lit(0).alias("at"), F.lit(0).alias("next"))
+    def kept(lines: Column) -> Column:
+        """The lines that stay. Places count lines that are not blank; all steps are linear in the lines."""
+        every = F.sequence(F.lit(0), F.size(lines) - 1)
 
-        def step(acc: Column, line: Column) -> Column:
-            counts = full(line)
-            dropped = counts & F.coalesce(F.get(drop, acc["next"]) == acc["at"], F.lit(False))
-            return F.struct(
-                F.when(dropped, acc["kept"]).otherwise(F.concat(acc["kept"], F.array(line))).alias("kept"),
-                (acc["at"] + counts.cast("int")).alias("at"),
-                (acc["next"] + dropped.cast("int")).alias("next"),
-            )
+        def by_place(places: Column) -> Column:
+            gone = F.flatten(F.transform("spans", lambda s: F.slice(places, s["from"].cast("int") + 1, (s["to"] - s["from"]).cast("int") + 1)))
+            return F.transform(F.array_except(every, gone), lambda i: F.get(lines, i))
 
-        return F.aggregate(lines, start, step)["kept"]
+        return let(F.filter(every, lambda i: full(F.get(lines, i))), by_place)
 
     whole = F.coalesce(F.col("text"), F.lit(""))
-    text = F.when(F.col("gone").isNull(), whole).otherwise(F.array_join(keep(F.col("gone")), "\n"))
+    text = F.when(F.col("spans").isNull(), whole).otherwise(F.array_join(let(lines_of(F.col("text")), kept), "\n"))
+    removed = F.aggregate("spans", F.lit(0).cast("long"), lambda n, s: n + (s["to"] - s["from"] + 1).cast("long"))
     return met.select(
         "doc_id",
         (F.length(whole) - F.length(F.replace(whole, F.lit("\n"), F.lit(""))) + 1).cast("long").alias("n_lines"),
-        F.coalesce(F.size("gone"), F.lit(0)).cast("long").alias("n_removed"),
+        F.coalesce(removed, F.lit(0)).cast("long").alias("n_removed"),
         text.alias("text"),
     )
 

@@ -5,7 +5,9 @@ partitions of bounded size, each packed by best-fit decreasing. A lower bound fr
 functions certifies each partition: where bins and bound agree its packing is optimal. Partitions
 with a gap give up their loosest bins, certified ones only bins with a quarter or more of their room
 left; the documents of several partitions meet in one group, best-fit decreasing runs again, and the
-new bins replace the old ones if they are fewer.
+new bins replace the old ones if they are fewer. Rounds go on until the loose bins of all partitions
+have met, which takes a logarithm of their number; a partition gives at most what one group can take
+from each of its ``FAN`` members, so that groups stay bounded.
 
 Defined results: a null text is empty and gives the one token 0; a null id is carried along; rows
 that repeat are packed each; columns beyond ``doc_id`` and ``text`` are ignored; an empty table
@@ -32,8 +34,8 @@ CAPACITY = 2048
 END_ID = 0
 #: Pieces that one packing task holds.
 GROUP_PIECES = 8192
-#: Partitions that exchange documents with each other, and how often.
-FAN, ROUNDS = 8, 2
+#: Partitions that exchange documents with each other in one round.
+FAN = 8
 #: A run of characters without white space beyond this goes to the reference tokenizer.
 LONG_RUN = 2000
 
@@ -186,27 +188,33 @@ def _pack(capacity: int, level: int, quota: int):
     return run
 
 
-def best_fit_packing(docs: DataFrame, capacity: int = CAPACITY, tokenizer: str = "byte_bpe_50k", group_pieces: int = GROUP_PIECES, rounds: int = ROUNDS) -> DataFrame:
-    """``doc_id, piece, start, length, ids_crc32, sequence_id, offset`` for each piece.
+def best_fit_packing(docs: DataFrame, capacity: int = CAPACITY, tokenizer: str = "byte_bpe_50k", group_pieces: int = GROUP_PIECES) -> DataFrame:
+    """``doc_id, piece, start, length, ids_crc32, sequence_id, offset, gap`` for each piece.
 
-    Packing is over bounded groups; ``pack_report`` gives bins and certified bounds.
+    Packing is over bounded groups; ``gap`` is by how many sequences the group in which the piece was last
+    packed is above its certified bound. ``pack_report`` gives the same for the whole.
     """
     pieces = cut(tokenise(docs, tokenizer, capacity))
-    return pack_pieces(pieces, capacity, group_pieces, rounds).select("doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset")
+    return pack_pieces(pieces, capacity, group_pieces).select("doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset", "gap")
 
 
-def pack_pieces(pieces: DataFrame, capacity: int = CAPACITY, group_pieces: int = GROUP_PIECES, rounds: int = ROUNDS) -> DataFrame:
-    """Packs a materialised table of pieces; also returns each piece's partition and its gap."""
+def pack_pieces(pieces: DataFrame, capacity: int = CAPACITY, group_pieces: int = GROUP_PIECES) -> DataFrame:
+    """Packs a materialised table of pieces; also returns each piece's partition and its gap.
+
+    Rounds of repacking go on until no partition has loose bins, or all that are left have met in one group.
+    """
     parts = max(1, -(-pieces.count() // group_pieces))
     dealt = pieces.select("*", *[F.lit(None).cast(t).alias(c) for c, t in (("sequence_id", "long"), ("offset", "long"))])
     dealt = dealt.withColumn("part", F.pmod(F.xxhash64(F.monotonically_increasing_id()), F.lit(parts)))
     quota = group_pieces // FAN
     packed = dealt.groupBy("part").applyInPandas(_pack(capacity, 0, quota), PACKED)
-    for level in range(1, rounds + 1):
-        if parts == 1:
-            break
+    level = 0
+    while parts > 1:
+        level += 1
         packed = cut(packed)
         moves = F.col("loose")
+        if packed.where(moves).isEmpty():
+            break
         parts = -(-parts // FAN)
         group = F.pmod(F.col("part"), F.lit(parts))
         again = packed.where(moves).withColumn("part", group).groupBy("part").applyInPandas(_pack(capacity, level, quota), PACKED)

@@ -1,16 +1,19 @@
 """Quality classification with a factorisation machine over hashed words, structure and metadata.
 
 A document becomes a sparse vector: hashed words (damped counts, unit length) and standardised
-structure features (case, punctuation, repetition, line and word lengths, size). The machine adds to
+structure features (case, punctuation, repetition, line and word lengths, size) and metadata (whether
+there is a text, and the recorded number of characters against the real one). The machine adds to
 a linear model all pairwise interactions through low-rank factors, in time linear in the number of
 non-zeros: the interactions of a factor are half the square of the sum less the sum of squares.
 
-The fit reads at most ``SAMPLE_DOCS`` labelled rows in expectation, chosen by a hash of the id among
-rows that are not held out, and runs on the driver; scoring is a map over all texts.
+The fit reads at most ``SAMPLE_DOCS`` labelled rows, those of the least hashes of their ids among rows that
+are not held out, and runs on the driver; scoring is a map over all texts.
 
 Defined results: null and empty texts are scored as texts without words; with no label of some class
 every score is the share of ones (0.5 without labels). Rows that repeat are each returned; null ids
-are allowed in scoring and never learnt from; columns beyond the named ones are ignored. ``lang``,
+are allowed in scoring and never learnt from; of several labels of one id the largest counts; columns
+beyond the named ones are ignored; without a column ``n_chars`` (or with nulls in it) that feature is 0;
+empty tables give empty results; very long texts are scored whole. ``lang``,
 ``source``, ids and labels never enter a score.
 """
 
@@ -30,7 +33,7 @@ from pyspark.sql import functions as F
 from unischema.llm.common import arrow_ready, held_out, read_table
 
 SAMPLE_DOCS = 6_000
-BUCKETS = 1 << 12
+BUCKETS = 1 << 14
 FACTORS = 8
 EPOCHS = 12
 RATE = 0.05
@@ -56,7 +59,14 @@ def structure(text: str, words: list[str]) -> list[float]:
     return shares + [min(1.0, 10 * counts.get(mark, 0) / w) for mark in _MARKS]
 
 
-N_SHAPE = len(structure("", []))
+def metadata(text: str | None, n_chars: int | None) -> list[float]:
+    """Whether there is a text and a recorded length, and how far that is from the real one."""
+    size = len(text or "")
+    off = 0.0 if n_chars is None else max(-1.0, min(1.0, (n_chars - size) / max(1, size)))
+    return [float(text is None), float(n_chars is None), off]
+
+
+N_SHAPE = len(structure("", [])) + len(metadata("", 0))
 
 
 class Featuriser:
@@ -65,7 +75,8 @@ class Featuriser:
     def __init__(self) -> None:
         self._known: dict[str, int] = {}
 
-    def __call__(self, text: str | None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    def __call__(self, text: str | None, n_chars: int | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        known_of_it = metadata(text, n_chars)
         text = text or ""
         words = _WORD.findall(text)
         counts = Counter(words)
@@ -81,7 +92,7 @@ class Featuriser:
         weights = np.bincount(np.array(places, np.int64), np.fromiter(counts.values(), float, len(counts)), BUCKETS) if places else np.zeros(BUCKETS)
         index = np.flatnonzero(weights)
         value = np.log1p(weights[index])
-        return index, value / (np.linalg.norm(value) or 1.0), np.array(structure(text, words))
+        return index, value / (np.linalg.norm(value) or 1.0), np.array(structure(text, words) + known_of_it)
 
 
 class FactorisationMachine:
@@ -139,13 +150,17 @@ class FactorisationMachine:
         return self
 
 
+def _read(docs: DataFrame) -> DataFrame:
+    """``doc_id, text, n_chars``; the last is null where there is no such column."""
+    chars = F.col("n_chars").cast("long") if "n_chars" in docs.columns else F.lit(None).cast("long")
+    return docs.select("doc_id", "text", chars.alias("n_chars"))
+
+
 def training_rows(docs: DataFrame, labels: DataFrame, sample_docs: int = SAMPLE_DOCS) -> DataFrame:
-    """``text, quality`` of about ``sample_docs`` labelled rows that are not held out."""
+    """``doc_id, text, n_chars, quality`` of at most ``sample_docs`` labelled ids that are not held out."""
     usable = labels.select("doc_id", "quality").where(F.col("quality").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id")))
-    usable = usable.groupBy("doc_id").agg(F.max("quality").alias("quality"))
-    share = min(1.0, sample_docs / max(1, usable.count()))
-    chosen = usable.where(F.shiftrightunsigned(F.xxhash64("doc_id", F.lit("sample")), 11) < F.lit(math.ceil(share * (1 << 53))))
-    return docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("doc_id", "text", "quality")
+    chosen = usable.groupBy("doc_id").agg(F.max("quality").alias("quality")).orderBy(F.xxhash64("doc_id", F.lit("sample")), "doc_id").limit(sample_docs)
+    return _read(docs).join(F.broadcast(chosen), "doc_id").dropDuplicates(["doc_id"])
 
 
 def fit(docs: DataFrame, labels: DataFrame, sample_docs: int = SAMPLE_DOCS) -> FactorisationMachine:
@@ -154,8 +169,8 @@ def fit(docs: DataFrame, labels: DataFrame, sample_docs: int = SAMPLE_DOCS) -> F
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         make = Featuriser()
         for batch in batches:
-            made = [make(t.as_py()) for t in batch.column(1)]
-            columns = [batch.column(0), batch.column(2).cast(pa.int32())]
+            made = [make(t.as_py(), n.as_py()) for t, n in zip(batch.column(1), batch.column(2), strict=True)]
+            columns = [batch.column(0), batch.column(3).cast(pa.int32())]
             columns += [pa.array([m[i].tolist() for m in made], kind) for i, kind in enumerate((pa.list_(pa.int32()), pa.list_(pa.float64()), pa.list_(pa.float64())))]
             yield pa.RecordBatch.from_arrays(columns, ["doc_id", "quality", "index", "value", "shape"])
 
@@ -174,10 +189,10 @@ def score_quality(docs: DataFrame, machine: FactorisationMachine) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         make, own = Featuriser(), shared.value
         for batch in batches:
-            scores = np.array([own.score(make(t.as_py())) for t in batch.column(2)], float)
+            scores = np.array([own.score(make(t.as_py(), n.as_py())) for t, n in zip(batch.column(2), batch.column(3), strict=True)], float)
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(scores), pa.array((scores >= 0.5).astype(np.int32))], ["doc_id", "held_out", "score", "predicted"])
 
-    rows = docs.select(F.col("doc_id").cast("long"), held_out(F.col("doc_id")).alias("held_out"), "text")
+    rows = _read(docs).select(F.col("doc_id").cast("long"), held_out(F.col("doc_id")).alias("held_out"), "text", "n_chars")
     return rows.mapInArrow(run, "doc_id long, held_out boolean, score double, predicted int")
 
 

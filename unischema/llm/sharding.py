@@ -12,7 +12,7 @@ parameters, and are broadcast.
 
 Defined results: a null text has no bytes; null keys all go to the shard of the null key; rows that
 repeat are numbered one after another; columns beyond ``doc_id`` and ``text`` are ignored; an empty
-table gives an empty result.
+table gives an empty result. Of a very long text only its bytes are counted and hashed.
 """
 
 from __future__ import annotations
