@@ -57,9 +57,13 @@ def word_count(line: Column) -> Column:
 
 
 def _line_table(docs: DataFrame) -> DataFrame:
-    """``doc_id, mark, at, a, b, words`` for each non-blank line; ``at`` counts non-blank lines."""
+    """``doc_id, mark, at, a, b, words`` for each non-blank line; ``at`` counts non-blank lines.
+
+    The mark is made before lines are taken apart: beside the generator it would be made for each line.
+    """
     cells = F.transform(F.filter(lines_of(F.col("text")), full), lambda x: F.struct(F.xxhash64(x).alias("a"), F.xxhash64(F.lit(11), x).alias("b"), word_count(x).alias("words")))
-    return docs.select("doc_id", F.xxhash64("text").alias("mark"), F.posexplode(cells).alias("at", "l")).select(*POSITION, "l.*")
+    marked = docs.select("doc_id", F.xxhash64("text").alias("mark"), "text")
+    return marked.select("doc_id", "mark", F.posexplode(cells).alias("at", "l")).select(*POSITION, "l.*")
 
 
 def _ordered(distinct: DataFrame, *names: str) -> DataFrame:
