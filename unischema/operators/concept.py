@@ -61,18 +61,18 @@ def related_concepts(inputs: DataFrame, h1: DataFrame, gamma: int, plan: str = "
     return k_hop(inputs, h1, gamma, max_degree)
 
 
-def concept_pairs(concepts: DataFrame, h1: DataFrame, gamma: int, mode: str = "frontier") -> DataFrame:
+def concept_pairs(concepts: DataFrame, h1: DataFrame, gamma: int, mode: str = "frontier", max_degree: int | None = None) -> DataFrame:
     """``a, b, d`` with a < b of given ``concepts(concept)`` within ``gamma`` hops.
 
-    ``mode='meet'`` lets balls of half the radius meet: no ball of the whole radius is built.
+    Concepts of over ``max_degree`` neighbours are reached but not expanded. ``mode='meet'`` lets balls of half the radius meet: no ball of the whole radius is built.
     """
     if mode == "meet":
         half, rest = gamma // 2, gamma - gamma // 2
-        x = k_hop(concepts, h1, rest).alias("x")
-        y = k_hop(concepts, h1, half).alias("y")
+        x = k_hop(concepts, h1, rest, max_degree).alias("x")
+        y = k_hop(concepts, h1, half, max_degree).alias("y")
         met = x.join(y, F.col("x.end") == F.col("y.end")).where(F.col("x.start") != F.col("y.start"))
         return met.groupBy(F.least("x.start", "y.start").alias("a"), F.greatest("x.start", "y.start").alias("b")).agg(F.min(F.col("x.len") + F.col("y.len")).alias("d"))
-    reach = k_hop(concepts, h1, gamma)
+    reach = k_hop(concepts, h1, gamma, max_degree)
     own = concepts.select(F.col("concept").alias("end")).distinct()
     return reach.join(own, "end", "left_semi").where("start < end").select(F.col("start").alias("a"), F.col("end").alias("b"), F.col("len").alias("d"))
 

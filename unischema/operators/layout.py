@@ -32,9 +32,9 @@ def write_clustered(df: DataFrame, cluster_col: str, path: str, files: int = 16)
     df.repartition(files, cluster_col).sortWithinPartitions(cluster_col).write.mode("overwrite").parquet(path)
 
 
-def write_bucketed(df: DataFrame, cluster_col: str, table: str, buckets: int = 16) -> None:
-    """The same as a bucketed table, for joins without a shuffle on that side."""
-    df.write.mode("overwrite").bucketBy(buckets, cluster_col).sortBy(cluster_col).saveAsTable(table)
+def write_bucketed(df: DataFrame, cluster_col: str, table: str, path: str, buckets: int = 16) -> None:
+    """The same as a bucketed table at ``path``, for joins without a shuffle on that side."""
+    df.write.mode("overwrite").bucketBy(buckets, cluster_col).sortBy(cluster_col).option("path", path).saveAsTable(table)
 
 
 def write_plain(df: DataFrame, path: str, files: int = 16) -> None:

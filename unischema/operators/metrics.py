@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import time
+from collections.abc import Callable
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -80,8 +81,8 @@ def slope(rows: DataFrame, value: str, over: str, *by: str) -> DataFrame:
     return rows.groupBy(*by).agg(F.round(F.regr_slope(F.col(value), F.col(over)), 4).alias("slope"), F.count(F.lit(1)).alias("n"))
 
 
-def timed(df: DataFrame) -> float:
-    """Wall seconds of a run into the noop sink."""
+def timed(build: Callable[[], DataFrame]) -> float:
+    """Wall seconds of a run: what ``build`` does at once, and its result into the noop sink."""
     began = time.perf_counter()
-    df.write.format("noop").mode("overwrite").save()
+    build().write.format("noop").mode("overwrite").save()
     return time.perf_counter() - began

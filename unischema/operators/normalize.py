@@ -44,19 +44,31 @@ def rule_abbreviation(attrs: DataFrame, abbreviations: DataFrame) -> DataFrame:
     return _regroup(rows.join(hit, "attr", "left_semi").withColumn("long", F.coalesce("full", "word")), "long")
 
 
-def rule_cut(attrs: DataFrame, vocab: DataFrame) -> DataFrame:
-    """Names cut into words: at visible signals, and compound words in two by the dictionary.
+def compound_cuts(words: DataFrame, vocab: DataFrame, parts: int = 2) -> DataFrame:
+    """``word, split``: words made of up to ``parts`` dictionary words of two letters or more each.
 
-    Of several cuts of one word the one with the longest first part wins.
+    Of several cuts the one with the longest first part wins, then with the longest second one, and so on.
+    Each round cuts one more part off what is left, and goes on with rests that are long enough.
     """
-    rows = _words(attrs)
     dictionary = vocab.select("word").distinct()
-    plain = rows.select("word").distinct().join(dictionary, "word", "left_anti").where(F.length("word") >= 4)
-    places = F.transform(F.sequence(F.lit(2), F.length("word") - 2), lambda i: F.struct(i.alias("at"), F.substring("word", F.lit(1), i).alias("head"), F.substring(F.col("word"), i + 1, F.length("word")).alias("tail")))
-    cuts = plain.select("word", F.explode(places).alias("c")).select("word", "c.*")
-    good = cuts.join(dictionary.withColumnRenamed("word", "head"), "head", "left_semi").join(dictionary.withColumnRenamed("word", "tail"), "tail", "left_semi")
-    best = good.groupBy("word").agg(F.max_by(F.concat_ws(" ", "head", "tail"), "at").alias("split"))
-    done = rows.join(best, "word", "left").withColumn("long", F.coalesce("split", "word"))
+    rest = words.select("word", F.lit("").alias("done"), F.array().cast("array<int>").alias("sizes"), F.col("word").alias("rest"))
+    found = None
+    for _ in range(parts - 1):
+        long = rest.where(F.length("rest") >= 4)
+        places = F.transform(F.sequence(F.lit(2), F.length("rest") - 2), lambda i: F.struct(i.alias("at"), F.substring("rest", F.lit(1), i).alias("head"), F.substring(F.col("rest"), i + 1, F.length("rest")).alias("tail")))
+        cells = long.select("word", "done", "sizes", F.explode(places).alias("c")).select("word", "done", "sizes", "c.*")
+        headed = cells.join(dictionary.withColumnRenamed("word", "head"), "head", "left_semi")
+        rest = headed.select("word", F.concat("done", "head", F.lit(" ")).alias("done"), F.concat("sizes", F.array("at")).alias("sizes"), F.col("tail").alias("rest"))
+        good = rest.join(dictionary.withColumnRenamed("word", "rest"), "rest", "left_semi").select("word", F.concat("done", "rest").alias("split"), "sizes")
+        found = good if found is None else found.unionByName(good)
+    return found.groupBy("word").agg(F.max_by("split", "sizes").alias("split"))
+
+
+def rule_cut(attrs: DataFrame, vocab: DataFrame, parts: int = 2) -> DataFrame:
+    """Names cut into words: at visible signals, and compound words by the dictionary into up to ``parts``."""
+    rows = _words(attrs)
+    plain = rows.select("word").distinct().join(vocab.select("word").distinct(), "word", "left_anti").where(F.length("word") >= 4)
+    done = rows.join(compound_cuts(plain, vocab, parts), "word", "left").withColumn("long", F.coalesce("split", "word"))
     several = done.groupBy("attr").agg(F.count(F.lit(1)).alias("n"), F.count("split").alias("cut")).where("n > 1 OR cut > 0").select("attr")
     return _regroup(done.join(several, "attr", "left_semi"), "long")
 

@@ -153,6 +153,17 @@ def layout_lookup(spark, sf_dir):
     return layout.lookup(spark.read.parquet(path), "cluster_id", [3, 7])
 
 
+@register("SELECT n_name, count(*) AS n FROM customer JOIN nation ON c_nationkey = n_nationkey GROUP BY n_name")
+def layout_bucketed_join(spark, sf_dir):
+    """A join with members stored as a bucketed table, which is not shuffled again."""
+    path, table = scratch(spark), "unischema_bucketed_members"
+    layout.write_bucketed(_nation_members(spark, sf_dir), "cluster_id", table, path, 4)
+    nation = tables.table(spark, sf_dir, "nation").select(F.col("n_nationkey").cast("long").alias("cluster_id"), "n_name")
+    done = cut(spark.table(table).join(nation.hint("merge"), "cluster_id").groupBy("n_name").agg(F.count(F.lit(1)).alias("n")))
+    spark.sql(f"DROP TABLE IF EXISTS {table}")
+    return done
+
+
 @register("SELECT c_nationkey::BIGINT AS cluster_id, c_name AS attr, row_number() OVER (PARTITION BY c_nationkey ORDER BY c_name) AS place FROM customer")
 def layout_ranks(spark, sf_dir):
     return layout.rank_in_cluster(_nation_members(spark, sf_dir)).withColumn("place", F.col("place").cast("long"))
@@ -184,6 +195,19 @@ def rule_pattern_table(spark, sf_dir):
     return normalize.rule_pattern_table(_rule_inputs(spark, sf_dir)[0], rules)
 
 
+_COMPOUNDS = ["streetname", "orderlinenumber", "partbrandname", "marketsegmentkey", "keykeykey", "nameless", "lineitem", "discounttaxrate", "ordersupplierid"]
+
+
+@register(f"""WITH w AS (SELECT word FROM {sql_values(_COMPOUNDS, 'word')}), v AS (SELECT DISTINCT word AS known FROM {sql_values(fixtures.VOCABULARY, 'word')}),
+  one AS (SELECT word, word[1:i] AS h1, word[i + 1:] AS t1, i FROM (SELECT word, unnest(range(2, length(word) - 1)) AS i FROM w) WHERE word[1:i] IN (SELECT known FROM v)),
+  two AS (SELECT word, h1, i, t1[1:j] AS h2, t1[j + 1:] AS t2, j FROM (SELECT *, unnest(range(2, length(t1) - 1)) AS j FROM one WHERE length(t1) >= 4) WHERE t1[1:j] IN (SELECT known FROM v)),
+  cuts AS (SELECT word, h1 || ' ' || t1 AS split, [i] AS sizes FROM one WHERE t1 IN (SELECT known FROM v) UNION ALL SELECT word, h1 || ' ' || h2 || ' ' || t2, [i, j] FROM two WHERE t2 IN (SELECT known FROM v))
+  SELECT word, arg_max(split, sizes) AS split FROM cuts GROUP BY word""")
+def compound_cuts(spark, sf_dir):
+    """Compound names of up to three dictionary words."""
+    return normalize.compound_cuts(frame(spark, _COMPOUNDS, "word string"), frame(spark, fixtures.VOCABULARY, "word string"), 3)
+
+
 def _rank_sql(iters: int = 20, damping: float = 0.85) -> str:
     """The walk on the co-occurrence graph, one step for each table expression."""
     steps, last = [], "SELECT word, 1.0::DOUBLE AS score FROM every"
