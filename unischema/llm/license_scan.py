@@ -18,6 +18,8 @@ Texts are scanned whole.
 
 from __future__ import annotations
 
+import json
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -35,34 +37,53 @@ def _spaces(text: Column) -> Column:
     return F.length(text) - F.length(F.replace(text, F.lit(" "), F.lit("")))
 
 
-def _matches(joined: Column, rule: Rule, number: int) -> Column:
-    """The matches of one rule in `` w0 w1 ... ``: its words are marked, and the marks' places are read off.
+def _rule_table(rules: list[Rule]) -> Column:
+    """What is known of each rule, by number: one constant of the plan."""
+    cells = [{"label": r.label, "priority": r.priority, "confidence": r.confidence, "base": r.base} for r in rules]
+    return F.from_json(F.lit(json.dumps(cells)), "array<struct<label:string,priority:int,confidence:double,base:boolean>>")
 
-    Words hold no angle brackets, as those separate words; matches of one rule do not overlap.
-    """
-    marked = F.regexp_replace(joined, F.lit(f"(?<= )(?:{rule.pattern})(?= )"), F.lit("<$0>"))
 
-    def places(words: Column) -> Column:
-        every = F.sequence(F.lit(0), F.size(words) - 1)
-        begins = F.filter(every, lambda i: F.startswith(F.get(words, i), F.lit("<")))
-        ends = F.filter(every, lambda i: F.endswith(F.get(words, i), F.lit(">")))
-        return F.zip_with(
-            begins, ends,
-            lambda i, j: F.struct(
-                i.alias("begin"), (-j - 1).alias("minus_end"), F.lit(-rule.priority).alias("minus_priority"), F.lit(number).alias("number"),
-                F.lit(rule.label).alias("label"), F.lit(rule.confidence).alias("confidence"), F.lit(rule.base).alias("base"),
-            ).cast(_DETECTION),
-        )
+def _hits(joined: Column, rules: list[Rule]) -> Column:
+    """``number, marked``: for each rule whose gate and keyword are there, the text with its matches in angle brackets.
 
-    return F.when(F.contains(joined, F.lit(rule.keyword)), let(F.split(F.trim(marked), " "), places)).otherwise(F.array().cast(_NONE))
+    Kept to a few expressions a rule, as all of them are in the plan.
+    """
+    by_gate: dict[str, list[Column]] = {}
+    for number, rule in enumerate(rules):
+        marked = F.regexp_replace(joined, F.lit(f"(?<= )(?:{rule.pattern})(?= )"), F.lit("<$0>"))
+        by_gate.setdefault(gate_of(rule), []).append(F.when(F.contains(joined, F.lit(rule.keyword)), F.struct(F.lit(number).alias("number"), marked.alias("marked"))))
+    gated = [F.when(F.contains(joined, F.lit(gate)), F.array(*found)) for gate, found in by_gate.items()]
+    present = lambda cells: F.filter(cells, lambda x: x.isNotNull())
+    return present(F.flatten(present(F.array(*gated))))
 
 
 def _detections(joined: Column, rules: list[Rule]) -> Column:
-    """All matches of all rules, unordered; rules are reached through their gates."""
-    by_gate: dict[str, list[Column]] = {}
-    for number, rule in enumerate(rules):
-        by_gate.setdefault(gate_of(rule), []).append(_matches(joined, rule, number))
-    return F.concat(*[F.when(F.contains(joined, F.lit(gate)), F.concat(*found)).otherwise(F.array().cast(_NONE)) for gate, found in by_gate.items()])
+    """All matches of all rules in `` w0 w1 ... ``, unordered.
+
+    Words hold no angle brackets, as those separate words, and matches of one rule do not overlap, so the
+    marked words' places are the matches' begins and ends, in order.
+    """
+    table = _rule_table(rules)
+
+    def places(hit: Column) -> Column:
+        def ends_of(words: Column) -> Column:
+            every = F.sequence(F.lit(0), F.size(words) - 1)
+            begins = F.filter(every, lambda i: F.startswith(F.get(words, i), F.lit("<")))
+            ends = F.filter(every, lambda i: F.endswith(F.get(words, i), F.lit(">")))
+            return F.arrays_zip(begins.alias("begin"), ends.alias("last"))
+
+        def detection(rule: Column) -> Column:
+            return F.transform(
+                let(F.split(F.trim(hit["marked"]), " "), ends_of),
+                lambda m: F.struct(
+                    m["begin"].alias("begin"), (-m["last"] - 1).alias("minus_end"), (-rule["priority"]).alias("minus_priority"), hit["number"].alias("number"),
+                    rule["label"].alias("label"), rule["confidence"].alias("confidence"), rule["base"].alias("base"),
+                ).cast(_DETECTION),
+            )
+
+        return let(F.get(table, hit["number"]), detection)
+
+    return F.flatten(F.transform(_hits(joined, rules), places))
 
 
 def _end(d: Column) -> Column:
