@@ -21,7 +21,7 @@ def anchor(attrs: DataFrame, concepts: DataFrame, eps_t: int = 1, mode: str = "n
     ``nearest`` keeps all concepts at the least distance, ``any`` all in range.
     """
     names = attrs.select("attr").where("attr IS NOT NULL").distinct()
-    known = concepts.select(F.col("concept").alias("attr")).where("attr IS NOT NULL").distinct()
+    known = concepts.select(F.col("concept").alias("attr")).where("attr IS NOT NULL")
     if mode == "any":
         found = literal_pairs_between(names, known, eps_t, q)
         return found.select(F.col("a").alias("attr"), F.col("b").alias("concept"), F.col("d").alias("d_lit"))

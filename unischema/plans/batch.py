@@ -52,7 +52,7 @@ class Reach:
 
 def reach_of(pooled: DataFrame, h1: DataFrame, cfg: Config) -> Reach:
     """The base is expanded once, to the largest radius that any later step asks for."""
-    concepts = h1.select("concept").union(h1.select("neighbour")).distinct()
+    concepts = h1.select("concept").union(h1.select("neighbour"))
     anchors = cut(anchor(pooled, concepts, cfg.eps_t if cfg.literal else 0, cfg.anchor, cfg.q))
     radius = cfg.gamma if cfg.resolve == "none" else max(cfg.gamma, int(cfg.beta * cfg.gamma))
     return Reach(anchors, cut(related_concepts(anchors.select("concept").distinct(), h1, radius, cfg.expand_plan, cfg.max_degree)))

@@ -77,7 +77,7 @@ def open_clusters(names: DataFrame, h1: DataFrame | None, cfg: Config = DEFAULT)
     member = names.select(F.col("attr").alias("cluster_id"), "attr").distinct()
     if h1 is None or not cfg.semantic:
         return member, names.sparkSession.createDataFrame([], HALO)
-    concepts = h1.select("concept").union(h1.select("neighbour")).distinct()
+    concepts = h1.select("concept").union(h1.select("neighbour"))
     anchors = anchor(names, concepts, cfg.eps_t if cfg.literal else 0, cfg.anchor, cfg.q)
     return member, ball_halo(member, h1, cfg.gamma, cfg.halo_policy, cfg.halo_cap, anchors)
 
@@ -123,7 +123,7 @@ def resolve_touched(state: State, touched: DataFrame, h1: DataFrame | None, cfg:
     member = pieces.select(F.col("new_id").alias("cluster_id"), "attr").distinct()
     halo = state.halo.limit(0)
     if h1 is not None and cfg.semantic:
-        concepts = h1.select("concept").union(h1.select("neighbour")).distinct()
+        concepts = h1.select("concept").union(h1.select("neighbour"))
         anchors = anchor(member, concepts, cfg.eps_t if cfg.literal else 0, cfg.anchor, cfg.q)
         halo = ball_halo(member, h1, cfg.gamma, cfg.halo_policy, cfg.halo_cap, anchors)
     moved = state.mapping.join(split, "cluster_id", "left_semi").join(pieces, ["cluster_id", "attr"]).select("schema_id", "attr", F.col("new_id").alias("cluster_id"), "how")
