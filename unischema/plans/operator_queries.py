@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from unischema.functions.lineage import cut
 from unischema.plans.method_queries import register
 from unischema.sources.fixtures import ABBREVIATIONS, frame, sql_values
 
@@ -51,7 +52,23 @@ query("join_full", lambda t, s: t("customer").groupBy(F.col("c_nationkey").alias
 query("join_semi", lambda t, s: t("part").join(t("lineitem"), F.col("p_partkey") == F.col("l_partkey"), "left_semi").select("p_partkey"), "SELECT p_partkey FROM part WHERE p_partkey IN (SELECT l_partkey FROM lineitem)")
 query("join_anti", lambda t, s: t("customer").join(t("orders"), F.col("c_custkey") == F.col("o_custkey"), "left_anti").select("c_custkey"), "SELECT c_custkey FROM customer WHERE c_custkey NOT IN (SELECT o_custkey FROM orders)")
 query("join_cross", lambda t, s: t("region").select("r_name").crossJoin(F.broadcast(t("events").select("event_type").distinct())), "SELECT r_name, event_type FROM region, (SELECT DISTINCT event_type FROM events)")
-query("join_theta", lambda t, s: t("part").alias("x").join(t("part").alias("y"), (F.col("x.p_brand") == F.col("y.p_brand")) & (F.col("x.p_retailprice") < F.col("y.p_retailprice"))).groupBy(F.col("x.p_brand").alias("brand")).agg(F.count(F.lit(1)).alias("n")),
+def _theta(t, s) -> DataFrame:
+    """Pairs of one brand with a smaller and a larger price, counted by order instead of listed.
+
+    Equal prices are counted first; range blocks of prices, then prices in a block, are summed up in
+    order, so that no task takes a whole brand.
+    """
+    rows = t("part").where("p_brand IS NOT NULL AND p_retailprice IS NOT NULL")
+    counted = rows.groupBy(F.col("p_brand").alias("brand"), F.col("p_retailprice").alias("price")).agg(F.count(F.lit(1)).alias("n"))
+    dealt = cut(counted.repartitionByRange("brand", "price").withColumn("block", F.spark_partition_id()))
+    sums = dealt.groupBy("brand", "block").agg(F.sum("n").alias("total"))
+    before = lambda *keys: Window.partitionBy(*keys[:-1]).orderBy(keys[-1]).rowsBetween(Window.unboundedPreceding, -1)
+    blocks = sums.select("brand", "block", F.coalesce(F.sum("total").over(before("brand", "block")), F.lit(0)).alias("lower"))
+    inside = dealt.withColumn("below", F.coalesce(F.sum("n").over(before("brand", "block", "price")), F.lit(0)))
+    return inside.join(blocks, ["brand", "block"]).groupBy("brand").agg(F.sum(F.col("n") * (F.col("below") + F.col("lower"))).alias("n")).where("n > 0")
+
+
+query("join_theta", _theta,
       "SELECT x.p_brand AS brand, count(*) AS n FROM part x JOIN part y ON x.p_brand = y.p_brand AND x.p_retailprice < y.p_retailprice GROUP BY 1")
 
 
